@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import line_dedup, token_counts, transport_stream
+from . import line_dedup, prefix_join, token_counts, transport_stream
 from .common import table
 
 PIECES = "piece_bpe_32k.model"
@@ -26,13 +26,17 @@ def op3_transport_streams(spark: SparkSession, sf_dir: str) -> DataFrame:
     return transport_stream.media_columns(table(spark, sf_dir, "documents"))
 
 
+def op8_prefix_tree_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return prefix_join.link_classes(table(spark, sf_dir, "documents"))
+
+
 def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.digest_columns(table(spark, sf_dir, "documents"))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_token_counts, op3_transport_streams, op9_line_dedup)}
+    return {f.__name__: f for f in (op2_token_counts, op3_transport_streams, op8_prefix_tree_join, op9_line_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op9_line_dedup": line_dedup.ORACLE}
+    return {"op8_prefix_tree_join": prefix_join.ORACLE, "op9_line_dedup": line_dedup.ORACLE}
