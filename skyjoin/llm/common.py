@@ -8,6 +8,7 @@ from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -58,7 +59,7 @@ def texts(column: pa.Array) -> list[str]:
 
 def chunks(batch: pa.RecordBatch, column: int, most: int = 2 << 20):
     """Slices of a batch with about `most` bytes of text in this column each; a longer text stands alone."""
-    sizes = np.fromiter((x or 0 for x in pa.compute.binary_length(batch.column(column)).to_pylist()), np.int64, batch.num_rows)
+    sizes = np.fromiter((x or 0 for x in pc.binary_length(batch.column(column)).to_pylist()), np.int64, batch.num_rows)
     start = total = 0
     for i, n in enumerate(sizes):
         if total and total + n > most:
