@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import line_dedup, prefix_join, token_counts, transport_stream
+from . import line_dedup, minhash, pfair_mix, prefix_join, token_counts, transport_stream
 from .common import table
 
 PIECES = "piece_bpe_32k.model"
@@ -26,6 +26,10 @@ def op3_transport_streams(spark: SparkSession, sf_dir: str) -> DataFrame:
     return transport_stream.media_columns(table(spark, sf_dir, "documents"))
 
 
+def op6_one_permutation_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash.edited_fingerprints(table(spark, sf_dir, "documents"))
+
+
 def op8_prefix_tree_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return prefix_join.link_classes(table(spark, sf_dir, "documents"))
 
@@ -34,9 +38,13 @@ def op9_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.digest_columns(table(spark, sf_dir, "documents"))
 
 
+def op10_pfair_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pfair_mix.mix(table(spark, sf_dir, "documents").select("doc_id", "source"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_token_counts, op3_transport_streams, op8_prefix_tree_join, op9_line_dedup)}
+    return {f.__name__: f for f in (op2_token_counts, op3_transport_streams, op6_one_permutation_minhash, op8_prefix_tree_join, op9_line_dedup, op10_pfair_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op8_prefix_tree_join": prefix_join.ORACLE, "op9_line_dedup": line_dedup.ORACLE}
+    return {"op10_pfair_mix": pfair_mix.ORACLE, "op8_prefix_tree_join": prefix_join.ORACLE, "op9_line_dedup": line_dedup.ORACLE}
