@@ -23,6 +23,8 @@ class PieceModel:
             raise ValueError("the model has no byte fallback")
         if any(b == SPACE_MARK and a != SPACE_MARK for p in self.ids for a, b in zip(p, p[1:], strict=False)):
             raise ValueError("a piece has white space after other text: words can't be cut apart")
+        if not set("".join(self.ids)) <= self.ids.keys():
+            raise ValueError("a character of a piece is no piece itself")
         if any("\n" in p for p in self.ids):
             raise ValueError("a piece holds a newline: lines can't be cut apart")
         if m.encode("  a b ", out_type=str) != m.encode("▁ a▁b ", out_type=str) or m.encode("ﬁ", out_type=str) != [SPACE_MARK, "ﬁ"]:

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import line_dedup, minhash, pfair_mix, prefix_join, token_counts, transport_stream
+from . import crf_language, line_dedup, minhash, pfair_mix, piece_transducer, prefix_join, token_counts, transport_stream
 from .common import table
 
 PIECES = "piece_bpe_32k.model"
@@ -26,6 +26,14 @@ def op3_transport_streams(spark: SparkSession, sf_dir: str) -> DataFrame:
     return transport_stream.media_columns(table(spark, sf_dir, "documents"))
 
 
+def op4_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return crf_language.language_report(table(spark, sf_dir, "documents"))
+
+
+def op5_piece_transducer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return piece_transducer.round_trip(table(spark, sf_dir, "documents"), vocabulary())
+
+
 def op6_one_permutation_minhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash.edited_fingerprints(table(spark, sf_dir, "documents"))
 
@@ -43,7 +51,7 @@ def op10_pfair_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_token_counts, op3_transport_streams, op6_one_permutation_minhash, op8_prefix_tree_join, op9_line_dedup, op10_pfair_mix)}
+    return {f.__name__: f for f in (op2_token_counts, op3_transport_streams, op4_crf_language, op5_piece_transducer, op6_one_permutation_minhash, op8_prefix_tree_join, op9_line_dedup, op10_pfair_mix)}
 
 
 def oracle_sql() -> dict[str, str]:
