@@ -23,10 +23,10 @@ def weight_of(sigma_as: float) -> float:
     return (PER_RADIAN / sigma_as) ** 2
 
 
-def fisher_ln_pdf(w, cosine) -> Column:
-    """Logarithm of the density for precision w at a direction whose cosine with the mode is given."""
+def fisher_ln_pdf(w, c2) -> Column:
+    """Logarithm of the density for precision w at a squared chord from the mode (the cosine less one is minus half of it)."""
     w = _c(w)
-    return F.log(w) - math.log(2 * math.pi) - F.log1p(-F.exp(-2 * w)) + w * (_c(cosine) - 1)
+    return F.log(w) - math.log(2 * math.pi) - F.log1p(-F.exp(-2 * w)) - w * _c(c2) / 2
 
 
 def ln_term(w) -> Column:

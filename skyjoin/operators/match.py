@@ -67,8 +67,8 @@ def states(p: Participant, region: Region | None = None, grown: float = 0.0) ->
         df = df.filter(region.grow(grown).contains("__x", "__y", "__z"))
     df = sealed(df, {"__wt": weight("__e")})
     new = {f"__a{c}": F.col("__wt") * F.col(f"__{c}") for c in "xyz"} | {"__W": F.col("__wt"), "__D": F.lit(0.0), "__S": ln_term("__wt")}
-    member = F.struct(*[F.col(c) for c in columns], F.col("__ra").alias("__ra"), F.col("__dec").alias("__dec")).alias(p.alias)
-    return sealed(df, new).select(member, *STATE)
+    member = [F.lit(True).alias(f"{p.alias}__"), *[F.col(c).alias(f"{p.alias}__{c}") for c in columns]]
+    return sealed(df, new).select(*member, *STATE)
 
 
 def positioned(df: DataFrame) -> DataFrame:
@@ -79,9 +79,14 @@ def positioned(df: DataFrame) -> DataFrame:
 
 
 def _members(df: DataFrame) -> list[str]:
+    """Member columns stay flat, as alias__column, until the end: alias__ alone says whether the member is there."""
     return [c for c in df.columns if not c.startswith("__")]
 
 
+def _aliases(df: DataFrame) -> list[str]:
+    return [c[:-2] for c in _members(df) if c.endswith("__")]
+
+
 @dataclass(frozen=True)
 class Side:
     """A state table with the weights of its members; rows: an estimate, if there is one."""
@@ -114,31 +119,31 @@ def with_ln_b(df: DataFrame) -> DataFrame:
 
 def tuple_id(df: DataFrame, keys: dict[str, tuple[str, ...]]) -> DataFrame:
     """df with __tid, the keys of its members; an absent member is marked, never a magic key."""
-    parts = [F.struct(F.col(a).isNotNull().alias("here"), *[F.col(a)[k].alias(f"k{i}") for i, k in enumerate(keys[a])]) for a in _members(df)]
+    parts = [F.struct(F.col(f"{a}__").alias("here"), *[F.col(f"{a}__{k}").alias(f"k{i}") for i, k in enumerate(keys[a])]) for a in _aliases(df)]
     return df.withColumn("__tid", F.to_json(F.struct(*[p.alias(f"m{i}") for i, p in enumerate(parts)])))
 
 
 def allow(prefix: Side, p: Participant, part: Side, rest: list[tuple[float, bool]], ln_limit: float, keys: dict, grid: Grid | None = None) -> Side:
     """The prefix extended where the extension (with what may follow) reaches the limit, else as it was."""
     named = tuple_id(prefix.df, keys)
-    held = combine(Side(named.withColumn("__tid_", F.struct("__tid")).drop("__tid").withColumnRenamed("__tid_", "tid"), prefix.weights), part, rest, ln_limit, grid)
-    plain = named.join(held.df.select(F.col("tid.__tid").alias("__tid")).distinct(), "__tid", "left_anti").drop("__tid")
-    kind = held.df.schema[p.alias].dataType
-    plain = plain.withColumn(p.alias, F.lit(None).cast(kind)).filter(ln_bound("__D", "__W", "__S", rest) >= ln_limit - 1e-9)
+    held = combine(Side(named.withColumnRenamed("__tid", "tid"), prefix.weights), part, rest, ln_limit, grid)
+    plain = named.join(held.df.select(F.col("tid").alias("__tid")).distinct(), "__tid", "left_anti").drop("__tid")
+    absent = {c: F.lit(None).cast(part.df.schema[c].dataType) for c in _members(part.df)} | {f"{p.alias}__": F.lit(False)}
+    plain = plain.withColumns(absent).filter(ln_bound("__D", "__W", "__S", rest) >= ln_limit - 1e-9)
     return Side(held.df.drop("tid").unionByName(plain), prefix.weights + part.weights)
 
 
 def blocked(prefix: Side, part: Side, ln_limit: float, keys: dict, grid: Grid | None = None) -> tuple[DataFrame, DataFrame]:
     """The prefix with __tid, and the distinct __tid that some detection of part would extend to the limit."""
     named = tuple_id(prefix.df, keys)
-    held = combine(Side(named.withColumn("tid", F.struct("__tid")).drop("__tid"), prefix.weights), part, [], ln_limit, grid)
-    hit = with_ln_b(held.df).filter(F.col("__lnb") >= ln_limit).select(F.col("tid.__tid").alias("__tid")).distinct()
+    held = combine(Side(named.withColumnRenamed("__tid", "tid"), prefix.weights), part, [], ln_limit, grid)
+    hit = with_ln_b(held.df).filter(F.col("__lnb") >= ln_limit).select(F.col("tid").alias("__tid")).distinct()
     return named, hit
 
 
-def finish(df: DataFrame, alias: str, ln_limit: float | None, prior_area: float | None = None) -> DataFrame:
-    """Members as structs without working columns, and the virtual relation: position, error, ln_bf, bf."""
-    members = _members(df)
+def finish(df: DataFrame, alias: str, ln_limit: float | None) -> DataFrame:
+    """Members as structs (null if absent), and the virtual relation: position, error, ln_bf, bf; other columns stay."""
+    aliases, flat = _aliases(df), _members(df)
     df = positioned(with_ln_b(df))
     ln_b = F.col("__lnb")
     if ln_limit is not None:
@@ -147,7 +152,10 @@ def finish(df: DataFrame, alias: str, ln_limit: float | None, prior_area: float
         F.col("__ra").alias("ra"), F.col("__dec").alias("dec"), F.col("__x").alias("cx"), F.col("__y").alias("cy"), F.col("__z").alias("cz"),
         (PER_RADIAN / F.sqrt("__n")).alias("sigma_as"), ln_b.alias("ln_bf"), F.exp(ln_b).alias("bf"),
     )
-    return df.select(*[F.col(m).dropFields("__ra", "__dec").alias(m) for m in members], virtual.alias(alias))
+    own = {a: [c for c in flat if c.startswith(f"{a}__") and c != f"{a}__"] for a in aliases}
+    structs = [F.when(F.col(f"{a}__"), F.struct(*[F.col(c).alias(c[len(a) + 2 :]) for c in columns])).alias(a) for a, columns in own.items()]
+    rest = [c for c in flat if not any(c.startswith(f"{a}__") for a in aliases)]
+    return df.select(*structs, virtual.alias(alias), *rest)
 
 
 def order_participants(parts: list[Participant], rows: dict[str, float] | None = None) -> list[Participant]:
@@ -203,7 +211,7 @@ def match_all(
     reach = math.degrees(search_chord([everything[0]], everything[1:] or [everything[0]], [], ln_limit)) * 2 if region is not None and len(everything) > 1 else 0.0
 
     def side(p: Participant) -> Side:
-        own = region if region is not None and region_on != "post" and not (region_on == "combined" and False) else None
+        own = region if region_on != "post" else None
         grown = 0.0 if region_on == "owner" and p.alias == owner else reach
         if p.mode == FORBID:
             own = None
@@ -215,7 +223,7 @@ def match_all(
         return [(p.weights[1], True) for p in need if p.alias not in done] + may_rest
 
     def names(s: Side) -> set[str]:
-        return set(_members(s.df))
+        return set(_aliases(s.df))
 
     if plan == "sequential":
         now = side(need[0])
@@ -251,7 +259,7 @@ def match_all(
         named, hit = blocked(Side(df, now.weights), side(p), ln_limit, keys, grid)
         df = named.join(hit.withColumn("__hit", F.lit(True)), "__tid", "left").drop("__tid").withColumn("blocked", F.coalesce("__hit", F.lit(False))).drop("__hit") if dropouts else named.join(hit, "__tid", "left_anti").drop("__tid")
     flag = "blocked" in df.columns
-    out = finish(df.drop("blocked") if not flag else df.withColumn("blocked", F.struct("blocked", F.lit(0.0).alias("__ra"), F.lit(0.0).alias("__dec"))), alias, None)
+    out = finish(df, alias, None)
     if region is not None and region_on == "combined":
         out = out.filter(region.contains(f"{alias}.cx", f"{alias}.cy", f"{alias}.cz"))
     if region is not None and region_on == "post":
@@ -286,7 +294,7 @@ def self_match(p: Participant, limit: float, symmetric: bool = False, grid: Grid
     ln_limit = math.log(limit)
     a, b = (Side(states(replace(p, alias=n)), (p.weights,)) for n in ("a", "b"))
     pairs = combine(a, b, [], ln_limit, grid).df
-    first, second = (F.struct(*[F.col(n)[k] for k in p.key]) for n in ("a", "b"))
+    first, second = (F.struct(*[F.col(f"{n}__{k}").alias(k) for k in p.key]) for n in ("a", "b"))
     return finish(pairs.filter(first != second if symmetric else first < second), "x", ln_limit)
 
 
@@ -335,7 +343,7 @@ def classify_dropouts(match: DataFrame, alias: str, footprint: Region | None = N
     x = (F.col(alias)["cx"], F.col(alias)["cy"], F.col(alias)["cz"])
     seen = footprint.contains(*x) if footprint is not None else F.lit(True)
     hidden = mask.contains(*x) if mask is not None else F.lit(False)
-    blocked_ = F.col("blocked.blocked") if "blocked" in match.columns else F.lit(False)
+    blocked_ = F.col("blocked") if "blocked" in match.columns else F.lit(False)
     verdict = F.when(blocked_, "blocked").when(~seen, "not_observed").when(hidden, "masked").otherwise("true_dropout")
     return match.withColumn("verdict", verdict).withColumn("upper_limit", F.when(verdict == "true_dropout", F.lit(limit_mag).cast("double")))
 

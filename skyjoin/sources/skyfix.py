@@ -52,7 +52,7 @@ SOURCES = {
     "transient": Source("events", "event_id", "user_id", "1e-1 + value / 20", 4, {"epoch": "ts", "event_type": "event_type"}),
     "bright_star": Source("supplier", "s_suppkey", "s_suppkey", "1e-3", 6, {"mask_deg": "5e-2"}),
     "survey_caps": Source("nation", "n_nationkey", "n_nationkey", "1e-3", 7, {"region": "n_regionkey", "cap_deg": "6e-1"}),
-    "upload": Source("part", "p_partkey", "p_partkey", "3e-1", 8, {"p_retailprice": "p_retailprice"}, "p_retailprice >= 1800"),
+    "upload": Source("part", "p_partkey", "p_partkey", "3e-1", 8, {"p_retailprice": "p_retailprice"}, "p_retailprice >= 990"),
 }
 
 
