@@ -12,7 +12,7 @@ from pyspark.sql import functions as F
 from .functions.evidence import evidence_class, fisher_ln_pdf, ln_bayes_flat, weight, with_posterior
 from .functions.plan import sealed
 from .functions.sphere import chord2, chord_of, separation_as
-from .operators import baselines, metrics
+from .operators import baselines, metrics, relational
 from .operators.match import ALLOW, FORBID, REQUIRE, Participant, classify_dropouts, match_all, objects_of, resolve, self_match
 from .operators.regions import Cap, Convex, Region, parse_region, pixel_of, pixels, region_join
 from .operators.sampling import Link, chosen, mini
@@ -615,3 +615,10 @@ SELECT exact, -sqrt(1 - z * z) * cos(a) >= {math.cos(math.radians(1.0))!r} AS in
     "accuracy_report": f"WITH {_labelled_sql(1e3)}, t AS (SELECT count(*) AS found, count(*) FILTER (WHERE yes) AS correct, (SELECT count(*) FROM uv) AS total FROM m) SELECT found, correct, round(correct / total, 6) AS completeness, round(correct / found, 6) AS purity, round(2 * correct / (found + total), 6) AS f1 FROM t",
     "roc_by_limit": f"WITH {_labelled_sql()} SELECT CAST(l AS DOUBLE) AS evidence, count(*) FILTER (WHERE ln_bf >= ln(l) AND yes) AS correct, count(*) FILTER (WHERE ln_bf >= ln(l) AND NOT yes) AS false_pairs FROM m, (SELECT unnest([1e1, 1e2, 1e3, 1e4, 1e5, 1e6]) AS l) q GROUP BY l",
 }
+
+QUERIES |= relational.QUERIES
+SQL |= relational.SQL | {
+    "match_text_query": sample_sql(),
+    "stream_match": f"SELECT optical_key, transient_key FROM ({SQL['match_row_errors']}) q",
+    **dict.fromkeys(("job_retry", "job_resume"), f"SELECT optical_key, uv_key FROM ({two_sql()}) q"),
+}
