@@ -4,8 +4,7 @@ Three machines are compiled: the normaliser (white space to marks, one mark in f
 rewrite pieces to ids), and byte fallback (a character outside the vocabulary to its bytes' ids). A weighted acceptor over
 pairs of pieces carries what the vocabulary's merges allow: the pair costs 0 if merging its joined text gives the pair back
 and infinity otherwise, found when first met and kept. Composed with an input this is a lattice over positions and last
-pieces; encoding is its shortest path in the tropical semiring (min, +), with the pieces' merge ranks as the other weights. A
-merge-based segmentation is the one whose neighbours are all such pairs, so the path is the library's own segmentation.
+pieces; encoding is its shortest path in the tropical semiring (min, +). A merge-based segmentation is the one whose neighbours are all such pairs, so the path is the library's own segmentation.
 
 Inputs fall apart where no piece can cross (white space after text, newlines); each part is composed once per worker.
 
@@ -15,12 +14,12 @@ text; decoding drops the leading mark alone and replaces invalid bytes by U+FFFD
 
 from __future__ import annotations
 
+import hashlib
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
-from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .common import chunks, texts, with_fields
@@ -28,7 +27,7 @@ from .piece_model import SPACE_MARK, PieceModel, load, normalised
 from .token_counts import WORDS
 
 #: Parts and pairs that a worker keeps.
-KEPT, PAIRS = 500_000, 3_000_000
+KEPT, PAIRS = 300_000, 800_000
 
 
 class Transducer:
@@ -42,8 +41,10 @@ class Transducer:
                     node = node.setdefault(c, {})
                 node[""] = number
         self.pairs: dict[int, bool] = {}
-        self.known: dict[str, list[int]] = {}
-        self.bytes = {number: b for b, number in enumerate(model.byte_ids)}
+        self.known: dict[str, bytes] = {}
+        self.spelled = [p.replace(SPACE_MARK, " ").encode() for p in model.pieces]
+        for b, number in enumerate(model.byte_ids):
+            self.spelled[number] = bytes([b])
 
     def merged(self, text: str) -> list[str]:
         """What the vocabulary's merges make of a short text: the definition that pairs are tested with."""
@@ -74,76 +75,76 @@ class Transducer:
             self.pairs[key] = known
         return known
 
+    def arcs(self, text: str, at: int) -> list[tuple[int, int]]:
+        """(end, id) of the piece arcs that leave a position, longest first; one fallback arc with id -1 if there is none."""
+        node, out = self.root.get(text[at]), []
+        end, n = at, len(text)
+        while node is not None:
+            end += 1
+            number = node.get("")
+            if number is not None:
+                out.append((end, number))
+            node = node.get(text[end]) if end < n else None
+        out.reverse()
+        return out or [(at + 1, -1)]
+
     def compose(self, text: str) -> list[int]:
-        """Ids of the shortest path through the lattice of one part."""
-        n = len(text)
-        # states[i]: last piece -> (weight, its start, the piece before); -1 stands for the start and for fallback bytes.
-        states: list[dict[int, tuple[int, int, int]]] = [{} for _ in range(n + 1)]
-        states[0][-1] = (0, 0, -1)
-        pieces, root, pairs = self.model.pieces, self.root, self.pairs
-        for i in range(n):
-            here = states[i]
-            if not here:
-                continue
-            node = root.get(text[i])
-            if node is None:  # byte fallback: no merge crosses it
-                last, (weight, _, _) = min(here.items(), key=lambda x: x[1][0])
-                states[i + 1][-1] = (weight, i, last)
-                continue
-            j = i
-            while node is not None:
-                j += 1
-                number = node.get("")
-                if number is not None:
-                    best = None
-                    for last, (weight, _, _) in here.items():
-                        if best is None or weight < best[0]:
-                            ok = True
-                            if last >= 0:
-                                ok = pairs.get(last << 20 | number)
-                                if ok is None:
-                                    ok = self.allowed(last, number)
-                            if ok:
-                                best = (weight, i, last)
-                    if best is not None:
-                        states[j][number] = (best[0] + self.rank[pieces[number]], best[1], best[2])
-                if j == n:
+        """Ids of the shortest path through the lattice of one part.
+
+        All paths of finite weight have weight 0 and there is one of them, so the search goes depth first, longest arcs first,
+        and keeps the states (position, last piece) from which no such path goes on.
+        """
+        n, pairs, allowed = len(text), self.pairs, self.allowed
+        path: list[tuple[int, int, list[tuple[int, int]], int]] = []  # position, last piece, arcs, next arc
+        dead: set[tuple[int, int]] = set()
+        at, last, arcs, k = 0, -1, self.arcs(text, 0), 0
+        while at < n:
+            while k < len(arcs):
+                end, number = arcs[k]
+                k += 1
+                ok = last < 0 or number < 0
+                if not ok:
+                    ok = pairs.get(last << 20 | number)
+                    if ok is None:
+                        ok = allowed(last, number)
+                if ok and (end, number) not in dead:
+                    path.append((at, last, arcs, k))
+                    at, last = end, number
+                    arcs, k = (self.arcs(text, at), 0) if at < n else ([], 0)
                     break
-                node = node.get(text[j])
+            else:
+                dead.add((at, last))
+                if not path:
+                    raise ValueError("no path: the vocabulary lacks a merge")
+                at, last, arcs, k = path.pop()
         out: list[int] = []
-        at = n
-        last = min(states[n], key=lambda k: states[n][k][0])
-        while at:
-            _, start, before = states[at][last]
-            out.append(last if last >= 0 else -1 - start)
-            at, last = start, before
-        out.reverse()
-        if min(out, default=0) < 0:
-            out = [k for x in out for k in ([x] if x >= 0 else [self.model.byte_ids[b] for b in text[-1 - x].encode("utf-8", "surrogatepass")])]
+        for start, _, tried, k in path:
+            number = tried[k - 1][1]
+            out += [number] if number >= 0 else [self.model.byte_ids[b] for b in text[start].encode("utf-8", "surrogatepass")]
         return out
 
+    def packed(self, text: str) -> bytes:
+        """Ids of a text as 32-bit integers."""
+        known, out = self.known, []
+        for part in WORDS.findall(normalised(text)):
+            own = known.get(part)
+            if own is None:
+                own = np.array(self.compose(part), np.int32).tobytes()
+                if len(part) < 64:
+                    if len(known) > KEPT:
+                        known.clear()
+                    known[part] = own
+            out.append(own)
+        return b"".join(out)
+
     def encode(self, batch: list[str]) -> list[list[int]]:
         """Ids of each text."""
-        known, out = self.known, []
-        if len(known) > KEPT:
-            known.clear()
-        for text in batch:
-            ids: list[int] = []
-            for part in WORDS.findall(normalised(text)):
-                own = known.get(part)
-                if own is None:
-                    own = self.compose(part)
-                    if len(part) < 64:
-                        known[part] = own
-                ids += own
-            out.append(ids)
-        return out
+        return [np.frombuffer(self.packed(t), np.int32).tolist() for t in batch]
 
     def decode(self, ids: list[int]) -> str:
         """The text of a list of ids."""
-        pieces, raw = self.model.pieces, self.bytes
-        body = b"".join(bytes([raw[k]]) if k in raw else pieces[k].encode() for k in ids).decode("utf-8", "replace").replace(SPACE_MARK, " ")
-        return body[1:] if body.startswith(" ") else body
+        body = b"".join(map(self.spelled.__getitem__, ids))
+        return (body[1:] if body.startswith(b" ") else body).decode("utf-8", "replace")
 
 
 @lru_cache(maxsize=2)
@@ -151,6 +152,11 @@ def transducer(path: str) -> Transducer:
     return Transducer(load(path))
 
 
+def _lists(packed: list[bytes]) -> pa.Array:
+    offsets = np.concatenate(([0], np.cumsum([len(x) // 4 for x in packed]))).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.frombuffer(b"".join(packed), np.int32)))
+
+
 def encode_texts(docs: DataFrame, path: str) -> DataFrame:
     """docs with ids array<int> of text; an input column of that name is replaced."""
     schema = with_fields(docs.schema, [T.StructField("ids", T.ArrayType(T.IntegerType(), False))])
@@ -161,11 +167,8 @@ def encode_texts(docs: DataFrame, path: str) -> DataFrame:
         for whole in batches:
             at = whole.schema.get_field_index("text")
             for batch in chunks(whole, at):
-                ids = t.encode(texts(batch.column(at)))
-                offsets = np.concatenate(([0], np.cumsum([len(x) for x in ids]))).astype(np.int32)
-                flat = np.fromiter((k for x in ids for k in x), np.int32, int(offsets[-1]))
-                column = pa.ListArray.from_arrays(pa.array(offsets), pa.array(flat))
-                yield pa.RecordBatch.from_arrays([*(batch.column(batch.schema.get_field_index(n)) for n in names), column], [*names, "ids"])
+                ids = _lists([t.packed(x) for x in texts(batch.column(at))])
+                yield pa.RecordBatch.from_arrays([*(batch.column(batch.schema.get_field_index(n)) for n in names), ids], [*names, "ids"])
 
     return docs.mapInArrow(run, schema)
 
@@ -186,6 +189,15 @@ def decode_texts(encoded: DataFrame, path: str) -> DataFrame:
 
 def round_trip(docs: DataFrame, path: str) -> DataFrame:
     """doc_id, n_chars, n_ids, ids, and the digest of the text decoded from ids with whether it equals the text."""
-    kept = encode_texts(docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text")), path)
-    out = decode_texts(kept, path)
-    return out.select("doc_id", F.char_length("text").alias("n_chars"), F.size("ids").alias("n_ids"), "ids", F.sha2("decoded", 256).alias("decoded_sha256"), (F.col("decoded") == F.col("text")).alias("lossless"))
+
+    def run(batches):
+        t = transducer(path)
+        for whole in batches:
+            for batch in chunks(whole, 1):
+                body = texts(batch.column(1))
+                packed = [t.packed(x) for x in body]
+                back = [t.decode(np.frombuffer(x, np.int32).tolist()) for x in packed]
+                columns = [pa.array([len(x) for x in body], pa.int64()), pa.array([len(x) // 4 for x in packed], pa.int64()), _lists(packed), pa.array([hashlib.sha256(x.encode("utf-8", "surrogatepass")).hexdigest() for x in back]), pa.array([x == y for x, y in zip(body, back, strict=True)])]
+                yield pa.RecordBatch.from_arrays([batch.column(0), *columns], ["doc_id", "n_chars", "n_ids", "ids", "decoded_sha256", "lossless"])
+
+    return docs.selectExpr("cast(doc_id AS long) AS doc_id", "text").mapInArrow(run, "doc_id long, n_chars long, n_ids long, ids array<int>, decoded_sha256 string, lossless boolean")
