@@ -142,9 +142,11 @@ def with_posterior(match: DataFrame, ln_b: str, counts: list[float], sky_fractio
 
 
 def ln_gaussian_property(value1, sigma1, value2, sigma2, spread: float) -> Column:
-    """An extension: evidence of two measurements of one property, against two draws from a population of given spread."""
-    s1, s2 = _c(sigma1) * _c(sigma1), _c(sigma2) * _c(sigma2)
-    t = spread * spread
-    one, two = s1 + s2 + s1 * s2 / t, (s1 + t) * (s2 + t) / t
+    """An extension: evidence in the difference of two measurements of one property, against two draws from a population.
+
+    Under one source the difference has the errors' variance, under two also twice the population's (spread squared).
+    """
+    same = _c(sigma1) * _c(sigma1) + _c(sigma2) * _c(sigma2)
+    apart = same + 2 * spread * spread
     gap = _c(value1) - _c(value2)
-    return 0.5 * F.log(two / one) - gap * gap / 2 * (1 / (s1 + s2) - 1 / (s1 + s2 + 2 * t))
+    return 0.5 * F.log(apart / same) - gap * gap / 2 * (1 / same - 1 / apart)

@@ -134,3 +134,15 @@ def flux(mag, zero_point: float = 0.0) -> Column:
 
 def colour(blue, red) -> Column:
     return _c(blue) - _c(red)
+
+
+def propagate(ra, dec, pm_ra_mas, pm_dec_mas, years) -> tuple[Column, Column]:
+    """An extension for moving objects: the position some years later along a great circle; pm_ra is along the parallel."""
+    x, y, z = sky_to_xyz(ra, dec)
+    a, d = F.radians(_c(ra)), F.radians(_c(dec))
+    east = (-F.sin(a), F.cos(a), F.lit(0.0))
+    north = (-F.sin(d) * F.cos(a), -F.sin(d) * F.sin(a), F.cos(d))
+    u, v = (_c(k) * ARCSEC / 1000 * _c(years) for k in (pm_ra_mas, pm_dec_mas))
+    size = F.greatest(F.sqrt(u * u + v * v), F.lit(1e-300))
+    moved = [p * F.cos(size) + (e * u + n * v) / size * F.sin(size) for p, e, n in zip((x, y, z), east, north, strict=True)]
+    return xyz_to_sky(*moved)

@@ -9,7 +9,7 @@ from dataclasses import replace
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .functions.evidence import evidence_class, fisher_ln_pdf, ln_bayes_flat, weight, with_posterior
+from .functions.evidence import evidence_class, fisher_ln_pdf, ln_bayes_flat, ln_gaussian_property, weight, with_posterior
 from .functions.plan import sealed
 from .functions.sphere import chord2, chord_of, separation_as
 from .operators import baselines, metrics, relational
@@ -388,6 +388,40 @@ def replication_factor(spark, d):
     return out
 
 
+FACTORS = (10.0, 30.0, 60.0, 100.0)
+
+
+def accuracy_by_crowding(spark, d):
+    """Completeness and purity of the pair match as errors grow against the density."""
+    n, out = catalog(spark, d, "uv").count(), None
+    for k in FACTORS:
+        row = metrics.accuracy(_labelled(spark, d, Field(factor=k), 1e3), F.col("true"), n).withColumn("factor", F.lit(k))
+        out = row if out is None else out.unionByName(row)
+    return out.select("factor", "found", "correct", F.round("completeness", 6).alias("completeness"), F.round("purity", 6).alias("purity"))
+
+
+def colour_evidence(spark, d):
+    """Positions and magnitudes together: evidence of independent properties adds up."""
+    extra = ln_gaussian_property(F.col("optical.mag"), 1.0, F.col("uv.mag"), 1.0, 3.0)
+    parts = [part(spark, d, n, f=CROWD60, columns=("mag",)) for n in ("optical", "uv")]
+    m = match_all(parts, 1e3, extra_evidence=extra)
+    return m.select(F.col("optical.key").alias("optical_key"), F.col("uv.key").alias("uv_key"), F.round("x.ln_total", 3).alias("ln_total"))
+
+
+def cap_prior(spark, d):
+    """The prior over the field instead of the whole sphere: the same limit on evidence asks for closer pairs."""
+    return flat(two(spark, d, f=CROWD60, limit=10.0, prior_area=16 * (math.pi / 180) ** 2), "optical", "uv")
+
+
+def bitmap_levels(spark, d):
+    """Wrong members of a circle by the resolution of its bitmap."""
+    out = None
+    for level in (6, 8, 10):
+        row = pixel_region_error(spark, d, level).filter("exact <> in_bitmap").agg(F.lit(level).alias("level"), F.coalesce(F.sum("n"), F.lit(0)).alias("wrong"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 # Brute-force SQL -------------------------------------------------------------------------------------------------------
 
 
@@ -468,9 +502,8 @@ def _circle(ra, dec, deg, a="o"):
     return f"{a}.cx * {x!r} + {a}.cy * {y!r} + {a}.cz * {z!r} >= {math.cos(math.radians(deg))!r}"
 
 
-def _labelled_sql(limit=1e1):
-    f = CROWD60
-    return f"{ctes('optical', 'uv', f=f)}, p AS ({near('a', 'b', 'optical', 'uv', 300.0)}), m AS (SELECT a.key AS optical_key, b.key AS uv_key, {ln_b('a', 'b')} AS ln_bf, a.obj = b.obj AS yes FROM p JOIN optical a ON a.key = p.a_key JOIN uv b ON b.key = p.b_key WHERE {ln_b('a', 'b')} >= ln({limit!r}))"
+def _labelled_sql(limit=1e1, f=CROWD60):
+    return f"{ctes('optical', 'uv', f=f)}, p AS ({near('a', 'b', 'optical', 'uv', max(300.0, 5 * f.factor))}), m AS (SELECT a.key AS optical_key, b.key AS uv_key, {ln_b('a', 'b')} AS ln_bf, a.obj = b.obj AS yes FROM p JOIN optical a ON a.key = p.a_key JOIN uv b ON b.key = p.b_key WHERE {ln_b('a', 'b')} >= ln({limit!r}))"
 
 
 def _posterior_sql(rounds=2):
@@ -558,6 +591,10 @@ QUERIES: dict[str, Query] = {
     "roc_by_limit": roc_by_limit,
     "position_rms": position_rms,
     "replication_factor": replication_factor,
+    "accuracy_by_crowding": accuracy_by_crowding,
+    "colour_evidence": colour_evidence,
+    "cap_prior": cap_prior,
+    "bitmap_levels": bitmap_levels,
 }
 
 _THREE = three_sql("require")
@@ -622,3 +659,22 @@ SQL |= relational.SQL | {
     "stream_match": f"SELECT optical_key, transient_key FROM ({SQL['match_row_errors']}) q",
     **dict.fromkeys(("job_retry", "job_resume"), f"SELECT optical_key, uv_key FROM ({two_sql()}) q"),
 }
+_TOTAL = f"({ln_b('a', 'b')} + 0.5 * ln(20.0 / 2) - pow(a.mag - b.mag, 2) / 2 * (1 / 2.0 - 1 / 20.0))"
+_CAP_LIMIT = 10.0 / (4 * math.pi / (16 * (math.pi / 180) ** 2))
+
+
+def _pixel_sql(level: int) -> str:
+    n = 1 << level
+    inner = SQL["pixel_region_error"].replace("1023", str(n - 1)).replace("2047", str(2 * n - 1)).replace("2048", str(2 * n)).replace("1024", str(n))
+    return f"SELECT {level} AS level, CAST(coalesce(sum(n), 0) AS BIGINT) AS wrong FROM ({inner}) q{level} WHERE exact <> in_bitmap"
+
+
+SQL |= {
+    "accuracy_by_crowding": " UNION ALL ".join(
+        f"SELECT CAST({k} AS DOUBLE) AS factor, found, correct, round(correct / total, 6) AS completeness, round(correct / found, 6) AS purity FROM (WITH {_labelled_sql(1e3, Field(factor=k))} SELECT count(*) AS found, count(*) FILTER (WHERE yes) AS correct, (SELECT count(*) FROM uv) AS total FROM m) f{k:.0f}"
+        for k in FACTORS
+    ),
+    "colour_evidence": f"WITH {ctes('optical', 'uv', f=CROWD60)}, p AS ({near('a', 'b', 'optical', 'uv', 300.0)}) SELECT a.key AS optical_key, b.key AS uv_key, round({_TOTAL}, 3) AS ln_total FROM p JOIN optical a ON a.key = p.a_key JOIN uv b ON b.key = p.b_key WHERE {ln_b('a', 'b')} >= ln(1000.0) AND {_TOTAL} >= ln(1000.0)",
+    "cap_prior": two_sql(f=CROWD60, limit=_CAP_LIMIT),
+    "bitmap_levels": " UNION ALL ".join(_pixel_sql(k) for k in (6, 8, 10)),
+}
