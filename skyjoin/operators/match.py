@@ -13,11 +13,11 @@ from dataclasses import dataclass, field, replace
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.evidence import largest_deficit, ln_bayes, ln_bound, ln_term, merged_deficit, search_chord, weight
+from ..functions.evidence import ln_bayes, ln_bound, ln_term, merged_deficit, search_chord, weight
 from ..functions.plan import sealed
-from ..functions.sphere import PER_RADIAN, declination, length, right_ascension
+from ..functions.sphere import PER_RADIAN, angle_of, declination, length, right_ascension
 from .regions import Region
-from .zones import Grid, choose_grid, pair_table, sky_columns
+from .zones import Grid, pair_table, sky_columns
 
 REQUIRE, ALLOW, FORBID = "require", "allow", "forbid"
 STATE = ("__ax", "__ay", "__az", "__W", "__D", "__S")
@@ -184,7 +184,7 @@ def match_all(
     """All tuples whose Bayes factor reaches limit.
 
     plan: sequential, cascading (pairs of catalogs, then pairs of matches) or colocated (catalogs of a site first). order: listed,
-    reversed or estimated (rows by alias). The region tests the first listed catalog (owner), the combined position, or comes
+    reversed or estimated (rows by alias). The region tests the first required catalog listed (owner), the combined position, or comes
     last (post); other catalogs are cut to the region grown by the reach. payload rejoin fetches columns by key at the end.
     prior_area: the isotropic prior is over that many steradians instead of the whole sphere.
     """
@@ -199,23 +199,33 @@ def match_all(
     if payload == "rejoin":
         parts = [replace(p, columns=()) for p in parts]
     parts = [p.bound() for p in parts]
-    owner = parts[0].alias
+    owner = next(p.alias for p in parts if p.mode == REQUIRE)  # the region's
     listed = order_participants(parts, rows if order == "estimated" else None)
     if order == "reversed":
         listed = order_participants(list(reversed(parts)))
     keys = {p.alias: p.key for p in parts}
     need, may, without = ([p for p in listed if p.mode == m] for m in (REQUIRE, ALLOW, FORBID))
+    if prior_area is not None and may:
+        raise ValueError("another prior area needs a fixed number of members: no optional catalog")
     if prior_area is not None:  # every detection but one gains the same factor
         ln_limit -= (len(need) - 1) * math.log(4 * math.pi / prior_area)
-    everything = [p.weights for p in need + may]
-    reach = math.degrees(search_chord([everything[0]], everything[1:] or [everything[0]], [], ln_limit)) * 2 if region is not None and len(everything) > 1 else 0.0
+    taking = need + may
+
+    def apart(p: Participant, q: Participant) -> float:
+        """Degrees that no two members of an accepted tuple are farther apart, whether optional ones take part or not."""
+        others = [[o.weights[1] for o in own if o.alias not in (p.alias, q.alias)] for own in (need, taking)]
+        return angle_of(max(search_chord([p.weights], [q.weights], rest, ln_limit) for rest in others))
+
+    def grown(p: Participant) -> float:
+        """How far outside the region a detection can matter."""
+        if region_on == "owner":
+            return 0.0 if p.alias == owner else apart(p, next(q for q in need if q.alias == owner))
+        return max((apart(p, q) for q in taking if q.alias != p.alias), default=0.0)
 
     def side(p: Participant) -> Side:
-        own = region if region_on != "post" else None
-        grown = 0.0 if region_on == "owner" and p.alias == owner else reach
-        if p.mode == FORBID:
-            own = None
-        return Side(states(p, own, grown), (p.weights,), (rows or {}).get(p.alias), p.site)
+        cut = region is not None and region_on != "post" and p.mode != FORBID
+        df = states(p, region, grown(p)) if cut else states(p)
+        return Side(df, (p.weights,), (rows or {}).get(p.alias), p.site)
 
     may_rest = [(p.weights[1], False) for p in may] if rescue else []
 
@@ -346,6 +356,3 @@ def classify_dropouts(match: DataFrame, alias: str, footprint: Region | None = N
     blocked_ = F.col("blocked") if "blocked" in match.columns else F.lit(False)
     verdict = F.when(blocked_, "blocked").when(~seen, "not_observed").when(hidden, "masked").otherwise("true_dropout")
     return match.withColumn("verdict", verdict).withColumn("upper_limit", F.when(verdict == "true_dropout", F.lit(limit_mag).cast("double")))
-
-
-__all__ = ["ALLOW", "FORBID", "REQUIRE", "Participant", "choose_grid", "largest_deficit", "match_all", "resolve", "self_match"]
