@@ -2,7 +2,10 @@
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+import os
+from pathlib import Path
+
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
@@ -14,3 +17,12 @@ def sealed(df: DataFrame, columns: dict[str, Column]) -> DataFrame:
     """
     fresh = F.inline(F.array(F.struct(*[c.alias(n) for n, c in columns.items()])))
     return df.select(*[c for c in df.columns if c not in columns], fresh)
+
+
+def importable(spark: SparkSession) -> SparkSession:
+    """Lets Python workers import this package even if only the driver's sys.path has it."""
+    root, env = str(Path(__file__).resolve().parents[2]), spark.sparkContext.environment
+    paths = env.get("PYTHONPATH", "").split(os.pathsep)
+    if root not in paths:
+        env["PYTHONPATH"] = os.pathsep.join([root, *filter(None, paths)])
+    return spark
