@@ -165,9 +165,10 @@ def edited_fingerprints(docs: DataFrame) -> DataFrame:
     edited = F.concat(F.substring(F.col("text"), F.lit(1), n - half), F.substring(F.col("head"), F.lit(1), half))
     main = base.join(given, F.col("id") == F.col("target")).select("id", F.xxhash64("text").alias("mark"), edited.alias("edited"))
     main = main.select("id", "mark", F.sha2("edited", 256).alias("edited_sha256"), fingerprint(F.col("edited")).alias("edited_fingerprint"))
-    own = known.groupBy("id", "mark").agg(F.max("n_chars").alias("n_chars"), F.max("fingerprint").alias("fingerprint"))
+    own = known.groupBy("id", F.col("mark").alias("own_mark")).agg(F.max("n_chars").alias("n_chars"), F.max("fingerprint").alias("fingerprint"))
     following = pairs.join(heads.select(F.col("id").alias("next_id"), F.col("f").alias("next_fingerprint")), "next_id")
-    out = main.join(own, ["id", "mark"]).join(following, "id")
+    # All by id, as the texts already lie: only the narrow sides move.
+    out = main.join(own, "id").filter("mark = own_mark").join(following, "id")
     return out.select(
         F.expr(f"CASE WHEN id > {-(2**63) + 1} THEN id END").alias("doc_id"), "n_chars", "edited_sha256", "fingerprint", "edited_fingerprint",
         likeness(F.col("fingerprint"), F.col("edited_fingerprint")).alias("near_edited"), likeness(F.col("fingerprint"), F.col("next_fingerprint")).alias("near_next"),
