@@ -78,3 +78,17 @@ def id_of(column: str = "doc_id"):
 def power_of_two(n: float, least: int, most: int) -> int:
     """The exponent of the first power of two that is not below n, held between two exponents."""
     return int(min(most, max(least, np.ceil(np.log2(max(n, 1))))))
+
+
+#: Parts into which rows of one key are dealt before they meet the single row of that key on the other side.
+SALTS = 16
+
+
+def salted_join(many: DataFrame, one: DataFrame, key: str, by: str) -> DataFrame:
+    """many joined to one on key, where one has a row for each key and a key may have a third of all rows of many.
+
+    Rows of many are dealt by the hash of column `by`; the other side's rows are copied to each deal.
+    """
+    a = many.withColumn("__salt", F.expr(f"pmod(xxhash64(`{by}`), {SALTS}L)"))
+    b = one.withColumn("__salt", F.expr(f"explode(sequence(0L, {SALTS - 1}L))"))
+    return a.join(b, [key, "__salt"]).drop("__salt")

@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import SPACE, id_of, power_of_two, text_bytes, with_fields
+from .common import SPACE, id_of, power_of_two, salted_join, text_bytes, with_fields
 
 MIN_CHARS, MIN_DOCS = 20, 3
 #: Bits for each document, and the exponents between which a filter's size stays.
@@ -176,7 +176,7 @@ def dedup_lines(docs: DataFrame, least_chars: int = MIN_CHARS, least_docs: int =
     suspects = docs.select(id_of().alias("id"), "text").mapInArrow(_suspects(twice, bits, least_chars), "id long, key binary")
     # (key, id) first: even a key of a third of all documents is spread, then counted by partial sums.
     owners = suspects.distinct().groupBy("key").agg(F.count("*").alias("n"), F.max("id").alias("owner")).filter(F.col("n") >= least_docs).select("key", "owner")
-    gone = suspects.join(owners, "key").filter(F.col("id") != F.col("owner")).groupBy("id").agg(F.collect_set("key").alias("gone"))
+    gone = salted_join(suspects, owners, "key", "id").filter(F.col("id") != F.col("owner")).groupBy("id").agg(F.collect_set("key").alias("gone"))
     schema = with_fields(docs.schema, [T.StructField("n_lines", T.LongType()), T.StructField("n_dropped", T.LongType())])
     names = schema.names[:-2]
     clean = docs.mapInArrow(_finish(twice, bits, least_chars, names, True, False), schema)
