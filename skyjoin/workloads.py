@@ -678,3 +678,10 @@ SQL |= {
     "cap_prior": two_sql(f=CROWD60, limit=_CAP_LIMIT),
     "bitmap_levels": " UNION ALL ".join(_pixel_sql(k) for k in (6, 8, 10)),
 }
+
+_TRUE = catalog_sql("optical", replace(FINE, factor=1e-9))
+_RMS = ", ".join(f"round(sqrt(avg(pow({x} - t.cx, 2) + pow({y} - t.cy, 2) + pow({z} - t.cz, 2))) * 206264.80624709636, 4) AS rms_{n}" for n, x, y, z in (("x", "m.x / m.n", "m.y / m.n", "m.z / m.n"), ("optical", "o.cx", "o.cy", "o.cz"), ("uv", "u.cx", "u.cy", "u.cz")))
+SQL |= {
+    "wedge_bounds": f"WITH {ctes('optical', f=FULL)} SELECT 0 AS k, CAST(0 AS DOUBLE) AS ra UNION ALL SELECT 8, 360 UNION ALL " + " UNION ALL ".join(f"SELECT {k}, (SELECT round(quantile_disc(ra, {k / 8}), 6) FROM optical)" for k in range(1, 8)),
+    "position_rms": f"WITH q AS ({two_sql(extra=', a.w * a.cx + b.w * b.cx AS x, a.w * a.cy + b.w * b.cy AS y, a.w * a.cz + b.w * b.cz AS z, a.obj AS ao, b.obj AS bo')}), m AS (SELECT *, sqrt(x * x + y * y + z * z) AS n FROM q WHERE ao = bo), {ctes('optical', 'uv')}, t AS ({_TRUE}) SELECT {_RMS} FROM m JOIN optical o ON o.key = m.optical_key JOIN uv u ON u.key = m.uv_key JOIN t ON t.obj = m.ao",
+}
