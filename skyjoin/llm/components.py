@@ -5,20 +5,20 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed
+from .common import checkpointed, salted_join
 
 
 def _large(edges: DataFrame) -> DataFrame:
     """Each node's larger neighbours move to its least neighbour."""
     both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
     least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-    return both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b"))
+    return salted_join(both.filter("b > a"), least, "a", "b").select(F.col("b").alias("a"), F.col("m").alias("b"))
 
 
 def _small(edges: DataFrame) -> DataFrame:
     """Each node and its smaller neighbours move to the least of them. Edges have a > b."""
     least = edges.groupBy("a").agg(F.min("b").alias("m"))
-    moved = edges.join(least, "a").filter("b > m").select(F.col("b").alias("a"), F.col("m").alias("b"))
+    moved = salted_join(edges, least, "a", "b").filter("b > m").select(F.col("b").alias("a"), F.col("m").alias("b"))
     return moved.unionByName(least.select("a", F.col("m").alias("b")))
 
 
@@ -26,7 +26,7 @@ def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     """(node, label) for each node of the edges (a, b): label is the least node of its component.
 
     Self-loops, repeats and both directions are allowed; an empty table gives an empty one. A node with most of the edges is
-    counted by partial sums and joined in splits. The number of rounds grows with the logarithm of the nodes.
+    counted by partial sums and joined in deals of its edges. The number of rounds grows with the logarithm of the nodes.
     """
     ordered = edges.filter("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
     now, before = checkpointed(ordered), None
