@@ -1,7 +1,8 @@
 """Toxicity scores from Levenshtein automata intersected with a lexicon trie, and the context of what they find.
 
-The lexicon is learned: words and stems (written "stem*", for all their endings) that many toxic and almost no other sampled
-texts hold, by likelihood ratio; a term's strength is how much more often toxic texts hold it. Its trie is intersected with the Levenshtein automata of all its terms at once: a state is a set of (trie node, edits so far), made when
+The lexicon is learned: words and stems (written "stem*", for all their endings) that toxic texts hold more often than other
+sampled ones, by likelihood ratio. The floor is a number of texts, not a share of all toxic ones, so that a language with a small
+part of the corpus gets terms too; a term's strength is how much more often toxic texts hold it. Its trie is intersected with the Levenshtein automata of all its terms at once: a state is a set of (trie node, edits so far), made when
 first met and kept, so that a word costs one table step a character and most words end in the dead state after a few.
 Words allow 0 edits below 4 characters, 1 below 8, else 2, stems none; digits and signs that stand for letters are read as those. Words that
 other sampled texts use aren't taken for misspellings.
@@ -29,8 +30,8 @@ from pyspark.sql import functions as F
 from .common import chunks, texts
 
 WORD = re.compile(r"[^\W_]+(?:[@$!*'][^\W_]+)*")
-#: The training sample's bounds; the least likelihood ratio and share of toxic texts of a term.
-SAMPLE, SAMPLE_BYTES, LEAST_RATIO, LEAST_SHARE, MOST_TERMS = 1500, 20_000, 20.0, 0.03, 5000
+#: The training sample's bounds; the least likelihood ratio and number of toxic texts of a term.
+SAMPLE, SAMPLE_BYTES, LEAST_RATIO, LEAST_TEXTS, MOST_TERMS = 1500, 20_000, 20.0, 3, 5000
 #: Words on either side that make a hit's context; weight of a hit by its edits; words that a worker keeps.
 WINDOW, EDIT_WEIGHT, KEPT = 6, (1.0, 0.8, 0.6), 500_000
 THRESHOLD = 0.7
@@ -233,7 +234,7 @@ def train(rows: list[tuple[str, int]]) -> Model:
     scored = []
     for w, a in held[1].items():
         b = held[0][w]
-        if a >= max(3, LEAST_SHARE * n[1]) and a / n[1] >= 20 * (b + 0.5) / n[0] and (r := _ratio(a, n[1], b, n[0])) >= LEAST_RATIO:
+        if a >= LEAST_TEXTS and a / n[1] > (b + 0.5) / n[0] and (r := _ratio(a, n[1], b, n[0])) >= LEAST_RATIO:
             scored.append((-round(r, 6), w.endswith("*"), -len(w), w, math.log(a / n[1] / ((b + 0.5) / n[0]))))
     terms: list[str] = []
     strength: list[float] = []

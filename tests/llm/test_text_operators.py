@@ -410,6 +410,15 @@ def test_toxicity(spark, docs, none):
     assert lexicon_automata.toxicity_report(docs, lab.limit(0)).count() == docs.count()
 
 
+def test_toxicity_recall_by_language(spark):
+    """A language with a small part of the corpus gets terms too: held-out rows of sf0.1."""
+    docs, labels = (spark.read.parquet(f"/root/testdata/sf0.1/{n}.parquet") for n in ("documents", "labels"))
+    scored = lexicon_automata.toxicity_report(docs, labels).filter("held_out").join(labels, "doc_id").join(docs.select("doc_id", "lang"), "doc_id")
+    toxic = {r.lang: (r.found, r.n) for r in scored.filter("toxic = 1").groupBy("lang").agg(F.sum("predicted").alias("found"), F.count("*").alias("n")).collect()}
+    assert len(toxic) == 4 and all(found >= 0.85 * n for found, n in toxic.values()), toxic
+    assert scored.filter("toxic = 0").agg(F.avg("predicted")).first()[0] < 0.01
+
+
 # Personal data --------------------------------------------------------------------------------------------------------------
 
 
