@@ -4,7 +4,7 @@ The lexicon is learned: words and stems (written "stem*", for all their endings)
 sampled ones, by likelihood ratio. The floor is a number of texts, not a share of all toxic ones, so that a language with a small
 part of the corpus gets terms too; a term's strength is how much more often toxic texts hold it. Its trie is intersected with the Levenshtein automata of all its terms at once: a state is a set of (trie node, edits so far), made when
 first met and kept, so that a word costs one table step a character and most words end in the dead state after a few.
-Words allow 0 edits below 4 characters, 1 below 8, else 2, stems none; digits and signs that stand for letters are read as those. Words that
+Words allow 0 edits below 4 characters, 1 below 8, else 2, stems none, but full words seen under a stem stand beside it; digits and signs that stand for letters are read as those. Words that
 other sampled texts use aren't taken for misspellings.
 
 A hit's weight falls with its edits; within a window of words, quotation marks around it or a verb of reporting beside it lower
@@ -93,8 +93,8 @@ class TrieAutomaton:
                     least[k] = e
                     work.append(k)
         for node, e in least.items():
-            if e == 0 and stem < 0:
-                stem = self.stem.get(node, -1)
+            if e == 0:  # the longest stem passed
+                stem = self.stem.get(node, stem)
         key = (frozenset(least.items()), stem)
         if key not in self.number:
             self.number[key] = len(self.states)
@@ -238,17 +238,31 @@ def train(rows: list[tuple[str, int]]) -> Model:
             scored.append((-round(r, 6), w.endswith("*"), -len(w), w, math.log(a / n[1] / ((b + 0.5) / n[0]))))
     terms: list[str] = []
     strength: list[float] = []
-    starts: set[str] = set()  # of all terms taken
+    starts: dict[str, int] = {}  # of all terms taken, to the most toxic texts of one
     for _, _, _, w, odds in sorted(scored):
         body = w.removesuffix("*")
-        if len(terms) < MOST_TERMS and body not in starts and not any(body[:k] + "*" in terms for k in STEMS if k <= len(body)):
+        # A wider stem than a term taken must hold in more texts than that term, by the floor.
+        if len(terms) < MOST_TERMS and (body not in starts or w.endswith("*") and held[1][w] >= starts[body] + LEAST_TEXTS) and not any(body[:k] + "*" in terms for k in STEMS if k <= len(body)):
             terms.append(w)
             strength.append(min(1.0, odds / math.log(500)))
-            starts.update(body[:k] for k in range(1, len(body) + 1))
+            starts.update((body[:k], max(held[1][w], starts.get(body[:k], 0))) for k in range(1, len(body) + 1))
+    # A stem itself allows no edits, as it may end in anything; the full words seen under it stand beside it with their own.
+    stems = {t for t in terms if t.endswith("*")}
+    for w, a in sorted(held[1].items(), key=lambda x: (-x[1], x[0])):
+        rate, b = a / n[1], held[0][w]
+        if len(terms) < MOST_TERMS and a >= LEAST_TEXTS and rate > (b + 0.5) / n[0] and not w.endswith("*") and any(w[:k] + "*" in stems for k in STEMS):
+            terms.append(w)
+            strength.append(min(1.0, math.log(rate / ((b + 0.5) / n[0])) / math.log(500)))
     plain = TrieAutomaton(terms)
-    ordinary = frozenset(w for w in held[0] if not w.endswith("*") and (m := plain.match(w)) and m[0])
-    scorer = Scorer(Model(terms, strength, ordinary))
-    x = np.array([[1.0, *scorer.features(t or "")[0]] for t, _ in rows])
+    near = {w for w in held[0] if not w.endswith("*") and (m := plain.match(w)) and m[0]}
+    # The weights are fitted on texts whose own words didn't count as ordinary, as with texts outside the sample: half by half.
+    halves = [set(), set()]
+    for i, (text, y) in enumerate(rows):
+        if not y:
+            halves[i % 2].update(near.intersection(WORD.findall((text or "").lower())))
+    scorers = [Scorer(Model(terms, strength, frozenset(halves[1 - k]))) for k in (0, 1)]
+    x = np.array([[1.0, *scorers[i % 2].features(t or "")[0]] for i, (t, _) in enumerate(rows)])
+    ordinary = frozenset(near)
     y = np.array([k for _, k in rows], float)
     w = np.zeros(x.shape[1])
     for _ in range(25):  # Newton's method with a penalty

@@ -419,6 +419,17 @@ def test_toxicity_recall_by_language(spark):
     assert scored.filter("toxic = 0").agg(F.avg("predicted")).first()[0] < 0.01
 
 
+def test_misspelled_words_of_a_stem():
+    rng = random.Random(4)
+    rows = [(" ".join([*rng.choices(WORDS, k=40), *([rng.choice(["krelmota", "krelmoten", "krelmotig"])] if y else [])]), y) for y in [0] * 200 + [1] * 60]
+    scorer = lexicon_automata.Scorer(lexicon_automata.train(rows))
+    assert any(t.endswith("*") and "krelmoten".startswith(t[:-1]) for t in scorer.model.terms)
+    for word, edits_ in (("krelmoten", 0), ("krelmotung", 0), ("krxlmoten", 1), ("kelmotig", 1), ("krellmoota", 2)):
+        found = scorer.word(word)
+        assert found is not None and found[0] == edits_, word
+    assert scorer.word("karlmuht") is None
+
+
 # Personal data --------------------------------------------------------------------------------------------------------------
 
 
