@@ -9,13 +9,16 @@ permutation, so equal entities have equal surrogates in every document (corefere
   a Feistel network over the next even number of bits, again until it is back in range;
 * a card keeps its prefix-independent checksum distance (a valid number stays valid), an address its private or public range,
   a phone its country code, an e-mail goes under the reserved name "example";
-* a given name of the lists moves within the list of its gender and script; other names keep vowels, consonants and script.
+* a given name of the lists moves within the list of its gender and script; other names keep vowels, consonants and script
+  and never become a listed one. A name found after a title is replaced wherever it stands later in the text, whole or
+  by one of its words; a word that the text also has in small letters counts as no name.
 
-collisions() checks a table of entities: surrogates of more than one original, or originals with more than one surrogate.
+The report first runs the collision check over all distinct entities; an original whose surrogate is taken gets that of the next
+tweak. collisions() checks a table of entities: surrogates of more than one original, or originals with more than one surrogate.
 
 The key is an argument; DEMO_KEY only makes results repeatable. Edge cases: null texts stay null; overlapping finds go to the
-earlier, then longer one; nothing outside the finds changes; an image equal to its original (chance one in the size of the
-format's space) is taken again under the next tweak.
+earlier, then longer one; nothing outside the finds changes; the permutations have no fixed points, so no image equals its
+original unless its format has one string alone.
 """
 
 from __future__ import annotations
@@ -44,6 +47,7 @@ GIVEN = {
     ("m", "greek"): "Αλέξανδρος Γιώργος Δημήτρης Κώστας Νίκος Πέτρος".split(),
 }
 TITLES = {"f": "Mrs Ms Miss Madam Frau Señora Señorita Sra Srta Madame Mademoiselle Mme Mlle г-жа госпожа κυρία".split(), "m": "Mr Mister Sir Herr Señor Sr Monsieur г-н господин κύριος".split(), "": "Dr Prof".split()}
+LISTED = frozenset(n for own in GIVEN.values() for n in own)
 SECRET = "token|secret|password|passwd|api[_-]?key|access[_-]?key"
 VOWELS = "aeiou"
 CONSONANTS = "bcdfghjklmnpqrstvwxyz"
@@ -67,6 +71,8 @@ PATTERNS = {
     "phone": re.compile(r"(?<![\w.])(?:\+(?P<country>\d{1,3})[ .-]?)?\(?\d{2,4}\)?[ .-]\d{3,4}[ .-]?\d{3,4}(?![\w])|(?<![\w.])\+\d{8,15}(?![\w])"),
     "name": re.compile(rf"(?<!\w)(?P<title>{_TITLE})\.?\s+(?P<names>{_NAME}(?:[ ]{_NAME}){{0,2}})"),
 }
+_TITLES = frozenset(t for own in TITLES.values() for t in own)
+_WORD = re.compile(r"\w+")
 _MARKS = re.compile(r"[@0-9]")
 _SECRET = re.compile(rf"(?i){SECRET}")
 
@@ -78,19 +84,30 @@ class Keyed:
         self.key = hashlib.blake2b(key, digest_size=32).digest()
 
     def number(self, value: int, size: int, tweak: bytes) -> int:
-        """The image of value under a permutation of 0 .. size - 1."""
+        """The image of value under a permutation of 0 .. size - 1 that leaves nothing in its place.
+
+        The value's place in a keyed order is shifted by a keyed number and read back: still a permutation, without fixed points.
+        """
         if size < 2:
             return value
         half = max(1, -(-(size - 1).bit_length() // 2))
         low, mask = (half + 7) // 8, (1 << half) - 1
-        while True:
-            a, b = value >> half, value & mask
-            for r in range(ROUNDS):
-                h = hashlib.blake2b(b.to_bytes(low, "big") + bytes([r]) + tweak, key=self.key, digest_size=min(64, low + 8)).digest()
-                a, b = b, a ^ (int.from_bytes(h, "big") & mask)
-            value = a << half | b
-            if value < size:
-                return value
+
+        def mixed(b: int, r: int) -> int:
+            h = hashlib.blake2b(b.to_bytes(low, "big") + bytes([r]) + tweak, key=self.key, digest_size=min(64, low + 8)).digest()
+            return int.from_bytes(h, "big") & mask
+
+        def ordered(value: int, back: bool) -> int:
+            while True:
+                a, b = value >> half, value & mask
+                for r in reversed(range(ROUNDS)) if back else range(ROUNDS):
+                    a, b = (b ^ mixed(a, r), a) if back else (b, a ^ mixed(b, r))
+                value = a << half | b
+                if value < size:
+                    return value
+
+        shift = 1 + int.from_bytes(hashlib.blake2b(b"shift" + tweak, key=self.key, digest_size=min(64, low * 2 + 8)).digest(), "big") % (size - 1)
+        return ordered((ordered(value, False) + shift) % size, True)
 
     def text(self, text: str, kind: str, classes: list[str] = CLASSES) -> str:
         """The image of a string; characters of no class stay."""
@@ -114,6 +131,14 @@ class Keyed:
         return "".join(out)
 
 
+def walked(image, value, inside):
+    """image(value), image(image(value)), ...: the first inside a part of the space. On that part it is a permutation again."""
+    value = image(value)
+    while not inside(value):
+        value = image(value)
+    return value
+
+
 def check_digit(digits: str) -> int:
     """The digit that makes digits plus it a valid card number."""
     total = sum(int(c) if i % 2 else sum(divmod(2 * int(c), 10)) for i, c in enumerate(reversed(digits)))
@@ -128,7 +153,9 @@ def _digits_in(text: str, digits: str) -> str:
 class Surrogates:
     """Finds and replaces the entities of texts."""
 
-    def __init__(self, key: bytes = DEMO_KEY):
+    def __init__(self, key: bytes = DEMO_KEY, again: dict[tuple[str, str], int] | None = None):
+        """again: (kind, digest of an original) to the number of the tweak that it takes, where the first one collides."""
+        self.key, self.again = key, again or {}
         self.keyed = Keyed(key)
         self.replace = lru_cache(maxsize=200_000)(self._replace)
 
@@ -144,6 +171,12 @@ class Surrogates:
         body = self.keyed.text(digits[:-1], f"card{gap}")
         return _digits_in(text, body + str((check_digit(body) + gap) % 10))
 
+    @staticmethod
+    def range(v: int) -> str:
+        if v >> 24 == 0 or v >> 28 >= 14:
+            return "reserved"
+        return "private" if v >> 24 in (10, 127) or v >> 20 == 172 << 4 | 1 or v >> 16 == 192 << 8 | 168 else "public"
+
     def ip(self, text: str) -> str:
         a, b, c, d = map(int, text.split("."))
         value = a << 24 | b << 16 | c << 8 | d
@@ -151,13 +184,9 @@ class Surrogates:
             if value >> bits == top:
                 value = top << bits | self.keyed.number(value & ((1 << bits) - 1), 1 << bits, b"ip")
                 break
-        else:
-            while True:  # public addresses stay public
-                value = self.keyed.number(value, 1 << 32, b"ip")
-                if value >> 24 not in (0, 10, 127) and value >> 20 != 172 << 4 | 1 and value >> 16 != 192 << 8 | 168 and value >> 28 < 14:
-                    break
-                if (a in (0,) or a >= 224) and (value >> 24 == 0 or value >> 28 >= 14):
-                    break  # so do reserved ones among themselves
+        else:  # public addresses stay public, reserved ones reserved
+            kind = self.range(value)
+            value = walked(lambda v: self.keyed.number(v, 1 << 32, b"ip"), value, lambda v: self.range(v) == kind)
         return ".".join(str(value >> k & 255) for k in (24, 16, 8, 0))
 
     def phone(self, text: str, country: str | None) -> str:
@@ -168,24 +197,30 @@ class Surrogates:
         return text[:2] + self.keyed.text(text[2:], f"iban{text[:2]}")
 
     def secret(self, text: str) -> str:
-        own = next(([k] for k in HEX if all(c in k for c in text)), CLASSES)
-        return self.keyed.text(text, "secret", own)
+        # Lower hexadecimal, upper, other: each part of the strings of a format is mapped onto itself.
+        kind = lambda t: next((i for i, k in enumerate(HEX) if all(c in k for c in t)), len(HEX))
+        own = kind(text)
+        return walked(lambda t: self.keyed.text(t, "secret", HEX[own : own + 1] or CLASSES), text, lambda t: kind(t) == own)
+
+    def word(self, word: str, gender: str) -> str:
+        """The image of a word of a name, wherever in the name it stands. Listed names and others don't meet."""
+        listed = [(g, s) for (g, s), names in GIVEN.items() if word in names]
+        if not listed:
+            return walked(lambda t: self.keyed.text(t, "family", SOUNDS), word, lambda t: t not in LISTED)
+        # A given name of the other gender's list only, as after a neutral title, keeps its own gender.
+        group = next((x for x in listed if x[0] == gender), listed[0])
+        names = GIVEN[group]
+        return names[self.keyed.number(names.index(word), len(names), f"given{group}".encode())]
 
     def name(self, text: str, gender: str) -> str:
-        out = []
-        for k, word in enumerate(text.split(" ")):
-            listed = [(g, s) for (g, s), names in GIVEN.items() if word in names]
-            if not k and listed:
-                # A given name of the other gender's list only, as after a neutral title, keeps its own gender.
-                group = next((x for x in listed if x[0] == gender), listed[0])
-                names = GIVEN[group]
-                image = names[self.keyed.number(names.index(word), len(names), f"given{group}".encode())]
-                out.append(image if image != word else names[(names.index(word) + 1) % len(names)] if len(names) == 1 else image)
-            else:
-                out.append(self.keyed.text(word, "family", SOUNDS))
-        return " ".join(out)
+        return " ".join(self.word(w, gender) for w in text.split(" "))
+
+    def digest(self, text: str) -> str:
+        return hashlib.blake2b(text.encode(), key=self.keyed.key, digest_size=16).hexdigest()
 
     def _replace(self, kind: str, text: str, extra: str | None) -> str:
+        if self.again and (n := self.again.get((kind, self.digest(text)))):
+            return Surrogates(self.key + b"\0again%d" % n).replace(kind, text, extra)
         if kind == "phone":
             return self.phone(text, extra)
         if kind == "name":
@@ -202,6 +237,7 @@ class Surrogates:
                 found += [(*m.span(), kind, m.groupdict().get("country")) for m in PATTERNS[kind].finditer(text)]
         if _SECRET.search(text):
             found += [(*m.span(1), "secret", None) for m in PATTERNS["secret"].finditer(text)]
+        known: dict[str, tuple[int, str]] = {}  # names and their words, to the end of the first find
         for m in PATTERNS["name"].finditer(text):
             words = m["names"].split(" ")
             kept = 0
@@ -209,7 +245,13 @@ class Surrogates:
                 kept += 1
             if kept:
                 gender = next(g for g, own in TITLES.items() if m["title"] in own)
-                found.append((m.start("names"), m.start("names") + len(" ".join(words[:kept])), "name", gender))
+                name = " ".join(words[:kept])
+                end = m.start("names") + len(name)
+                found.append((m.start("names"), end, "name", gender))
+                for w in {name, *(w for w in words[:kept] if len(w) > 2 and w not in _TITLES)}:
+                    known.setdefault(w, (end, gender))
+        if known:
+            found += self.mentions(text, known)
         out, end = [], 0
         order = {k: i for i, k in enumerate(("secret", *PATTERNS))}
         for x in sorted(found, key=lambda x: (x[0], -x[1], order[x[2]])):
@@ -218,6 +260,16 @@ class Surrogates:
                 end = x[1]
         return out
 
+    @staticmethod
+    def mentions(text: str, known: dict[str, tuple[int, str]]) -> list[tuple[int, int, str, str | None]]:
+        """Places behind its first find where a name, or a word of it that the text has in capitals only, stands without a title."""
+        small = {w for w in _WORD.findall(text) if w[0].islower()}
+        wanted = sorted((w for w in known if " " in w or w.lower() not in small), key=len, reverse=True)
+        if not wanted:
+            return []
+        pattern = re.compile(rf"(?<!\w)(?:{'|'.join(map(re.escape, wanted))})(?!\w)")
+        return [(*m.span(), "name", known[m[0]][1]) for m in pattern.finditer(text, min(known[w][0] for w in wanted)) if m.start() >= known[m[0]][0]]
+
     def apply(self, text: str) -> tuple[str, list[tuple[int, int, str, str, str]]]:
         """The new text, and (start, end, kind, original, surrogate) of each entity by its place in the old one."""
         found = self.find(text)
@@ -237,13 +289,13 @@ _ENTITY = pa.list_(pa.struct([("start", pa.int32()), ("length", pa.int32()), ("k
 _ENTITY_TYPE = T.ArrayType(T.StructType([T.StructField("start", T.IntegerType()), T.StructField("length", T.IntegerType()), T.StructField("kind", T.StringType()), T.StructField("surrogate", T.StringType())]))
 
 
-def replace_entities(docs: DataFrame, key: bytes = DEMO_KEY) -> DataFrame:
+def replace_entities(docs: DataFrame, key: bytes = DEMO_KEY, again: dict | None = None) -> DataFrame:
     """docs with the entities of text replaced, and entities (place, kind, surrogate; never the original) beside it."""
     schema = with_fields(docs.schema, [T.StructField("entities", _ENTITY_TYPE)])
     names = schema.names[:-1]
 
     def run(batches):
-        s = Surrogates(key)
+        s = Surrogates(key, again)
         for whole in batches:
             place = whole.schema.get_field_index("text")
             for batch in chunks(whole, place):
@@ -255,13 +307,13 @@ def replace_entities(docs: DataFrame, key: bytes = DEMO_KEY) -> DataFrame:
     return docs.mapInArrow(run, schema)
 
 
-def entity_pairs(docs: DataFrame, key: bytes = DEMO_KEY) -> DataFrame:
+def entity_pairs(docs: DataFrame, key: bytes = DEMO_KEY, again: dict | None = None) -> DataFrame:
     """(kind, original_digest, surrogate) of each find, for checks; originals leave as keyed digests alone."""
 
     def run(batches):
-        s = Surrogates(key)
+        s = Surrogates(key, again)
         for batch in batches:
-            rows = [(k, hashlib.blake2b(o.encode(), key=s.keyed.key, digest_size=16).hexdigest(), new) for t in batch.column(0).to_pylist() if t for _, _, k, o, new in s.apply(t)[1]]
+            rows = [(k, s.digest(o), new) for t in batch.column(0).to_pylist() if t for _, _, k, o, new in s.apply(t)[1]]
             yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.string()) for i in range(3)], ["kind", "original", "surrogate"])
 
     return docs.select("text").mapInArrow(run, "kind string, original string, surrogate string")
@@ -275,6 +327,27 @@ def collisions(pairs: DataFrame) -> DataFrame:
     return shared.unionByName(split)
 
 
+def colliding(pairs: DataFrame) -> list[tuple[str, str]]:
+    """(kind, original) of all originals but the first of each surrogate of several ones."""
+    distinct = pairs.distinct()
+    shared = distinct.groupBy("kind", "surrogate").agg(F.count("*").alias("n"), F.min("original").alias("first")).filter("n > 1").collect()
+    if not shared:
+        return []
+    first = {(r["kind"], r["surrogate"]): r["first"] for r in shared}
+    rows = distinct.filter(F.col("surrogate").isin(sorted({r["surrogate"] for r in shared}))).collect()
+    return sorted((r["kind"], r["original"]) for r in rows if first.get((r["kind"], r["surrogate"]), r["original"]) != r["original"])
+
+
+def settled(docs: DataFrame, key: bytes = DEMO_KEY) -> dict[tuple[str, str], int]:
+    """The collision check over all distinct entities, again until nothing collides: tweak numbers of those that did."""
+    again: dict[tuple[str, str], int] = {}
+    while found := colliding(entity_pairs(docs, key, again)):
+        for x in found:
+            again[x] = again.get(x, 0) + 1
+    return again
+
+
 def surrogate_report(docs: DataFrame, key: bytes = DEMO_KEY) -> DataFrame:
-    """What op7 returns: doc_id, the new text, n_entities and the entities."""
-    return replace_entities(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), key).select("doc_id", "text", F.size("entities").alias("n_entities"), "entities")
+    """What op7 returns: doc_id, the new text, n_entities and the entities, after the collision check over the whole table."""
+    again = settled(docs, key)
+    return replace_entities(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), key, again).select("doc_id", "text", F.size("entities").alias("n_entities"), "entities")

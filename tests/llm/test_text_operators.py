@@ -464,6 +464,33 @@ def test_surrogates(docs, extra, none, spark):
     assert untouched.filter(F.col("doc_id") != 15).count() == 0
 
 
+def test_surrogates_move_everything_apart(spark):
+    keyed = surrogates.Keyed(b"k")
+    for n in (2, 6, 7, 20, 1000):
+        images = [keyed.number(i, n, b"t") for i in range(n)]
+        assert sorted(images) == list(range(n)) and all(i != k for i, k in enumerate(images))
+    s = surrogates.Surrogates(b"k")
+    assert all(s.name(n, g) != n and s.name(n, g) in own for (g, _), own in surrogates.GIVEN.items() for n in own)
+    shape = [a + b + c + d for a in "AEIOU" for b in surrogates.CONSONANTS for c in surrogates.CONSONANTS for d in "aeiou"]
+    assert {"Anna", "Emma"} <= set(shape) and len({s.name(w, "f") for w in shape}) == len(shape)
+    ips = [f"{a}.1.2.{b}" for a in (0, 7, 99, 230, 250) for b in range(200)]
+    images = [s.ip(x) for x in ips]
+    assert len(set(images)) == len(ips) and all((int(x.split(".")[0]) in (0, *range(224, 256))) == (int(y.split(".")[0]) in (0, *range(224, 256))) for x, y in zip(ips, images, strict=True))
+    pairs = spark.createDataFrame([("name", "o1", "x"), ("name", "o2", "x"), ("name", "o2", "x"), ("ip", "o3", "x"), ("name", "o4", "y")], "kind string, original string, surrogate string")
+    assert surrogates.colliding(pairs) == [("name", "o2")]
+    again = surrogates.Surrogates(b"k", {("name", s.digest("Smith")): 1})
+    assert again.replace("name", "Smith", "m") != s.replace("name", "Smith", "m") and again.replace("name", "Jones", "m") == s.replace("name", "Jones", "m")
+
+
+def test_later_mentions_of_a_name():
+    s = surrogates.Surrogates(b"k")
+    text = "Smith knew that Mrs Anna Smith came. Anna left, Smith stayed, Anna Smith slept; Smithson and Mr Young are young. Young!"
+    new, found = s.apply(text)
+    given, family = s.name("Anna Smith", "f").split(" ")
+    assert [o for _, _, _, o, _ in found] == ["Anna Smith", "Anna", "Smith", "Anna Smith", "Young"]
+    assert new.startswith(f"Smith knew that Mrs {given} {family} came. {given} left, {family} stayed, {given} {family} slept; Smithson") and new.endswith(" Young!")
+
+
 # Pipeline -------------------------------------------------------------------------------------------------------------------
 
 
