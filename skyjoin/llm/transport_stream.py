@@ -12,14 +12,14 @@ elementary packet, which is then marked; scrambled and null packets carry nothin
 
 from __future__ import annotations
 
-import hashlib
-import zlib
+import re
 from dataclasses import dataclass, field
 from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from .common import chunks, text_bytes
 
@@ -293,17 +293,18 @@ def feature(s: Stream, payload: bytes) -> str:
     return f"ts;packets={s.packets};units={len(s.units)};clocks={s.clocks};errors={s.counter_errors + s.table_errors};last_pts={last};access={len(s.index())};first_access={points};entropy={entropy:.4f};mean={mean:.3f}"
 
 
-SCHEMA = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, programs int, packets int, counter_errors int, random_access_points int, last_pts long"
+STORED = "doc_id long, n_bytes long, media binary, payload binary, feature string, programs int, packets int, counter_errors int, access_points array<struct<packet:int,pts:long,offset:long>>, last_pts long"
+_POINTS = pa.list_(pa.struct([("packet", pa.int32()), ("pts", pa.int64()), ("offset", pa.int64())]))
 
 
-def media_columns(docs: DataFrame) -> DataFrame:
-    """Each text stored as a transport stream and read back: digests of both forms, a feature line, and the parsed counts.
+def stored_media(docs: DataFrame) -> DataFrame:
+    """Each text stored as a transport stream: the stream itself, and what reading it back gives, with all its random-access points.
 
-    Null texts count as empty. The payload's digests are of the bytes read back, never of the bytes that went in.
+    Null texts count as empty. The payload is the bytes read back, never those that went in.
     """
 
     def run(batches):
-        names = [f.split()[0] for f in SCHEMA.split(", ")]
+        names = re.findall(r"(?:^|, )(\w+) ", STORED)
         for whole in batches:
             for batch in chunks(whole, 1):
                 rows = []
@@ -311,12 +312,24 @@ def media_columns(docs: DataFrame) -> DataFrame:
                     media = write_stream(padded(text))
                     s = read_stream(media)
                     back = s.payload()
-                    rows.append((len(text), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-32:]), len(media), hashlib.sha256(media).hexdigest(), feature(s, back), len(s.programs), s.packets, s.counter_errors, len(s.index()), s.units[-1].pts if s.units else None))
+                    points = [{"packet": p, "pts": t, "offset": at} for p, t, at in s.index()]
+                    rows.append((len(text), media, back, feature(s, back), len(s.programs), s.packets, s.counter_errors, points, s.units[-1].pts if s.units else None))
                 columns = list(zip(*rows, strict=True)) if rows else [[]] * (len(names) - 1)
-                kinds = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.int64()]
+                kinds = [pa.int64(), pa.binary(), pa.binary(), pa.string(), pa.int32(), pa.int32(), pa.int32(), _POINTS, pa.int64()]
                 yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], names)
 
-    return docs.selectExpr("cast(doc_id AS long) AS doc_id", "text").mapInArrow(run, SCHEMA)
+    return docs.selectExpr("cast(doc_id AS long) AS doc_id", "text").mapInArrow(run, STORED)
+
+
+def media_columns(docs: DataFrame) -> DataFrame:
+    """What op3 returns: digests of the stored streams and of the payloads read back, a feature line, the parsed counts and the index."""
+    return stored_media(docs).select(
+        "doc_id", "n_bytes",
+        F.octet_length("payload").cast("long").alias("payload_bytes"), F.sha2("payload", 256).alias("payload_sha256"),
+        F.crc32(F.expr("substring(payload, greatest(1, octet_length(payload) - 31), 32)")).alias("tail_crc32"),
+        F.octet_length("media").cast("long").alias("media_bytes"), F.sha2("media", 256).alias("media_sha256"),
+        "feature", "programs", "packets", "counter_errors", F.size("access_points").alias("random_access_points"), "last_pts", "access_points",
+    )
 
 
 def access_units(media: DataFrame) -> DataFrame:

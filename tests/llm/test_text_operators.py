@@ -131,6 +131,21 @@ def test_media_columns(docs, none):
     assert transport_stream.media_columns(none).count() == 0
 
 
+def test_stored_media_and_access_units(spark):
+    text = "long text " * 50_000  # 500 KB: 87 units, 11 random-access points
+    stored = transport_stream.stored_media(spark.createDataFrame([(1, text), (2, None)], "doc_id long, text string"))
+    rows = {r.doc_id: r for r in stored.collect()}
+    assert rows[1].media == transport_stream.write_stream(transport_stream.padded(text.encode())) and rows[1].payload.startswith(text.encode())
+    points = [tuple(p) for p in rows[1].access_points]
+    assert points == transport_stream.read_stream(rows[1].media).index() and len(points) == 11 and len(rows[2].access_points) == 1
+    assert [p[1:] for p in points] == [(k * 8 * transport_stream.TICKS, k * 8 * transport_stream.UNIT) for k in range(11)]
+    units = sorted(transport_stream.access_units(stored).filter("doc_id = 1").collect(), key=lambda u: u.unit)
+    assert [u.pts for u in units] == [k * transport_stream.TICKS for k in range(87)] and sum(u.n_bytes for u in units) == len(rows[1].payload)
+    assert [(u.packet, u.pts) for u in units if u.random_access] == [p[:2] for p in points] and not any(u.damaged for u in units)
+    report = transport_stream.media_columns(spark.createDataFrame([(1, text)], "doc_id long, text string")).first()
+    assert report.random_access_points == 11 and [tuple(p) for p in report.access_points] == points
+
+
 # Lines ------------------------------------------------------------------------------------------------------------------
 
 
