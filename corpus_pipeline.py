@@ -57,10 +57,13 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents. What a stage kept is checkpointed, as the next one reads it more than once."""
+    """All stages over documents. What a stage kept is checkpointed, as the next one reads it more than once.
+
+    The rows carry mix_order, their place in the mix: sorting by it gives the mix again after any write and read.
+    """
     docs = table(spark, sf_dir, "documents")
-    for k, (_, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
+    for k, (name, stage) in enumerate(STAGES):
+        docs = pfair_mix.mixed(docs, place=True) if name == "source_mix" else stage(spark, docs, sf_dir)
         if k + 1 < len(STAGES):
             docs = checkpointed(docs)
     return docs

@@ -106,9 +106,9 @@ def mix(docs: DataFrame, weights: DataFrame | None = None, block: int = BLOCK, p
     )
 
 
-def mixed(docs: DataFrame, **how) -> DataFrame:
-    """docs' own columns in the order of the mix, range by range."""
-    names = docs.columns
+def mixed(docs: DataFrame, place: bool = False, **how) -> DataFrame:
+    """docs' own columns in the order of the mix, range by range; with place, mix_order too, as files don't keep an order."""
+    names = [c for c in docs.columns if not place or c.lower() != "mix_order"] + ["mix_order"] * place
     return mix(docs, **how).repartitionByRange("mix_order").sortWithinPartitions("mix_order").select(*names)
 
 

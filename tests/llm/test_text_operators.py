@@ -535,3 +535,19 @@ def test_pipeline_stages(spark, docs, none, tmp_path):
         now = nxt
     lib = library()
     assert all(r.ids == lib.encode(r.text or "") for r in now.collect())
+
+
+def test_pipeline_keeps_the_mix_in_files(spark, tmp_path):
+    """Written and read in any order, the rows of run() give the mix: each source within a block and the rounding of its target."""
+    import corpus_pipeline as p
+
+    data = [(i, f"the of and was that number {' '.join(f'{a}{i}' for a in 'pqrstuvw')}", "en", s, 60) for i, s in enumerate(["a"] * 400 + ["b"] * 100 + ["c"] * 25)]
+    spark.createDataFrame(data, SCHEMA).write.parquet(str(tmp_path / "documents.parquet"))
+    p.run(spark, str(tmp_path)).repartition(7).write.parquet(str(tmp_path / "out"))
+    got = spark.read.parquet(str(tmp_path / "out")).orderBy("mix_order").collect()
+    assert len(got) == len({r.mix_order for r in got}) and "ids" in got[0].asDict()
+    n = {s: sum(r.source == s for r in got) for s in "abc"}
+    total = sum(k**0.5 for k in n.values())
+    for t in range(1, 1 + min(int(k**0.5 * total) for k in n.values())):  # until the first source ends
+        for s in "abc":
+            assert abs(sum(r.source == s for r in got[:t]) - t * n[s] ** 0.5 / total) < 2 * pfair_mix.BLOCK
