@@ -1,10 +1,10 @@
 """Encoding and decoding with a byte-fallback piece vocabulary as a weighted finite-state transducer.
 
-Three machines are compiled: the normaliser (white space to marks, one mark in front), the pieces (a character trie whose arcs
-rewrite pieces to ids), and byte fallback (a character outside the vocabulary to its bytes' ids). A weighted acceptor over
+The normaliser (white space to marks, one mark in front) is a string replacement. Two machines are made: the pieces (a character
+trie whose arcs rewrite pieces to ids), and byte fallback (a character outside the vocabulary to its bytes' ids). A weighted acceptor over
 pairs of pieces carries what the vocabulary's merges allow: the pair costs 0 if merging its joined text gives the pair back
 and infinity otherwise, found when first met and kept. Composed with an input this is a lattice over positions and last
-pieces; encoding is its shortest path in the tropical semiring (min, +). A merge-based segmentation is the one whose neighbours are all such pairs, so the path is the library's own segmentation.
+pieces; encoding is a path of cost 0 in it, found depth-first: with weights of 0 and infinity alone any such path is a shortest one. A merge-based segmentation is the one whose neighbours are all such pairs, so the path is the library's own segmentation.
 
 Inputs fall apart where no piece can cross (white space after text, newlines); each part is composed once per worker.
 
