@@ -106,11 +106,12 @@ def forward_backward(emission: np.ndarray, mask: np.ndarray, step: np.ndarray) -
 
 
 def sample(docs: DataFrame, per_label: int = PER_LABEL) -> list[tuple[str, str]]:
-    """(text, lang) of at most per_label rows of each label."""
+    """(text, lang) of at most per_label distinct texts of each label; copies count once and don't reach the driver."""
     rows = docs.filter(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.octet_length("text").between(1, SAMPLE_BYTES))
-    counts = rows.groupBy("lang").agg(F.count("*").alias("n"))
     part = F.pmod(F.xxhash64("text", F.lit(17)), F.lit(1 << 30)) / float(1 << 30)
+    counts = rows.select("lang", part.alias("at")).distinct().groupBy("lang").agg(F.count("*").alias("n"))
     found = rows.select("text", "lang", part.alias("at")).join(F.broadcast(counts), "lang").filter(F.col("at") * F.col("n") < per_label * 1.25)
+    found = found.groupBy("lang", "at").agg(F.min("text").alias("text"))
     taken: dict[str, list[str]] = {}
     for row in sorted(found.select("at", "lang", "text").collect(), key=lambda r: (r.at, r.text)):
         own = taken.setdefault(row.lang, [])

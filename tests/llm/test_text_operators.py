@@ -373,6 +373,13 @@ def test_language(spark, sf, docs, extra, none):
     assert set(labels[:24]) == {"en"} and set(labels[-24:]) == {"de"}
 
 
+def test_copies_count_once_in_the_sample(spark):
+    texts = [f"text number {k} of the table" for k in range(40)]
+    df = spark.createDataFrame([(t, "en") for t in texts for _ in range(50)], "text string, lang string").repartition(4)
+    got = crf_language.sample(df, per_label=30)
+    assert len(got) == len(set(got)) == 30 and {k for _, k in got} == {"en"}
+
+
 # Toxicity -----------------------------------------------------------------------------------------------------------------
 
 
