@@ -1,10 +1,14 @@
-"""Plan helpers."""
+"""Plan helpers: columns worked out once, lineage cut in a shared folder, the package on the workers."""
 
 from __future__ import annotations
 
-import os
+import io
+import tempfile
+import uuid
+import zipfile
 from pathlib import Path
 
+from pyspark import SparkContext, SparkFiles
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -19,10 +23,37 @@ def sealed(df: DataFrame, columns: dict[str, Column]) -> DataFrame:
     return df.select(*[c for c in df.columns if c not in columns], fresh)
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share, spark.checkpoint.dir. Only a local session without it gets one of its own."""
+    context = spark.sparkContext
+    folder = context.getConf().get("spark.checkpoint.dir") or context.getCheckpointDir()
+    if folder is None:
+        if not context.master.startswith("local["):
+            raise RuntimeError("spark.checkpoint.dir is unset: a folder that all machines share is needed")
+        folder = tempfile.mkdtemp(prefix="checkpoint-")
+    if context.getCheckpointDir() is None:
+        context.setCheckpointDir(folder)
+    return folder
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """df written to the shared folder and read back; its lineage ends there."""
+    shared_folder(df.sparkSession)
+    return df.checkpoint(eager=True)
+
+
 def importable(spark: SparkSession) -> SparkSession:
-    """Lets Python workers import this package even if only the driver's sys.path has it."""
-    root, env = str(Path(__file__).resolve().parents[2]), spark.sparkContext.environment
-    paths = env.get("PYTHONPATH", "").split(os.pathsep)
-    if root not in paths:
-        env["PYTHONPATH"] = os.pathsep.join([root, *filter(None, paths)])
+    """Sends this package to the Python workers as an archive, once for each context: they need no folder of the driver's."""
+    context: SparkContext = spark.sparkContext
+    if getattr(context, "_skyjoin_archive", None) is None:
+        package = Path(__file__).resolve().parents[1]
+        packed = io.BytesIO()
+        with zipfile.ZipFile(packed, "w", zipfile.ZIP_DEFLATED) as archive:
+            for file in sorted(package.rglob("*.py")):
+                archive.write(file, file.relative_to(package.parent).as_posix())
+        # Spark's own folder of the driver, from which it serves files to the executors.
+        path = Path(SparkFiles.getRootDirectory()) / f"skyjoin-{uuid.uuid4().hex[:8]}.zip"
+        path.write_bytes(packed.getvalue())
+        context.addPyFile(str(path))
+        context._skyjoin_archive = str(path)
     return spark

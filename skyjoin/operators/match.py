@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.evidence import ln_bayes, ln_bound, ln_term, merged_deficit, search_chord, weight
-from ..functions.plan import sealed
+from ..functions.plan import checkpointed, sealed
 from ..functions.sphere import PER_RADIAN, angle_of, declination, length, right_ascension
 from .regions import Region
 from .zones import Grid, pair_table, sky_columns
@@ -317,7 +317,7 @@ def objects_of(pairs: DataFrame, nodes: DataFrame, rounds: int = 50) -> DataFram
         near = both.join(now, both.b == now.key).groupBy("a").agg(F.min("object").alias("m"))
         now = now.join(near, now.key == near.a, "left").select("key", F.least("object", F.coalesce("m", "object")).alias("object"))
         jump = now.select(F.col("key").alias("k"), F.col("object").alias("o"))
-        now = _cut(now.join(jump, now.object == jump.k, "left").select("key", F.least("object", F.coalesce("o", "object")).alias("object")))
+        now = checkpointed(now.join(jump, now.object == jump.k, "left").select("key", F.least("object", F.coalesce("o", "object")).alias("object")))
         total = now.agg(F.sum("object")).first()[0]
         if total == before:
             return now
@@ -325,16 +325,6 @@ def objects_of(pairs: DataFrame, nodes: DataFrame, rounds: int = 50) -> DataFram
     raise RuntimeError("grouping did not settle")
 
 
-def _cut(df: DataFrame) -> DataFrame:
-    """df checkpointed in the session's shared folder."""
-    import tempfile
-
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint-"))
-    return df.checkpoint(eager=True)
-
-
 def resolve(match: DataFrame, policy: str, anchor: list[Column], other: list[Column], ln_b: Column) -> DataFrame:
     """all tuples, the best of each anchor, or mutual best ones; ties go to the smaller keys."""
     if policy == "all":
