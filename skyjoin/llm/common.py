@@ -1,10 +1,10 @@
-"""Helpers shared by the text operators: reading, checkpoints, Arrow columns."""
+"""Helpers shared by the text operators: reading, workers, Arrow columns."""
 
 from __future__ import annotations
 
-import os
-import tempfile
-from pathlib import Path
+import ctypes
+import gc
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -13,33 +13,47 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-ROOT = str(Path(__file__).resolve().parents[2])
+from ..functions.plan import checkpointed, importable
+
+__all__ = ["checkpointed"]
+
 #: ASCII white space of the contracts: space, tab, newline, vertical tab, form feed, carriage return.
 SPACE = b" \t\n\x0b\x0c\r"
+#: The workers' allocators give freed memory back, as a worker is used again for other operators.
+ALLOCATORS = {"MALLOC_ARENA_MAX": "2", "MALLOC_TRIM_THRESHOLD_": "4194304", "MALLOC_MMAP_THRESHOLD_": "4194304", "ARROW_DEFAULT_MEMORY_POOL": "system"}
+#: Rows of an Arrow batch: rows hold whole texts.
+ROWS = "2000"
 
 
 def prepare(spark: SparkSession) -> SparkSession:
-    """Lets Python workers import this package even if only the driver's sys.path has it."""
-    env = spark.sparkContext.environment
-    paths = env.get("PYTHONPATH", "").split(os.pathsep)
-    if ROOT not in paths:
-        env["PYTHONPATH"] = os.pathsep.join([ROOT, *filter(None, paths)])
-    return spark
+    """Sends this package to the Python workers, and lets them hold little memory. Settings that were given stay."""
+    spark.sparkContext.environment.update({k: v for k, v in ALLOCATORS.items() if k not in spark.sparkContext.environment})
+    if spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch") == "10000":
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", ROWS)
+    return importable(spark)
 
 
-def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
-    return prepare(spark).read.parquet(f"{sf_dir}/{name}.parquet")
+def returning(run: Callable[[Iterator], Iterator]) -> Callable[[Iterator], Iterator]:
+    """run with the memory of its task given back to the system at its end."""
 
+    def wrapped(batches):
+        yield from run(batches)
+        released()
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """df written to the shared checkpoint folder and read back; its lineage ends there.
+    return wrapped
 
-    The folder is the session's spark.checkpoint.dir. Only where that is unset, as in tests, a temporary one is made.
-    """
-    context = df.sparkSession.sparkContext
-    if context.getCheckpointDir() is None:
-        context.setCheckpointDir(context.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoint-"))
-    return df.checkpoint(eager=True)
+
+def released() -> None:
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
+def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
+    return prepare(spark).read.parquet(f"{sf_dir}/{name}.parquet")
 
 
 def with_fields(schema: T.StructType, fields: list[T.StructField]) -> T.StructType:
