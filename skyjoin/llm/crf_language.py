@@ -5,34 +5,37 @@ lexicon of a language, its script. Learned transitions say how languages follow
 word's label probabilities; their sums over the text give the text's label and score. Code-switched passages keep their own
 labels (label_words).
 
-Training: a bounded sample of labelled rows (PER_LABEL rows a label at most, of up to SAMPLE_BYTES bytes each, by hash),
-cut into pieces that are chained at random, so that switches occur; weights by full-batch Adagrad on the exact gradient.
+Training: a bounded sample of distinct labelled texts (exactly PER_LABEL a label at most, of the first SAMPLE_CHARS characters each,
+by hash of the text, so that copies count once and no label is lost), cut into pieces that are chained at random, so that switches
+occur; weights by full-batch Adagrad on the exact gradient, whose size by round the model keeps.
 Inference runs over all words of whole texts, in segments: transfer matrices of all segments together, then the few
 segments of each text in order, then all words together.
 
-Edge cases: null texts and texts without a letter are "und" with score 0; with no labelled row at all every text is "und".
+Edge cases: null texts and texts without a letter are "und" with score 0; with no labelled row at all every text is "und"; equal
+texts have equal predictions; rows are predicted one by one, whatever their id; extra columns are ignored; an empty table gives an
+empty one; shares that are equal go to the first label in alphabetical order.
 """
 
 from __future__ import annotations
 
 import re
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import chunks, texts
+from .common import chunks, returning, texts
 
 WORD = re.compile(r"[^\W\d_]+")
 UNKNOWN = "und"
 #: The training sample's bounds.
-PER_LABEL, SAMPLE_BYTES = 150, 20_000
+PER_LABEL, SAMPLE_CHARS = 150, 20_000
 #: Feature slots as a power of two; lexicon words a label; pieces' words and pieces a sequence; rounds; penalty; step.
 SLOTS, LEXICON, PIECE, CHAIN, ROUNDS, PENALTY, STEP = 16, 300, 16, 4, 20, 1e-3, 0.5
 #: Words of a segment in inference; words that a worker keeps.
-SEGMENT, KEPT = 64, 400_000
+SEGMENT, KEPT = 64, 200_000
 
 
 def _slots(*parts: np.ndarray, kind: int) -> np.ndarray:
@@ -78,6 +81,7 @@ class Model:
     weights: np.ndarray  # slots x labels
     transitions: np.ndarray  # labels x labels, logarithms
     lexicon: dict[str, list[int]]
+    gradients: list[float] = field(default_factory=list)  # the length of the gradient by round
 
 
 def forward_backward(emission: np.ndarray, mask: np.ndarray, step: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -106,18 +110,15 @@ def forward_backward(emission: np.ndarray, mask: np.ndarray, step: np.ndarray) -
 
 
 def sample(docs: DataFrame, per_label: int = PER_LABEL) -> list[tuple[str, str]]:
-    """(text, lang) of at most per_label distinct texts of each label; copies count once and don't reach the driver."""
-    rows = docs.filter(F.col("lang").isNotNull() & F.col("text").isNotNull() & F.octet_length("text").between(1, SAMPLE_BYTES))
-    part = F.pmod(F.xxhash64("text", F.lit(17)), F.lit(1 << 30)) / float(1 << 30)
-    counts = rows.select("lang", part.alias("at")).distinct().groupBy("lang").agg(F.count("*").alias("n"))
-    found = rows.select("text", "lang", part.alias("at")).join(F.broadcast(counts), "lang").filter(F.col("at") * F.col("n") < per_label * 1.25)
-    found = found.groupBy("lang", "at").agg(F.min("text").alias("text"))
-    taken: dict[str, list[str]] = {}
-    for row in sorted(found.select("at", "lang", "text").collect(), key=lambda r: (r.at, r.text)):
-        own = taken.setdefault(row.lang, [])
-        if len(own) < per_label:
-            own.append(row.text)
-    return [(t, k) for k in sorted(taken) for t in taken[k]]
+    """(text, lang) of at most per_label distinct texts of each label: what reaches the driver."""
+    rows = docs.filter(F.col("lang").isNotNull() & (F.length("text") > 0)).select("lang", F.substring("text", 1, SAMPLE_CHARS).alias("text"))
+    rows = rows.withColumn("at", F.xxhash64("text", F.lit(17)))
+    counts = rows.select("lang", "at").distinct().groupBy("lang").agg(F.count("*").alias("n"))
+    # About 1.25 per_label texts of a label lie below its cut; all of them if there are no more. Then the exact ones.
+    part = F.pmod("at", F.lit(1 << 30)) / float(1 << 30)
+    found = rows.join(F.broadcast(counts), "lang").filter(part * F.col("n") < per_label * 1.25 + 40).groupBy("lang", "at").agg(F.min("text").alias("text"))
+    found = found.withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(F.pmod("at", F.lit(1 << 30)), "at", "text"))).filter(F.col("r") <= per_label)
+    return [(r.text, r.lang) for r in found.orderBy("lang", "r").select("text", "lang").collect()]
 
 
 def train(rows: list[tuple[str, str]], seed: int = 5) -> Model:
@@ -154,7 +155,7 @@ def train(rows: list[tuple[str, str]], seed: int = 5) -> Model:
     n = max(1, int(mask.sum()))
     one = np.eye(k)
     here = mask[:, 1:] & mask[:, :-1]
-    seen = np.zeros((k, k))
+    seen, gradients = np.zeros((k, k)), []
     np.add.at(seen, (gold[:, :-1][here], gold[:, 1:][here]), 1)
     for _ in range(ROUNDS):
         emission = summed(owner, weights[flat], len(index))[ids]
@@ -163,11 +164,12 @@ def train(rows: list[tuple[str, str]], seed: int = 5) -> Model:
         by_word = np.stack([np.bincount(ids.ravel(), gap[:, y], len(index)) for y in range(k)], axis=1)
         grad = summed(flat, by_word[owner], 1 << SLOTS) / n - PENALTY * weights / n
         grad_t = (seen - pairs) / n - PENALTY * trans
+        gradients.append(float(np.sqrt((grad**2).sum() + (grad_t**2).sum())))
         past += grad**2
         past_t += grad_t**2
         weights += STEP * grad / np.sqrt(past)
         trans += 0.2 * grad_t / np.sqrt(past_t)
-    return Model(labels, weights.astype(np.float32), trans, lexicon)
+    return Model(labels, weights.astype(np.float32), trans, lexicon, gradients)
 
 
 class Labeller:
@@ -281,7 +283,7 @@ def predict(docs: DataFrame, model: Model) -> DataFrame:
                     scores = np.clip(sums.max(axis=1), 0.0, 1.0)
                 yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(names, pa.string()), pa.array(scores, pa.float64()), pa.array(counts, pa.int64())], ["doc_id", "lang_pred", "score", "n_words"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, "doc_id long, lang_pred string, score double, n_words long")
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(returning(run), "doc_id long, lang_pred string, score double, n_words long")
 
 
 def label_words(docs: DataFrame, model: Model) -> DataFrame:
@@ -314,9 +316,14 @@ def language_report(docs: DataFrame) -> DataFrame:
     return predict(docs, model).select("doc_id", held_out().alias("held_out"), "lang_pred", "score")
 
 
-def keep_confident(docs: DataFrame, model: Model | None = None, least: float = 0.4) -> DataFrame:
-    """docs without those that have no letter or no language with a share of `least`; columns as they came."""
+def keep_confident(docs: DataFrame, model: Model | None = None, least: float = 0.5) -> DataFrame:
+    """docs without those that have no letter, or whose likeliest language has less than `least` of their words; columns as they came.
+
+    Without a labelled row there is no model, and all rows stay.
+    """
     model = model or fit(docs.select("text", "lang"))
+    if not model.labels:
+        return docs
     shipped = docs.sparkSession.sparkContext.broadcast(model)
 
     def run(batches):
@@ -324,13 +331,10 @@ def keep_confident(docs: DataFrame, model: Model | None = None, least: float = 0
         for whole in batches:
             at = whole.schema.get_field_index("text")
             for batch in chunks(whole, at, 1 << 20):
-                if not labeller.k:
-                    yield batch
-                    continue
                 post, counts, _ = labeller.words(texts(batch.column(at)))
                 full = np.flatnonzero(counts)
                 if len(full):
                     top = (np.add.reduceat(post, (np.cumsum(counts) - counts)[full], axis=0) / counts[full, None]).max(axis=1)
                     yield batch.take(pa.array(full[top >= least]))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(returning(run), docs.schema)
