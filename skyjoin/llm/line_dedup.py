@@ -1,19 +1,20 @@
 """Removal of lines that many documents share, with two Bloom filters before any exact work.
 
-Three scans of the texts, all of whole lines:
+Four scans of the texts, all of whole lines:
 
-1. Each task puts the hashes of its line keys into a once-seen and a twice-seen filter of a fixed number of bits. The tasks'
-   filters merge block by block: a bit set once by two tasks counts as seen twice.
+1. Each task puts the hashes of its line keys, as they come, into a once-seen and a twice-seen filter of a fixed number of bits. The
+   tasks' filters merge block by block: a bit set once by two tasks counts as seen twice.
 2. Only keys whose bits are all in the twice-seen filter are suspects. Their 128-bit digests with the document's id are
-   shuffled, counted exactly, and the owner (largest id) of each confirmed key is found.
-3. Documents without a suspect are finished in place. The others meet their list of keys to drop by id.
+   written, shuffled, counted exactly, and the owner (largest id) of each confirmed key is found.
+3. Documents without a suspect are finished in place.
+4. The others meet their list of keys to drop by id.
 
-The broadcast filter has at most 2**MOST_BITS bits whatever the input. Past its capacity more keys become suspects, which
-costs shuffle but never changes a result.
+The broadcast filter has at most 2**MOST_BITS bits whatever the input. Past its capacity, of some tens of millions of different
+lines, more keys become suspects: that costs a shuffle of 24 bytes a line, in proportion to the input, and never changes a result.
 
 Edge cases: a null or empty text is one empty line; keys count once per document however often they stand in it; rows
 with the same id are one document for the count, and the owner's rows all keep the line; a null id ranks below all ids.
-Input columns called n_lines or n_dropped are replaced.
+Input columns called n_lines or n_dropped are replaced; an empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -29,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import SPACE, id_of, power_of_two, salted_join, text_bytes, with_fields
+from .common import SPACE, checkpointed, chunks, id_of, power_of_two, returning, salted_join, text_bytes, with_fields
 
 MIN_CHARS, MIN_DOCS = 20, 3
 #: Bits for each document, and the exponents between which a filter's size stays.
@@ -69,25 +70,25 @@ def _filters(bits: int, least: int):
     """Scan 1: rows of (block, part, once bits, twice bits) from each task."""
 
     def run(batches):
-        seen: list[bytes] = []
+        once, twice = np.zeros((1 << bits) // 8, np.uint8), np.zeros((1 << bits) // 8, np.uint8)
         for batch in batches:
-            for text in text_bytes(batch.column(0)):
-                seen.extend({d for d in digests(text, least) if d})
-        if not seen:
-            return
-        keys, counts = np.unique(halves(seen), axis=0, return_counts=True)
-        once, twice = (np.unique(positions(x, bits)) for x in (keys, keys[counts > 1]))
-        block, part = min(bits, BLOCK_BITS), TaskContext.get().partitionId() // 32
+            for part in chunks(batch, 0):
+                found = [d for text in text_bytes(part.column(0)) for d in {d for d in digests(text, least) if d}]
+                at, n = np.unique(positions(halves(found), bits), return_counts=True)
+                byte, bit = (at >> np.uint64(3)).astype(np.int64), np.uint8(128) >> (at & np.uint64(7)).astype(np.uint8)
+                again = (n > 1) | (once[byte] & bit > 0)
+                np.bitwise_or.at(twice, byte[again], bit[again])
+                np.bitwise_or.at(once, byte, bit)
+        size = (1 << min(bits, BLOCK_BITS)) // 8
         rows: dict[str, list] = {"block": [], "part": [], "once": [], "twice": []}
-        for b in np.unique(once >> np.uint64(block)):
-            rows["block"].append(int(b))
-            rows["part"].append(part)
-            for name, at in (("once", once), ("twice", twice)):
-                own = at[at >> np.uint64(block) == b] & np.uint64((1 << block) - 1)
-                flat = np.zeros(1 << block, bool)
-                flat[own.astype(np.int64)] = True
-                rows[name].append(zlib.compress(np.packbits(flat).tobytes(), 1))
-        yield pa.RecordBatch.from_pydict(rows, pa.schema([("block", pa.int32()), ("part", pa.int32()), ("once", pa.binary()), ("twice", pa.binary())]))
+        for b in range(len(once) // size):
+            if (own := once[b * size : (b + 1) * size]).any():
+                rows["block"].append(b)
+                rows["part"].append(TaskContext.get().partitionId() // 32)
+                rows["once"].append(zlib.compress(own.tobytes(), 1))
+                rows["twice"].append(zlib.compress(twice[b * size : (b + 1) * size].tobytes(), 1))
+        if rows["block"]:
+            yield pa.RecordBatch.from_pydict(rows, pa.schema([("block", pa.int32()), ("part", pa.int32()), ("once", pa.binary()), ("twice", pa.binary())]))
 
     return run
 
@@ -103,7 +104,7 @@ def _merge(rows: pd.DataFrame) -> pd.DataFrame:
 def twice_seen(docs: DataFrame, bits: int, least: int = MIN_CHARS) -> bytes:
     """The packed twice-seen filter over all texts: 2**bits bits, merged in two steps so that no group grows with the tasks."""
     schema = "block int, part int, once binary, twice binary"
-    rows = docs.select("text").mapInArrow(_filters(bits, least), schema).groupBy("block", "part").applyInPandas(_merge, schema)
+    rows = docs.select("text").mapInArrow(returning(_filters(bits, least)), schema).groupBy("block", "part").applyInPandas(_merge, schema)
     rows = rows.groupBy("block").applyInPandas(_merge, schema)
     size = (1 << min(bits, BLOCK_BITS)) // 8
     out = np.zeros((1 << bits) // 8, np.uint8)
@@ -124,13 +125,14 @@ def _suspects(twice, bits: int, least: int):
 
     def run(batches):
         flat = np.frombuffer(twice.value, np.uint8)
-        for batch in batches:
-            own = [list({d for d in digests(t, least) if d}) for t in text_bytes(batch.column(1))]
-            lengths = np.fromiter(map(len, own), np.int64, len(own))
-            found = [d for x in own for d in x]
-            at = np.flatnonzero(suspected(found, flat, bits))
-            ids = np.repeat(np.asarray(batch.column(0).to_numpy(zero_copy_only=False), np.int64), lengths)[at]
-            yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array([found[i] for i in at], pa.binary())], ["id", "key"])
+        for whole in batches:
+            for batch in chunks(whole, 1):
+                own = [list({d for d in digests(t, least) if d}) for t in text_bytes(batch.column(1))]
+                lengths = np.fromiter(map(len, own), np.int64, len(own))
+                found = [d for x in own for d in x]
+                at = np.flatnonzero(suspected(found, flat, bits))
+                ids = np.repeat(np.asarray(batch.column(0).to_numpy(zero_copy_only=False), np.int64), lengths)[at]
+                yield pa.RecordBatch.from_arrays([pa.array(ids), pa.array([found[i] for i in at], pa.binary())], ["id", "key"])
 
     return run
 
@@ -140,7 +142,7 @@ def _finish(twice, bits: int, least: int, names: list[str], clean: bool, drops:
 
     def run(batches):
         flat = np.frombuffer(twice.value, np.uint8)
-        for batch in batches:
+        for batch in (part for whole in batches for part in chunks(whole, whole.schema.get_field_index("text"))):
             body = text_bytes(batch.column(batch.schema.get_field_index("text")))
             own = [digests(t, least) for t in body]
             if drops:
@@ -173,16 +175,16 @@ def dedup_lines(docs: DataFrame, least_chars: int = MIN_CHARS, least_docs: int =
     spark = docs.sparkSession
     bits = bits or power_of_two(BITS_PER_DOC * docs.count(), LEAST_BITS, MOST_BITS)
     twice = spark.sparkContext.broadcast(twice_seen(docs, bits, least_chars))
-    suspects = docs.select(id_of().alias("id"), "text").mapInArrow(_suspects(twice, bits, least_chars), "id long, key binary")
+    suspects = checkpointed(docs.select(id_of().alias("id"), "text").mapInArrow(returning(_suspects(twice, bits, least_chars)), "id long, key binary"))
     # (key, id) first: even a key of a third of all documents is spread, then counted by partial sums.
     owners = suspects.distinct().groupBy("key").agg(F.count("*").alias("n"), F.max("id").alias("owner")).filter(F.col("n") >= least_docs).select("key", "owner")
     gone = salted_join(suspects, owners, "key", "id").filter(F.col("id") != F.col("owner")).groupBy("id").agg(F.collect_set("key").alias("gone"))
     schema = with_fields(docs.schema, [T.StructField("n_lines", T.LongType()), T.StructField("n_dropped", T.LongType())])
     names = schema.names[:-2]
-    clean = docs.mapInArrow(_finish(twice, bits, least_chars, names, True, False), schema)
-    dirty = docs.mapInArrow(_finish(twice, bits, least_chars, names, False, False), schema)
+    clean = docs.mapInArrow(returning(_finish(twice, bits, least_chars, names, True, False)), schema)
+    dirty = docs.mapInArrow(returning(_finish(twice, bits, least_chars, names, False, False)), schema)
     dirty = dirty.withColumn("__id", id_of()).join(gone.withColumnRenamed("id", "__id"), "__id", "left").select(*names, F.col("gone").alias("__gone"))
-    return clean.unionByName(dirty.mapInArrow(_finish(twice, bits, least_chars, names, False, True), schema))
+    return clean.unionByName(dirty.mapInArrow(returning(_finish(twice, bits, least_chars, names, False, True)), schema))
 
 
 def digest_columns(docs: DataFrame) -> DataFrame:
