@@ -4,21 +4,25 @@ The global order of shingles runs from rare to frequent: by a counter of a fixed
 hash. Any two sets of Jaccard similarity t or more share one of the first n - ceil(t n) + 1 shingles of each.
 
 1. One scan gives each document its set size and a digest of its set, and each task's sketch counters.
-2. One scan sends each set's prefix to buckets of shingles, packed. A task sends equal sets once.
+2. One scan sends each set's prefix to buckets of shingles, packed. A task sends equal sets once. A shingle that more than SMALL
+   documents of a packet hold is combined there: each class of sizes sends its least document, the others are tied to that one.
 3. In a bucket, shingles of up to SMALL documents give pairs with the number of prefix shingles they share; pairs whose total
-   can't reach the needed overlap go. A more frequent shingle gives one star (per run of sizes within t), so that no
-   group is expanded into pairs. Pairs that share a frequent shingle are in its star; all others have a full count.
+   can't reach the needed overlap go. A more frequent shingle gives one star a class of sizes, and ties between neighbouring
+   classes: sizes within t never lie farther apart. So no group is expanded into pairs, and what a shingle sends grows with the packets
+   alone. Pairs that share a frequent shingle are tied by it; all others have a full count.
 4. Components of these candidates are blocks: no link crosses two blocks. One scan sends the sets of block members (found by a
-   bitmap of fixed size) to their blocks, each set once. Blocks above CHUNK documents are cut; then each pair of cuts
-   is a task, so every pair of a block still meets.
+   bitmap of bounded size) to their blocks, each set once.
 5. A block's sets stand in a prefix tree, common shingles first so that sets share long paths. Each set walks the tree
    level by level with the overlap shared on a path, leaving subtrees whose remaining lengths can't reach the threshold.
    Sets that are already connected aren't asked for again.
+6. A block of more than CHUNK documents or CUT_BYTES of sets is cut by both. A few of its documents stand in every cut, so that a group
+   of near copies is connected by its cuts alone. What is outside the block's largest class then meets all cuts of the block: sets are
+   copied once for each cut of that rest, not of the block. A block of many classes still costs the square of its cuts.
 
-Broadcasts: the sketch (at most 2**24 counters of 2 bytes) and the bitmap (2**22 bits), whatever the input.
+Broadcasts: the sketch (at most 2**24 counters of 2 bytes) and the bitmap (at most 2**26 bits), whatever the input.
 
 Edge cases: null or blank texts have an empty set, link with nothing and are their own class; rows with the same id are one
-document; a null id gives a null class and no links; extra columns are ignored.
+document; a null id gives a null class and no links; extra columns are ignored; an empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -33,14 +37,15 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed, chunks, power_of_two, text_bytes
+from .common import checkpointed, chunks, power_of_two, returning, text_bytes
 from .components import components
 from .shingles import WIDTH, shingle_sets
 
 PERCENT = 75
 #: Documents of a shingle up to which pairs are made; of a block's cut; postings of a bucket; digests that a task keeps.
-SMALL, CHUNK, BUCKET, SEEN = 16, 256, 200_000, 1_000_000
-SKETCH_PART, MEMBER_BITS = 16, 22
+SMALL, CHUNK, BUCKET, SEEN = 16, 512, 200_000, 200_000
+#: Bytes of a cut's sets; documents of a block that stand in all its cuts; exponents of the sketch's parts and of the bitmap.
+CUT_BYTES, PIVOTS, SKETCH_PART, MEMBER_BITS = 4 << 20, 4, 16, (20, 26)
 
 
 def least_overlap(a, b, percent: int = PERCENT):
@@ -48,6 +53,11 @@ def least_overlap(a, b, percent: int = PERCENT):
     return -(-percent * (a + b) // (100 + percent))
 
 
+def size_class(n: np.ndarray, percent: int = PERCENT) -> np.ndarray:
+    """Numbers of classes of sizes: two sizes that the threshold allows together are in one class or in neighbouring ones."""
+    return np.floor(np.log(n) / (np.log(100 / min(percent, 99.9)) * (1 + 1e-9))).astype(np.int64)
+
+
 def prefix_length(n: int, percent: int = PERCENT) -> int:
     return n - -(-percent * n // 100) + 1 if n else 0
 
@@ -89,12 +99,12 @@ def _scan(width: int, bits: int):
                     if d and fresh(d):
                         waiting.append(s)
                 if sum(map(len, waiting)) > 1 << 20:
-                    counts += np.bincount((np.concatenate(waiting) >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits).astype(np.uint32)
+                    np.add.at(counts, (np.concatenate(waiting) >> np.uint64(64 - bits)).astype(np.int64), 1)
                     waiting = []
                 none = pa.nulls(len(sizes))
                 yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sizes, pa.int64()), pa.array(digests, pa.binary()), none.cast(pa.int32()), none.cast(pa.int32()), none.cast(pa.binary())], schema=_SCAN)
         if waiting:
-            counts += np.bincount((np.concatenate(waiting) >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits).astype(np.uint32)
+            np.add.at(counts, (np.concatenate(waiting) >> np.uint64(64 - bits)).astype(np.int64), 1)
         if counts.any():
             blocks = counts.reshape(-1, 1 << min(bits, SKETCH_PART))
             none = pa.nulls(len(blocks))
@@ -136,8 +146,26 @@ def ordered(s: np.ndarray, counts: np.ndarray, most: int | None = None) -> np.nd
     return s[at]
 
 
+def stars(token: np.ndarray, doc: np.ndarray, n: np.ndarray, percent: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Ties (documents, their centres) of frequent shingles, and the places of the centres: the least document of each class of sizes."""
+    kind = size_class(n, percent)
+    at = np.lexsort((doc, kind, token))
+    new = np.append(True, (token[at][1:] != token[at][:-1]) | (kind[at][1:] != kind[at][:-1])) if len(at) else np.zeros(0, bool)
+    centre = at[np.flatnonzero(new)][np.cumsum(new) - 1] if len(at) else at
+    return doc[at], doc[centre], at[new]
+
+
+def _distinct(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct pairs of different numbers, the smaller one first."""
+    low, high = np.minimum(a, b), np.maximum(a, b)
+    at = np.lexsort((high, low))
+    low, high = low[at], high[at]
+    keep = (low != high) & np.append(True, (low[1:] != low[:-1]) | (high[1:] != high[:-1])) if len(low) else np.zeros(0, bool)
+    return low[keep], high[keep]
+
+
 def _postings(width: int, percent: int, sketch, buckets: int):
-    """Step 2: rows of (bucket, packed postings)."""
+    """Step 2: rows of (bucket, packed postings, packed ties). Sizes below 0 mark the centres of shingles that are frequent in the packet."""
 
     def run(batches):
         counts, fresh = np.frombuffer(sketch.value, np.uint16), _Fresh()
@@ -149,13 +177,20 @@ def _postings(width: int, percent: int, sketch, buckets: int):
             lengths = [len(x) for x, _, _ in held]
             doc = np.repeat(np.array([d for _, d, _ in held], np.int64), lengths)
             n = np.repeat(np.array([k for _, _, k in held], np.int32), lengths)
+            _, back, often = np.unique(token, return_inverse=True, return_counts=True)
+            hot = np.flatnonzero(often[back] > SMALL)
+            member, centre, at = stars(token[hot], doc[hot], n[hot], percent)
+            ties = _distinct(member, centre)
+            rest, first = np.flatnonzero(often[back] <= SMALL), hot[at]
+            token, doc, n = (np.concatenate((x[rest], y)) for x, y in ((token, token[first]), (doc, doc[first]), (n, -n[first])))
             bucket = ((token >> np.uint64(7)) % np.uint64(buckets)).astype(np.int32)
             at = np.argsort(bucket, kind="stable")
             token, doc, n, bucket = token[at], doc[at], n[at], bucket[at]
             starts = np.flatnonzero(np.append(True, bucket[1:] != bucket[:-1]))
             ends = np.append(starts[1:], len(bucket))
             blobs = [token[a:b].tobytes() + doc[a:b].tobytes() + n[a:b].tobytes() for a, b in zip(starts, ends, strict=True)]
-            return pa.RecordBatch.from_arrays([pa.array(bucket[starts], pa.int32()), pa.array(blobs, pa.binary())], ["bucket", "blob"])
+            packed = [np.stack(ties).tobytes()] + [b""] * (len(starts) - 1)
+            return pa.RecordBatch.from_arrays([pa.array(bucket[starts], pa.int32()), pa.array(blobs, pa.binary()), pa.array(packed, pa.binary())], ["bucket", "blob", "ties"])
 
         for batch in batches:
             for part in chunks(batch, 1):
@@ -176,7 +211,7 @@ _PAIRS = "a long, b long, na long, nb long, shared long"
 
 
 def _candidates(percent: int):
-    """Step 3: rows of (a, b, sizes, shared prefix shingles) from one bucket; shared is null for a star's edge."""
+    """Step 3: rows of (a, b, sizes, shared prefix shingles) from one bucket; shared is null for a tie."""
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         tokens, docs, sizes = [], [], []
@@ -186,14 +221,16 @@ def _candidates(percent: int):
             docs.append(np.frombuffer(blob, np.int64, k, 8 * k))
             sizes.append(np.frombuffer(blob, np.int32, k, 16 * k))
         token, doc, n = np.concatenate(tokens), np.concatenate(docs), np.concatenate(sizes).astype(np.int64)
+        frequent, n = n < 0, np.abs(n)
         at = np.lexsort((doc, n, token))
-        token, doc, n = token[at], doc[at], n[at]
+        token, doc, n, frequent = token[at], doc[at], n[at], frequent[at]
         starts = np.flatnonzero(np.append(True, token[1:] != token[:-1]))
         count = np.diff(np.append(starts, len(token)))
+        hot = (count > SMALL) | (np.add.reduceat(frequent, starts) > 0)
         found = []
-        for k in np.unique(count[(count > 1) & (count <= SMALL)]):
+        for k in np.unique(count[(count > 1) & ~hot]):
             i, j = np.triu_indices(k, 1)
-            base = starts[count == k][:, None]
+            base = starts[(count == k) & ~hot][:, None]
             x, y = (base + i).ravel(), (base + j).ravel()
             ok = (100 * n[x] >= percent * n[y]) & (doc[x] != doc[y])  # n[x] <= n[y]
             found.append((x[ok], y[ok]))
@@ -207,17 +244,20 @@ def _candidates(percent: int):
             if len(x):
                 first = np.flatnonzero(np.append(True, (doc[x][1:] != doc[x][:-1]) | (doc[y][1:] != doc[y][:-1])))
                 pairs = pd.DataFrame({"a": doc[x[first]], "b": doc[y[first]], "na": n[x[first]], "nb": n[y[first]], "shared": np.diff(np.append(first, len(x)))})
-        stars: set[tuple[int, int]] = set()
-        for s, k in zip(starts[count > SMALL], count[count > SMALL], strict=True):
-            own_n, own = n[s : s + k], doc[s : s + k]
-            new = np.append(True, 100 * own_n[:-1] < percent * own_n[1:])
-            centre = own[np.maximum.accumulate(np.where(new, np.arange(k), 0))]
-            stars.update((c, d) for c, d in zip(centre.tolist(), own.tolist(), strict=True) if c != d)
+        ties = [np.frombuffer(x, np.int64).reshape(2, -1) for x in rows["ties"] if x]
+        own = np.flatnonzero(np.repeat(hot, count))
+        if len(own):
+            member, centre, at = stars(token[own], doc[own], n[own], percent)
+            ties.append(np.stack((member, centre)))
+            heads = own[at]  # by shingle, then class: neighbouring classes are tied by their centres
+            kind = size_class(n[heads], percent)
+            near = np.flatnonzero((token[heads][1:] == token[heads][:-1]) & (kind[1:] - kind[:-1] == 1))
+            ties.append(np.stack((doc[heads[near]], doc[heads[near + 1]])))
         out = pairs.astype({"shared": "Int64"})
-        if stars:
-            a, b = np.array(sorted(stars), np.int64).T
-            extra = pd.DataFrame({"a": np.minimum(a, b), "b": np.maximum(a, b), "na": 0, "nb": 0, "shared": pd.array([None] * len(a), "Int64")})
-            out = pd.concat([out, extra]) if len(out) else extra
+        if ties:
+            a, b = _distinct(*np.concatenate(ties, axis=1))
+            extra = pd.DataFrame({"a": a, "b": b, "na": 0, "nb": 0, "shared": pd.array([None] * len(a), "Int64")})
+            out = pd.concat([out, extra]) if len(out) and len(extra) else extra if len(extra) else out
         return out
 
     return run
@@ -311,8 +351,8 @@ class PrefixTree:
         return at[100 * shared >= percent * (n + self.size[at] - shared)]
 
 
-def linked_classes(sets: list[np.ndarray], percent: int = PERCENT) -> np.ndarray:
-    """A class number for each non-empty set: sets are in one class if a chain of links joins them."""
+def linked_classes(sets: list[np.ndarray], percent: int = PERCENT, quiet: np.ndarray | None = None) -> np.ndarray:
+    """A class number for each non-empty set: sets are in one class if a chain of links joins them. Quiet sets are in one class from the start."""
     values, code, count = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
     rank = np.empty(len(values), np.int32)
     rank[np.lexsort((values, -count))] = np.arange(len(values), dtype=np.int32)
@@ -321,9 +361,14 @@ def linked_classes(sets: list[np.ndarray], percent: int = PERCENT) -> np.ndarray
     order = sorted(range(len(sets)), key=lambda i: coded[i].astype(">u4").tobytes())
     tree = PrefixTree([coded[i] for i in order])
     label = np.arange(len(order))
+    still = quiet[order] if quiet is not None else np.zeros(len(order), bool)
+    if still.any():
+        label[still] = label[np.argmax(still)]
     for k, i in enumerate(order):
         if (label == label[k]).all():
             break
+        if still[k]:
+            continue
         hit = tree.linked(coded[i], len(values), percent)
         old = np.unique(label[hit])
         label[np.isin(label, old)] = old[0] if len(old) else label[k]
@@ -333,21 +378,47 @@ def linked_classes(sets: list[np.ndarray], percent: int = PERCENT) -> np.ndarray
 
 
 def _join(percent: int):
-    """Step 5: (doc_id, label, cut) from one block or one pair of its cuts."""
+    """Step 5: (doc_id, label) from one block or from what meets in one task of a cut block; rows that are `still` are in one class already."""
 
     def run(rows: pd.DataFrame) -> pd.DataFrame:
         ids = rows["doc_id"].to_numpy()
-        label = linked_classes([np.frombuffer(x, np.uint64) for x in rows["shingles"]], percent)
+        label = linked_classes([np.frombuffer(x, np.uint64) for x in rows["shingles"]], percent, rows["still"].to_numpy(bool))
         least = pd.Series(ids).groupby(label).transform("min")
-        return pd.DataFrame({"doc_id": ids, "label": least.to_numpy(), "cut": (rows["cuts"] > 1).to_numpy()})
+        return pd.DataFrame({"doc_id": ids, "label": least.to_numpy()})
 
     return run
 
 
+def _cut_blocks(big: DataFrame, percent: int) -> DataFrame:
+    """Step 6 over big (doc_id, label, shingles, cuts): edges (a, b) that connect the classes of cut blocks."""
+    found = "doc_id long, label long"
+    big = big.withColumn("cut", F.expr("cast(pmod(xxhash64(doc_id, 3), cuts) AS int)"))
+    picked = big.groupBy("label", F.expr(f"pmod(xxhash64(doc_id, 5), {PIVOTS})").alias("p")).agg(F.min(F.struct(F.xxhash64("doc_id", F.lit(11)), "doc_id"))["doc_id"].alias("doc_id")).select("doc_id")
+    pivots = big.join(picked, "doc_id").withColumn("cut", F.explode(F.expr("filter(sequence(0, cuts - 1), x -> x <> cut)")))
+    inside = big.unionByName(pivots).withColumn("still", F.lit(False)).groupBy("label", "cut").applyInPandas(_join(percent), found)
+    first = checkpointed(inside.filter("doc_id <> label").select(F.col("doc_id").alias("a"), F.col("label").alias("b")))
+    classes = components(first).withColumnsRenamed({"node": "doc_id", "label": "class"})
+    owned = checkpointed(big.join(classes, "doc_id", "left").withColumn("class", F.coalesce("class", "doc_id")))
+    counts = owned.groupBy("label", "class").agg(F.count("*").alias("n"), F.sum(F.octet_length("shingles")).alias("bytes"))
+    cuts = lambda n, size: F.ceil(F.greatest(n / CHUNK, size / CUT_BYTES)).cast("int")
+    main = counts.groupBy("label").agg(
+        F.max(F.struct("n", "class"))["class"].alias("main"), cuts(F.max("n"), F.max(F.struct("n", "class", "bytes"))["bytes"]).alias("m"),
+        cuts(F.sum("n") - F.max("n"), F.sum("bytes") - F.max(F.struct("n", "class", "bytes"))["bytes"]).alias("r"),
+    ).filter("r > 0")
+    owned = owned.select("doc_id", "label", "class", "shingles").join(main, "label").withColumn("still", F.expr("class = main"))
+    owned = owned.withColumn("own", F.expr("cast(pmod(xxhash64(doc_id, 7), IF(still, m, r)) AS int)"))
+    # The rest's cut i meets the largest class's cut j as (i, j, true), the rest's cut k as (min, max, false).
+    meets = """IF(still, transform(sequence(0, r - 1), i -> named_struct('i', i, 'j', own, 'side', true)),
+      concat(transform(sequence(0, m - 1), j -> named_struct('i', own, 'j', j, 'side', true)), transform(sequence(0, r - 1), k -> named_struct('i', least(own, k), 'j', greatest(own, k), 'side', false))))"""
+    tasks = owned.select("doc_id", "label", "shingles", "still", F.explode(F.expr(meets)).alias("t")).select("doc_id", "label", "shingles", "still", "t.*")
+    across = tasks.groupBy("label", "i", "j", "side").applyInPandas(_join(percent), found)
+    return first.unionByName(across.filter("doc_id <> label").select(F.col("doc_id").alias("a"), F.col("label").alias("b")))
+
+
 def scanned(docs: DataFrame, width: int = WIDTH) -> tuple[DataFrame, int]:
     """Step 1 over docs (doc_id, text), checkpointed, and the sketch's bits."""
     bits = power_of_two(16 * docs.count(), 16, 24)
-    return checkpointed(docs.mapInArrow(_scan(width, bits), "doc_id long, n long, digest binary, block int, part int, counts binary")), bits
+    return checkpointed(docs.mapInArrow(returning(_scan(width, bits)), "doc_id long, n long, digest binary, block int, part int, counts binary")), bits
 
 
 def link_classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH) -> DataFrame:
@@ -359,27 +430,29 @@ def link_classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH) ->
     rows = first.filter("block IS NULL").select("doc_id", "n", "digest")
     total = rows.agg(F.sum(F.col("n") - F.ceil(F.col("n") * percent / 100) + 1)).first()[0] or 0
     named = docs.filter("doc_id IS NOT NULL")
-    postings = named.mapInArrow(_postings(width, percent, sketch, max(256, int(total / BUCKET))), "bucket int, blob binary")
+    postings = named.mapInArrow(returning(_postings(width, percent, sketch, max(256, int(total / BUCKET)))), "bucket int, blob binary, ties binary")
     pairs = postings.groupBy("bucket").applyInPandas(_candidates(percent), _PAIRS)
-    pairs = pairs.groupBy("a", "b").agg(F.max("na").alias("na"), F.max("nb").alias("nb"), F.sum("shared").alias("shared"), F.max(F.col("shared").isNull()).alias("star"))
+    pairs = pairs.groupBy("a", "b").agg(F.max("na").alias("na"), F.max("nb").alias("nb"), F.sum("shared").alias("shared"), F.max(F.col("shared").isNull()).alias("tied"))
     most = F.expr(f"shared + ceil({percent} * greatest(na, nb) / 100.0) - 1")
-    edges = pairs.filter(F.col("star") | (most >= F.expr(f"ceil({percent} * (na + nb) / {100.0 + percent})"))).select("a", "b")
+    edges = pairs.filter(F.col("tied") | (most >= F.expr(f"ceil({percent} * (na + nb) / {100.0 + percent})"))).select("a", "b")
     blocks = checkpointed(components(edges))
-    slot = F.expr(f"pmod(xxhash64(doc_id), {1 << MEMBER_BITS})")
-    words = np.zeros((1 << MEMBER_BITS) // 64, np.uint64)
+    bits = power_of_two(16 * blocks.count(), *MEMBER_BITS)
+    slot = F.expr(f"pmod(xxhash64(doc_id), {1 << bits})")
+    words = np.zeros((1 << bits) // 64, np.uint64)
     taken = blocks.select(F.col("node").alias("doc_id")).select(slot.alias("s")).groupBy((F.col("s") / 64).cast("int").alias("w")).agg(F.expr("bit_or(shiftleft(1L, cast(s % 64 AS int)))").alias("bits"))
-    for w, b in taken.collect():  # at most 2**(MEMBER_BITS - 6) rows
+    for w, b in taken.collect():  # at most 2**(bits - 6) rows
         words[w] = np.uint64(b & (2**64 - 1))
     bitmap = spark.sparkContext.broadcast(words.tobytes())
-    sets = named.select("doc_id", "text", slot.alias("slot")).mapInArrow(_members(width, bitmap), "doc_id long, shingles binary")
-    sizes = blocks.groupBy("label").agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("cuts"))
-    placed = blocks.join(sizes, "label").withColumn("cut", F.expr("cast(pmod(xxhash64(node, 3), cuts) AS int)"))
-    # A cut meets every cut of its block, itself only in a block of one.
-    placed = placed.withColumn("other", F.explode(F.expr("filter(sequence(0, cuts - 1), x -> cuts = 1 OR x <> cut)")))
-    placed = placed.select(F.col("node").alias("doc_id"), "label", "cuts", F.least("cut", "other").alias("i"), F.greatest("cut", "other").alias("j"))
-    joined = checkpointed(sets.join(placed, "doc_id").groupBy("label", "i", "j").applyInPandas(_join(percent), "doc_id long, label long, cut boolean"))
-    over = components(joined.filter("cut").select(F.col("doc_id").alias("a"), F.col("label").alias("b")))
-    labels = joined.filter("NOT cut").select("doc_id", "label").unionByName(over.select(F.col("node").alias("doc_id"), "label"))
+    sets = named.select("doc_id", "text", slot.alias("slot")).mapInArrow(returning(_members(width, bitmap)), "doc_id long, shingles binary")
+    sets = checkpointed(sets.join(blocks.withColumnRenamed("node", "doc_id"), "doc_id"))
+    cuts = F.ceil(F.greatest(F.count("*") / CHUNK, F.sum(F.octet_length("shingles")) / CUT_BYTES)).cast("int")
+    sized = sets.join(sets.groupBy("label").agg(cuts.alias("cuts")), "label").select("doc_id", "label", "shingles", "cuts")
+    joined = sized.filter("cuts = 1").select("doc_id", "label", "shingles", F.lit(False).alias("still")).groupBy("label").applyInPandas(_join(percent), "doc_id long, label long")
+    labels = joined
+    if not (big := sized.filter("cuts > 1")).isEmpty():
+        over = components(_cut_blocks(big, percent))
+        # A cut block's document outside all classes has no row here, nor does it need one.
+        labels = labels.unionByName(over.select(F.col("node").alias("doc_id"), "label"))
     labels = labels.groupBy("doc_id").agg(F.min("label").alias("label"))
     kept = rows.filter("n > 0 AND doc_id IS NOT NULL")
     classes = kept.join(labels, "doc_id", "left").groupBy("digest").agg(F.min("doc_id").alias("least"), F.min("label").alias("label"))
