@@ -8,17 +8,20 @@ permutation, so equal entities have equal surrogates in every document (corefere
 * characters keep their class (lower, upper, digit, hexadecimal, script); the string as a number in mixed radix goes through
   a Feistel network over the next even number of bits, again until it is back in range;
 * a card keeps its prefix-independent checksum distance (a valid number stays valid), an address its private or public range,
-  a phone its country code, an e-mail goes under the reserved name "example";
+  a phone its country code with or without a gap behind it, an e-mail goes under the reserved name "example";
 * a given name of the lists moves within the list of its gender and script; other names keep vowels, consonants and script
-  and never become a listed one. A name found after a title is replaced wherever it stands later in the text, whole or
-  by one of its words; a word that the text also has in small letters counts as no name.
-
-The report first runs the collision check over all distinct entities; an original whose surrogate is taken gets that of the next
-tweak. collisions() checks a table of entities: surrogates of more than one original, or originals with more than one surrogate.
-
-The key is an argument; DEMO_KEY only makes results repeatable. Edge cases: null texts stay null; overlapping finds go to the
-earlier, then longer one; nothing outside the finds changes; the permutations have no fixed points, so no image equals its
-original unless its format has one string alone.
+  and never become a listed one. A name is found after a title, in scripts without capitals too: a run of up to four ideographs, kana or
+  syllables (three of a longer run), or two words. It is replaced wherever it stands later in the text, whole or by one of its
+  words; a word that the text also has in small letters counts as no name.
+
+The report first runs the collision check over all distinct entities; an original whose surrogate is another one's, or stands in the
+corpus as an original of its kind itself (names apart, whose lists are small), gets that of the next tweak. collisions() checks a
+table of entities: surrogates of more than one original, or originals with more than one surrogate.
+
+The key is an argument; DEMO_KEY only makes results repeatable. Edge cases: null texts stay null, empty ones empty; overlapping finds go
+to the earlier, then longer one; nothing outside the finds changes; the permutations have no fixed points, so no image equals its
+original unless its format has one string alone; equal texts have equal results, rows are replaced one by one; extra columns stay, one
+called as an output is replaced; an empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -32,7 +35,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import chunks, with_fields
+from .common import checkpointed, chunks, returning, with_fields
 
 DEMO_KEY = b"replace this key"
 ROUNDS = 8
@@ -55,9 +58,24 @@ LATIN_LOWER = "".join(chr(c) for c in range(0xDF, 0x100) if c != 0xF7)
 LATIN_UPPER = "".join(chr(c) for c in range(0xC0, 0xDF) if c != 0xD7)
 CYRILLIC = "".join(chr(c) for c in range(0x430, 0x450))
 GREEK = "".join(chr(c) for c in range(0x3B1, 0x3CA) if c != 0x3C2)
+#: Further blocks of letters, each in small letters, capitals and letters without case: Latin, accented Greek, more Cyrillic, Armenian,
+#: Hebrew, Arabic, Devanagari, Thai, Georgian, kana, ideographs, Hangul syllables.
+BLOCKS = [(0x100, 0x250), (0x386, 0x390), (0x3AA, 0x3D0), (0x400, 0x410), (0x450, 0x530), (0x531, 0x588), (0x5D0, 0x5EB), (0x620, 0x64B), (0x904, 0x93A), (0xE01, 0xE2F), (0x10D0, 0x10FB), (0x1E00, 0x1F00), (0x3041, 0x3097), (0x30A1, 0x30FB), (0x4E00, 0xA000), (0xAC00, 0xD7A4)]
 CLASSES = ["0123456789", "abcdefghijklmnopqrstuvwxyz", "ABCDEFGHIJKLMNOPQRSTUVWXYZ", LATIN_LOWER, LATIN_UPPER, CYRILLIC, CYRILLIC.upper(), GREEK, GREEK.upper()]
+_HELD = frozenset("".join(CLASSES))
+for _a, _b in BLOCKS:
+    _letters = [c for c in map(chr, range(_a, _b)) if c.isalpha() and c not in _HELD]
+    _cases = ([c for c in _letters if c.islower()], [c for c in _letters if c.isupper()], [c for c in _letters if not c.islower() and not c.isupper()])
+    CLASSES += ["".join(k) for k in _cases if len(k) > 1]
 SOUNDS = [VOWELS, CONSONANTS, VOWELS.upper(), CONSONANTS.upper(), *CLASSES[3:]]
 HEX = ["0123456789abcdef", "0123456789ABCDEF"]
+#: The classes by what is replaced.
+ALPHABETS = {"any": CLASSES, "sounds": SOUNDS, "hex": HEX[:1], "HEX": HEX[1:]}
+# Country codes of one and of two digits; all others have three.
+COUNTRY_ONE = frozenset("17")
+COUNTRY_TWO = frozenset("20 27 30 31 32 33 34 36 39 40 41 43 44 45 46 47 48 49 51 52 53 54 55 56 57 58 60 61 62 63 64 65 66 81 82 84 86 90 91 92 93 94 95 98".split())
+#: Tweaks that the collision check tries; originals that it settles at most (no name or number is left out of the replacement).
+TRIES, MOST_AGAIN = 8, 100_000
 
 _TITLE = "|".join(sorted((t for own in TITLES.values() for t in own), key=len, reverse=True))
 _NAME = r"[^\W\d_][^\W\d_'’-]*"
@@ -69,7 +87,7 @@ PATTERNS = {
     "ip": re.compile(r"(?<![\w.])(?:(?:25[0-5]|2[0-4]\d|1?\d?\d)\.){3}(?:25[0-5]|2[0-4]\d|1?\d?\d)(?![\w]|\.\d)"),
     "national": re.compile(r"(?<![\w-])\d{3}-\d{2}-\d{4}(?![\w-])"),
     "phone": re.compile(r"(?<![\w.])(?:\+(?P<country>\d{1,3})[ .-]?)?\(?\d{2,4}\)?[ .-]\d{3,4}[ .-]?\d{3,4}(?![\w])|(?<![\w.])\+\d{8,15}(?![\w])"),
-    "name": re.compile(rf"(?<!\w)(?P<title>{_TITLE})\.?\s+(?P<names>{_NAME}(?:[ ]{_NAME}){{0,2}})"),
+    "name": re.compile(rf"(?<!\w)(?P<title>{_TITLE})\.?\s+(?=(?P<names>{_NAME}(?:[ ]{_NAME}){{0,2}}))"),
 }
 _TITLES = frozenset(t for own in TITLES.values() for t in own)
 _WORD = re.compile(r"\w+")
@@ -77,6 +95,35 @@ _MARKS = re.compile(r"[@0-9]")
 _SECRET = re.compile(rf"(?i){SECRET}")
 
 
+@lru_cache(maxsize=100_000)
+def class_of(c: str, alphabet: str) -> str | None:
+    """The class of a character among those of an alphabet."""
+    return next((k for k in ALPHABETS[alphabet] if c in k), None)
+
+
+def country_length(digits: str) -> int:
+    """Digits of the country code that a number without its plus sign begins with."""
+    return 1 if digits[:1] in COUNTRY_ONE else 2 if digits[:2] in COUNTRY_TWO else 3
+
+
+def named(words: list[str]) -> str:
+    """The words behind a title that are the name; none if the first one is in small letters."""
+    out: list[str] = []
+    for w in words:
+        if w[0].isupper():
+            out.append(w)
+            continue
+        if w[0].islower() or not w[0].isalpha():
+            break
+        if ord(w[0]) >= 0x3041:  # written without gaps
+            run = re.match(r"[\u3041-\ud7a3]+", w)[0]
+            return " ".join([*out, run if len(run) <= 4 else run[:3]])
+        if len(out) == 2:
+            break
+        out.append(w)
+    return " ".join(out)
+
+
 class Keyed:
     """Permutations of strings that keep each character's class, under one key."""
 
@@ -109,20 +156,17 @@ class Keyed:
         shift = 1 + int.from_bytes(hashlib.blake2b(b"shift" + tweak, key=self.key, digest_size=min(64, low * 2 + 8)).digest(), "big") % (size - 1)
         return ordered((ordered(value, False) + shift) % size, True)
 
-    def text(self, text: str, kind: str, classes: list[str] = CLASSES) -> str:
+    def text(self, text: str, kind: str, alphabet: str = "any") -> str:
         """The image of a string; characters of no class stay."""
-        out, todo = list(text), []
-        for i, c in enumerate(text):
-            own = next((k for k in classes if c in k), None)
-            if own:
-                todo.append((i, own))
+        out = list(text)
+        todo = [(i, own) for i, c in enumerate(text) if (own := class_of(c, alphabet))]
         # Long strings go in parts, each under what stands before it in the original.
         for at in range(0, len(todo), 64):
             part = todo[at : at + 64]
             value, size = 0, 1
             for i, own in part:
                 value, size = value * len(own) + own.index(text[i]), size * len(own)
-            shape = "".join(own[0] if any(own[0] == k[0] for _, k in part) else "" for _, own in part)
+            shape = "".join(own[0] for _, own in part)
             tweak = hashlib.blake2b(f"{kind}\0{shape}\0{text[: part[0][0]] if at else ''}".encode(), digest_size=16).digest()
             image = self.number(value, size, tweak)
             for i, own in reversed(part):
@@ -190,6 +234,8 @@ class Surrogates:
         return ".".join(str(value >> k & 255) for k in (24, 16, 8, 0))
 
     def phone(self, text: str, country: str | None) -> str:
+        if not country and text.startswith("+"):
+            country = text[1 : 1 + country_length(text[1:])]
         head = text.index(country) + len(country) if country else 0
         return text[:head] + self.keyed.text(text[head:], f"phone{country or ''}")
 
@@ -200,13 +246,13 @@ class Surrogates:
         # Lower hexadecimal, upper, other: each part of the strings of a format is mapped onto itself.
         kind = lambda t: next((i for i, k in enumerate(HEX) if all(c in k for c in t)), len(HEX))
         own = kind(text)
-        return walked(lambda t: self.keyed.text(t, "secret", HEX[own : own + 1] or CLASSES), text, lambda t: kind(t) == own)
+        return walked(lambda t: self.keyed.text(t, "secret", ("hex", "HEX", "any")[own]), text, lambda t: kind(t) == own)
 
     def word(self, word: str, gender: str) -> str:
         """The image of a word of a name, wherever in the name it stands. Listed names and others don't meet."""
         listed = [(g, s) for (g, s), names in GIVEN.items() if word in names]
         if not listed:
-            return walked(lambda t: self.keyed.text(t, "family", SOUNDS), word, lambda t: t not in LISTED)
+            return walked(lambda t: self.keyed.text(t, "family", "sounds"), word, lambda t: t not in LISTED)
         # A given name of the other gender's list only, as after a neutral title, keeps its own gender.
         group = next((x for x in listed if x[0] == gender), listed[0])
         names = GIVEN[group]
@@ -239,16 +285,11 @@ class Surrogates:
             found += [(*m.span(1), "secret", None) for m in PATTERNS["secret"].finditer(text)]
         known: dict[str, tuple[int, str]] = {}  # names and their words, to the end of the first find
         for m in PATTERNS["name"].finditer(text):
-            words = m["names"].split(" ")
-            kept = 0
-            while kept < len(words) and words[kept][0].isupper():
-                kept += 1
-            if kept:
+            if name := named(m["names"].split(" ")):
                 gender = next(g for g, own in TITLES.items() if m["title"] in own)
-                name = " ".join(words[:kept])
                 end = m.start("names") + len(name)
                 found.append((m.start("names"), end, "name", gender))
-                for w in {name, *(w for w in words[:kept] if len(w) > 2 and w not in _TITLES)}:
+                for w in {name, *(w for w in name.split(" ") if len(w) > 2 and w not in _TITLES)}:
                     known.setdefault(w, (end, gender))
         if known:
             found += self.mentions(text, known)
@@ -304,50 +345,59 @@ def replace_entities(docs: DataFrame, key: bytes = DEMO_KEY, again: dict | None
                 columns = [pa.array([t for t, _ in done], pa.string()) if n == "text" else batch.column(batch.schema.get_field_index(n)) for n in names]
                 yield pa.RecordBatch.from_arrays([*columns, entities], [*names, "entities"])
 
-    return docs.mapInArrow(run, schema)
+    return docs.mapInArrow(returning(run), schema)
 
 
 def entity_pairs(docs: DataFrame, key: bytes = DEMO_KEY, again: dict | None = None) -> DataFrame:
-    """(kind, original_digest, surrogate) of each find, for checks; originals leave as keyed digests alone."""
+    """(kind, original, surrogate, image) of each find, for checks: keyed digests, but for the surrogate itself."""
 
     def run(batches):
         s = Surrogates(key, again)
-        for batch in batches:
-            rows = [(k, s.digest(o), new) for t in batch.column(0).to_pylist() if t for _, _, k, o, new in s.apply(t)[1]]
-            yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.string()) for i in range(3)], ["kind", "original", "surrogate"])
+        for whole in batches:
+            for batch in chunks(whole, 0):
+                rows = [(k, s.digest(o), new, s.digest(new)) for t in batch.column(0).to_pylist() if t for _, _, k, o, new in s.apply(t)[1]]
+                yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in rows], pa.string()) for i in range(4)], ["kind", "original", "surrogate", "image"])
 
-    return docs.select("text").mapInArrow(run, "kind string, original string, surrogate string")
+    return docs.select("text").mapInArrow(returning(run), "kind string, original string, surrogate string, image string")
 
 
 def collisions(pairs: DataFrame) -> DataFrame:
     """Surrogates of several originals and originals of several surrogates within a kind: empty if all is well."""
-    distinct = pairs.distinct()
+    distinct = pairs.select("kind", "original", "surrogate").distinct()
     shared = distinct.groupBy("kind", F.col("surrogate").alias("value")).agg(F.count("*").alias("n")).filter("n > 1").withColumn("what", F.lit("surrogate"))
     split = distinct.groupBy("kind", F.col("original").alias("value")).agg(F.count("*").alias("n")).filter("n > 1").withColumn("what", F.lit("original"))
     return shared.unionByName(split)
 
 
-def colliding(pairs: DataFrame) -> list[tuple[str, str]]:
-    """(kind, original) of all originals but the first of each surrogate of several ones."""
+def colliding(pairs: DataFrame) -> DataFrame:
+    """(kind, original, taken) that need another tweak: all originals but the first of a surrogate (taken), and, names apart, those whose
+    surrogate is an original too."""
     distinct = pairs.distinct()
-    shared = distinct.groupBy("kind", "surrogate").agg(F.count("*").alias("n"), F.min("original").alias("first")).filter("n > 1").collect()
-    if not shared:
-        return []
-    first = {(r["kind"], r["surrogate"]): r["first"] for r in shared}
-    rows = distinct.filter(F.col("surrogate").isin(sorted({r["surrogate"] for r in shared}))).collect()
-    return sorted((r["kind"], r["original"]) for r in rows if first.get((r["kind"], r["surrogate"]), r["original"]) != r["original"])
+    shared = distinct.groupBy("kind", "surrogate").agg(F.count("*").alias("n"), F.min("original").alias("first")).filter("n > 1").drop("n")
+    taken = distinct.join(shared, ["kind", "surrogate"]).filter(F.col("original") != F.col("first")).select("kind", "original", F.lit(True).alias("taken"))
+    there = distinct.filter("kind <> 'name'").select("kind", F.col("original").alias("image")).distinct()
+    reused = distinct.join(there, ["kind", "image"], "left_semi").select("kind", "original", F.lit(False).alias("taken"))
+    return taken.unionByName(reused).groupBy("kind", "original").agg(F.max("taken").alias("taken"))
 
 
-def settled(docs: DataFrame, key: bytes = DEMO_KEY) -> dict[tuple[str, str], int]:
-    """The collision check over all distinct entities, again until nothing collides: tweak numbers of those that did."""
+def settled(docs: DataFrame, key: bytes = DEMO_KEY) -> tuple[dict[tuple[str, str], int], int]:
+    """Tweak numbers of the originals that collided, by the check over all distinct entities until nothing collides; and the surrogates left
+    that stand in the corpus as originals. Permutations don't meet, so few originals ever do; more than MOST_AGAIN is an error."""
     again: dict[tuple[str, str], int] = {}
-    while found := colliding(entity_pairs(docs, key, again)):
-        for x in found:
-            again[x] = again.get(x, 0) + 1
-    return again
+    for turn in range(TRIES + 1):
+        found = colliding(checkpointed(entity_pairs(docs, key, again).distinct()))
+        rows = found.orderBy(F.desc("taken"), "kind", "original").limit(MOST_AGAIN + 1).collect()
+        if not rows or turn == TRIES and not rows[0].taken:
+            return again, len(rows)
+        if len(rows) > MOST_AGAIN or turn == TRIES:
+            raise RuntimeError(f"{len(rows)} or more originals collide after {turn} tweaks")
+        for r in rows:
+            again[r.kind, r.original] = again.get((r.kind, r.original), 0) + 1
+    raise AssertionError
 
 
 def surrogate_report(docs: DataFrame, key: bytes = DEMO_KEY) -> DataFrame:
-    """What op7 returns: doc_id, the new text, n_entities and the entities, after the collision check over the whole table."""
-    again = settled(docs, key)
-    return replace_entities(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), key, again).select("doc_id", "text", F.size("entities").alias("n_entities"), "entities")
+    """What op7 returns: doc_id, the new text, n_entities, the entities, and the collisions that the check over the whole table left."""
+    again, left = settled(docs, key)
+    out = replace_entities(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text"), key, again)
+    return out.select("doc_id", "text", F.size("entities").alias("n_entities"), "entities", F.lit(left).cast("long").alias("collisions"))
