@@ -12,7 +12,8 @@ it (quotation), a second person or another hit raises it (abuse). A logistic mod
 
 Training: a bounded sample of labelled rows, SAMPLE rows a label, of up to SAMPLE_BYTES bytes each, by hash. Scores use the text
 alone. Edge cases: null and empty texts have no hits and the score of such texts; without labelled rows of both kinds the
-lexicon is empty and every score is the share of toxic rows, or 0.
+lexicon is empty and every score is near 1 (all toxic) or 0; an id with both labels counts as toxic; rows are scored one by one and
+equal texts alike; of equally close terms the first listed one is the hit; extra columns are ignored; an empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -27,13 +28,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, texts
+from .common import chunks, returning, texts
 
 WORD = re.compile(r"[^\W_]+(?:[@$!*'][^\W_]+)*")
 #: The training sample's bounds; the least likelihood ratio and number of toxic texts of a term.
 SAMPLE, SAMPLE_BYTES, LEAST_RATIO, LEAST_TEXTS, MOST_TERMS = 1500, 20_000, 20.0, 3, 5000
+#: States that an automaton keeps.
+MOST_STATES = 100_000
 #: Words on either side that make a hit's context; weight of a hit by its edits; words that a worker keeps.
-WINDOW, EDIT_WEIGHT, KEPT = 6, (1.0, 0.8, 0.6), 500_000
+WINDOW, EDIT_WEIGHT, KEPT = 6, (1.0, 0.8, 0.6), 200_000
 THRESHOLD = 0.7
 # Signs read as letters; quotation marks; words of reporting and of the second person in the corpus's languages.
 SIGNS = str.maketrans("013457@$!", "oieastasi")
@@ -54,6 +57,7 @@ class TrieAutomaton:
     """All terms within their own number of edits of a word."""
 
     def __init__(self, terms: list[str], ordinary: frozenset[str] = frozenset()):
+        """ordinary: words that are never misspellings."""
         self.terms, self.ordinary = terms, ordinary
         self.next: list[dict[str, int]] = [{}]
         self.term: list[int] = [-1]
@@ -75,6 +79,10 @@ class TrieAutomaton:
             own = most_edits(terms[self.term[node]]) if self.term[node] >= 0 else 0
             self.most[node] = max([own, *(self.most[k] for k in self.next[node].values())])
         self.letters = {c for x in self.next for c in x}
+        self.restart()
+
+    def restart(self) -> None:
+        """Forgets all states; they are made again when met."""
         self.states: list[tuple[frozenset[tuple[int, int]], int]] = []
         self.number: dict[tuple[frozenset[tuple[int, int]], int], int] = {}
         self.moves: list[dict[str, int]] = []
@@ -121,6 +129,8 @@ class TrieAutomaton:
         """(edits, term number) of the closest term, or None."""
         if self.start == self.dead or word in self.ordinary:
             return None
+        if len(self.states) > MOST_STATES:
+            self.restart()
         state, moves = self.start, self.moves
         for c in word:
             if c not in self.letters:
@@ -153,10 +163,11 @@ class Scorer:
         self.known: dict[str, tuple[int, int] | None] = {}
 
     def word(self, word: str) -> tuple[int, int] | None:
-        """The match of a lower-cased word, as written or with its signs read as letters."""
+        """The closer match of a lower-cased word as written and with its signs read as letters."""
         found = self.automaton.match(word)
-        if found is None and not word.isalpha() and (plain := word.translate(SIGNS)) != word:
-            found = self.automaton.match(plain.replace("'", "").replace("*", ""))
+        if not word.isalpha() and (plain := word.translate(SIGNS)) != word:
+            read = self.automaton.match(plain.replace("'", "").replace("*", ""))
+            found = min((x for x in (found, read) if x), default=None)
         return found
 
     def hits(self, text: str) -> list[tuple[int, int, int, float, bool]]:
@@ -199,13 +210,14 @@ class Scorer:
         closed = [k for k, c in enumerate(right) if c in QUOTES and (k == 0 or not right[k - 1].isspace())]
         return bool(opened and closed) and sum(c in QUOTES for c in left) % 2 == 1
 
-    def features(self, text: str) -> tuple[list[float], int]:
-        hits = self.hits(text)
+    @staticmethod
+    def features(text: str, hits: list[tuple[int, int, int, float, bool]]) -> list[float]:
+        """What the logistic model reads of a text's hits."""
         if not hits:
-            return [0.0] * FEATURES, 0
+            return [0.0] * FEATURES
         exact, fuzzy = (sum(h[3] for h in hits if bool(h[2]) == kind) for kind in (False, True))
         top = max((h[3] for h in hits if not h[2]), default=0.0)
-        return [math.log1p(exact), math.log1p(fuzzy), top, min(1.0, 100 * exact / (len(text) / 6 + 1)), sum(h[4] for h in hits) / len(hits)], len(hits)
+        return [math.log1p(exact), math.log1p(fuzzy), top, min(1.0, 100 * exact / (len(text) / 6 + 1)), sum(h[4] for h in hits) / len(hits)]
 
     def score(self, x: list[float]) -> float:
         z = self.model.constant + sum(a * b for a, b in zip(self.model.weights, x, strict=True))
@@ -261,7 +273,7 @@ def train(rows: list[tuple[str, int]]) -> Model:
         if not y:
             halves[i % 2].update(near.intersection(WORD.findall((text or "").lower())))
     scorers = [Scorer(Model(terms, strength, frozenset(halves[1 - k]))) for k in (0, 1)]
-    x = np.array([[1.0, *scorers[i % 2].features(t or "")[0]] for i, (t, _) in enumerate(rows)])
+    x = np.array([[1.0, *Scorer.features(t or "", scorers[i % 2].hits(t or ""))] for i, (t, _) in enumerate(rows)])
     ordinary = frozenset(near)
     y = np.array([k for _, k in rows], float)
     w = np.zeros(x.shape[1])
@@ -304,13 +316,12 @@ def score_texts(docs: DataFrame, model: Model) -> DataFrame:
                 rows = []
                 for text in texts(batch.column(1)):
                     hits = scorer.hits(text)
-                    x = scorer.features(text)[0] if hits else [0.0] * FEATURES
-                    rows.append((scorer.score(x), len(hits), sum(h[2] > 0 for h in hits), sum(h[4] for h in hits), sorted({scorer.model.terms[h[1]] for h in hits})))
+                    rows.append((scorer.score(scorer.features(text, hits)), len(hits), sum(h[2] > 0 for h in hits), sum(h[4] for h in hits), sorted({scorer.model.terms[h[1]] for h in hits})))
                 columns = list(zip(*rows, strict=True)) or [[]] * 5
                 kinds = (pa.float64(), pa.int32(), pa.int32(), pa.int32(), pa.list_(pa.string()))
                 yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], ["doc_id", "score", "n_hits", "n_fuzzy", "n_quoted", "terms"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(run, schema)
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(returning(run), schema)
 
 
 def toxicity_report(docs: DataFrame, labels: DataFrame) -> DataFrame:
