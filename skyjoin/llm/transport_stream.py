@@ -7,7 +7,8 @@ units carry the payload; all but the units' last packets are laid out as a numpy
 
 Edge cases: an empty payload gives tables alone; bytes before sync and after the last whole packet are skipped and counted;
 duplicate packets are dropped once; a gap in a counter without a discontinuity flag is an error and damages the open
-elementary packet, which is then marked; scrambled and null packets carry nothing.
+elementary packet, which is then marked; scrambled and null packets carry nothing; null texts count as empty, equal texts have equal
+streams, rows are stored one by one; extra columns are ignored; an empty table gives an empty one.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, text_bytes
+from .common import chunks, returning, text_bytes
 
 PACKET, SYNC, NULL_PID = 188, 0x47, 0x1FFF
 PMT_PID, DATA_PID, PROGRAM = 0x1000, 0x0101, 1
@@ -283,14 +284,13 @@ def padded(text: bytes) -> bytes:
 
 
 def feature(s: Stream, payload: bytes) -> str:
-    """Packets, elementary packets, errors, time span, random-access points, and the payload's byte entropy and mean."""
+    """Packets, elementary packets, errors, time span, number of random-access points, and the payload's byte entropy and mean."""
     counts = np.bincount(np.frombuffer(payload, np.uint8), minlength=256)
     share = counts[counts > 0] / max(1, len(payload))
     entropy = float(-(share * np.log2(share)).sum()) + 0.0
-    points = ",".join(f"{p}@{t}" for p, t, _ in s.index()[:4])
     last = s.units[-1].pts if s.units else None
     mean = float((counts * np.arange(256)).sum() / max(1, len(payload)))
-    return f"ts;packets={s.packets};units={len(s.units)};clocks={s.clocks};errors={s.counter_errors + s.table_errors};last_pts={last};access={len(s.index())};first_access={points};entropy={entropy:.4f};mean={mean:.3f}"
+    return f"ts;packets={s.packets};units={len(s.units)};clocks={s.clocks};errors={s.counter_errors + s.table_errors};last_pts={last};access={len(s.index())};entropy={entropy:.4f};mean={mean:.3f}"
 
 
 STORED = "doc_id long, n_bytes long, media binary, payload binary, feature string, programs int, packets int, counter_errors int, access_points array<struct<packet:int,pts:long,offset:long>>, last_pts long"
@@ -318,7 +318,7 @@ def stored_media(docs: DataFrame) -> DataFrame:
                 kinds = [pa.int64(), pa.binary(), pa.binary(), pa.string(), pa.int32(), pa.int32(), pa.int32(), _POINTS, pa.int64()]
                 yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], names)
 
-    return docs.selectExpr("cast(doc_id AS long) AS doc_id", "text").mapInArrow(run, STORED)
+    return docs.selectExpr("cast(doc_id AS long) AS doc_id", "text").mapInArrow(returning(run), STORED)
 
 
 def media_columns(docs: DataFrame) -> DataFrame:
@@ -343,4 +343,4 @@ def access_units(media: DataFrame) -> DataFrame:
             kinds = [pa.int64(), pa.int32(), pa.int32(), pa.int64(), pa.int64(), pa.bool_(), pa.bool_(), pa.int32(), pa.int32()]
             yield pa.RecordBatch.from_arrays([pa.array([r[j] for r in rows], k) for j, k in enumerate(kinds)], names)
 
-    return media.selectExpr("cast(doc_id AS long) AS doc_id", "media").mapInArrow(run, schema)
+    return media.selectExpr("cast(doc_id AS long) AS doc_id", "media").mapInArrow(returning(run), schema)
