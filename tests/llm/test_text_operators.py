@@ -39,7 +39,40 @@ def docs(spark):
 @pytest.fixture(scope="module")
 def extra(docs):
     """Extra columns whose names clash with outputs and working columns."""
-    return docs.withColumns({"n_lines": F.lit("x"), "ids": F.lit("y"), "block": F.lit(1), "N_Dropped": F.lit(2), "slot": F.lit("z"), "entities": F.lit(3)})
+    return clashing(docs)
+
+
+def clashing(df):
+    names = "n_lines ids block N_Dropped slot entities label score n_tokens media digest fingerprint component_id at bucket lang_pred toxic mix_order place"
+    return df.withColumns({n: F.lit("x") for n in names.split() if n not in df.columns})
+
+
+REPORTS = {
+    "op1": lambda d: lexicon_automata.toxicity_report(d, d.selectExpr("doc_id", "cast(doc_id % 2 AS int) AS toxic")),
+    "op2": lambda d: token_counts.token_counts(d, vocabulary()),
+    "op3": transport_stream.media_columns,
+    "op4": crf_language.language_report,
+    "op5": lambda d: piece_transducer.round_trip(d, vocabulary()),
+    "op6": minhash.edited_fingerprints,
+    "op7": surrogates.surrogate_report,
+    "op8": prefix_join.link_classes,
+    "op9": lambda d: line_dedup.dedup_lines(d).select("doc_id", "n_lines", "n_dropped", F.sha2("text", 256).alias("t")),
+    "op10": lambda d: pfair_mix.mix(d).select("doc_id", F.col("mix_order")),
+}
+
+
+@pytest.mark.parametrize("name", REPORTS)
+def test_odd_tables(docs, none, name):
+    """Clashing columns, repeated rows, a null id, null, empty and long texts: a row for each row, equal rows alike; empty tables."""
+    long = docs.sparkSession.createDataFrame([(77, "the word of it was in a long text " * 30_000, "en", "a", 1), (78, "n" * 200_000, "en", "b", 1)], SCHEMA)
+    table = docs.unionByName(long).unionByName(docs.filter("doc_id IN (5, 9, 13)"))
+    plain, wide = ([tuple(r) for r in REPORTS[name](t).collect()] for t in (table, clashing(table)))
+    assert len(plain) == table.count() and sorted(map(str, plain)) == sorted(map(str, wide))
+    ids = [r[0] for r in plain]
+    assert ids.count(5) == ids.count(13) == 2 and ids.count(None) == 1 and {77, 78} <= set(ids)
+    if name != "op10":  # rows of one id and text are alike
+        assert all(len({str(r) for r in plain if r[0] == i}) == 1 for i in (5, 9, 13))
+    assert REPORTS[name](none).count() == 0
 
 
 @pytest.fixture(scope="module")
@@ -72,7 +105,9 @@ def test_token_counts_equal_the_library(spark, docs, none):
     rng = random.Random(2)
     texts = TEXTS + ["".join(rng.choice("ab ▁\né日x1.,") for _ in range(rng.randint(0, 60))) for _ in range(300)]
     assert m.count(texts) == [len(x) for x in lib.encode(texts)]
-    assert [m.long(t) for t in ("abcabcabc", "thethethe" * 40)] == m.ragged(["abcabcabc", "thethethe" * 40]).tolist()
+    for letters, n in (("etaoin", 5000), ("abcdefghijklmnopqrstuvwxyz", 5000), ("ab", 5000), ("a", 5000)):  # long sequences, by rounds alone
+        t = "".join(rng.choice(letters) for _ in range(n))
+        assert m.ragged(["▁" + t]).tolist() == [len(lib.encode(t))]
     got = token_counts.token_counts(docs, vocabulary()).collect()
     assert len(got) == docs.count()
     text = {}
@@ -97,6 +132,57 @@ def test_transducer_equals_the_library(docs, extra, none):
     assert back.count() == 0 and piece_transducer.round_trip(none, vocabulary()).count() == 0
 
 
+def spelled_paths(text, pieces, byte_ids, byte, pair):
+    """All segmentations of a text with their weights: pieces, or bytes of characters that are none."""
+    if not text:
+        yield 0.0, []
+    for k in range(1, len(text) + 1):
+        for weight, rest in spelled_paths(text[k:], pieces, byte_ids, byte, pair) if text[:k] in pieces else ():
+            number = pieces[text[:k]][0]
+            yield weight + pieces[text[:k]][1] + (pair(number, rest[0]) if rest and rest[0] < 100 else 0.0), [number, *rest]
+    if text and text[0] not in pieces:
+        own = [byte_ids[b] for b in text[0].encode()]
+        for weight, rest in spelled_paths(text[1:], pieces, byte_ids, byte, pair):
+            yield weight + byte * len(own), own + rest
+
+
+class Pairs:
+    """A pair acceptor with unequal weights, some infinite."""
+
+    def one(self, a, b):
+        return [0.0, 0.5, 2.0, float("inf")][(7 * a + 3 * b) % 4]
+
+    def weights(self, a, b):
+        return np.array([self.one(x, y) if x >= 0 and y >= 0 else 0.0 for x, y in zip(a.tolist(), b.tolist(), strict=True)])
+
+
+@pytest.mark.parametrize("pairs", [None, Pairs()])
+def test_shortest_path_against_all_paths(pairs):
+    """Small vocabularies with unequal weights: the least weight of all paths, of parts together and one by one."""
+    rng = random.Random(6)
+    byte_ids, text = list(range(100, 356)), []
+    for _ in range(25):
+        pieces = {p: (i, rng.choice([0.25, 0.5, 1.0, 1.75, 3.0]) + i / 1024) for i, p in enumerate(sorted({"".join(rng.choice("abc") for _ in range(rng.randint(1, 4))) for _ in range(9)}))}
+        t = piece_transducer.Transducer(pieces, byte_ids, 356, pairs, byte=4.0)
+        texts = ["".join(rng.choice("abcé") for _ in range(rng.randint(1, 8))) for _ in range(12)]
+        for x, got in zip(texts, t.shortest(texts), strict=True):
+            paths = sorted((w, p) for w, p in spelled_paths(x, pieces, byte_ids, 4.0, pairs.one if pairs else lambda a, b: 0.0) if w < float("inf"))
+            want = [p for w, p in paths if w <= paths[0][0] + 1e-9] if paths else [[byte_ids[b] for b in x.encode()]]
+            assert got in want and t.shortest_one(x) in want
+            text.append(len(paths))
+    assert max(text) > 5
+
+
+def test_pair_acceptor_is_what_merging_gives():
+    t = piece_transducer.transducer(vocabulary())
+    rng, ids = np.random.default_rng(3), np.flatnonzero(t.pairs.whole)
+    a, b = rng.choice(ids, 6000), rng.choice(ids, 6000)
+    words = [p.encode("utf-8", "ignore").decode() for p in t.pieces if p.isascii()]
+    extra = [(t.pieces[p[:k]][0], t.pieces[p[k:]][0]) for p in words for k in range(1, len(p)) if p[:k] in t.pieces and p[k:] in t.pieces][:4000]
+    a, b = np.append(a, [x for x, _ in extra]), np.append(b, [y for _, y in extra])
+    assert t.pairs.weights(a, b).tolist() == [t.pairs.one(x, y) for x, y in zip(a.tolist(), b.tolist(), strict=True)]
+
+
 # Media ------------------------------------------------------------------------------------------------------------------
 
 
@@ -203,9 +289,10 @@ def class_brute(data):
 
 
 def test_prefix_tree_join(docs, none, monkeypatch):
-    for small, chunk in ((16, 256), (2, 3)):  # the second: stars for almost all shingles, blocks in cuts
+    for small, chunk, pivots in ((16, 512, 4), (2, 3, 1), (1, 5, 2)):  # the others: stars for almost all shingles, blocks in cuts
         monkeypatch.setattr(prefix_join, "SMALL", small)
         monkeypatch.setattr(prefix_join, "CHUNK", chunk)
+        monkeypatch.setattr(prefix_join, "PIVOTS", pivots)
         got = prefix_join.link_classes(docs.select("doc_id", "text"))
         assert sorted(map(tuple, got.collect()), key=str) == class_brute(rows())
     assert prefix_join.link_classes(none).count() == 0
@@ -214,6 +301,55 @@ def test_prefix_tree_join(docs, none, monkeypatch):
     assert kept.columns == docs.columns and {r.doc_id for r in kept.collect() if r.doc_id is not None} == heads
 
 
+def test_prefix_join_in_cuts_against_brute_force(spark, monkeypatch):
+    """Groups of near copies around shared passages, with most shingles frequent and blocks cut: classes and sets as by brute force."""
+    rng = random.Random(12)
+    monkeypatch.setattr(prefix_join, "SMALL", 3)
+    monkeypatch.setattr(prefix_join, "CHUNK", 6)
+    common = " ".join(rng.choice(WORDS) for _ in range(30))
+    data, i = [], 0
+    for g in range(6):
+        base = (common + " " + " ".join(rng.choice(WORDS) for _ in range(rng.choice((25, 50))))).split()
+        for _ in range(14):
+            w = list(base)
+            for _ in range(rng.randint(0, 3)):
+                w[rng.randrange(len(w))] = f"x{rng.randrange(900)}"
+            data.append((i := i + 1, " ".join(w), "en", "a", 0))
+    got = prefix_join.link_classes(spark.createDataFrame(data, SCHEMA).repartition(5).select("doc_id", "text"))
+    assert sorted(map(tuple, got.collect()), key=str) == class_brute(data)
+
+
+def test_near_copies_meet_in_proportion(spark, monkeypatch):
+    """Twice the near copies: about twice the rows that enter the trees, not four times."""
+    rng, met = random.Random(13), []
+    base = [rng.choice(WORDS) for _ in range(60)]
+    join = prefix_join._join
+    total = spark.sparkContext.accumulator(0)
+
+    def counting(percent):
+        run = join(percent)
+
+        def counted(rows):
+            total.add(len(rows))
+            return run(rows)
+
+        return counted
+
+    monkeypatch.setattr(prefix_join, "_join", counting)
+    monkeypatch.setattr(prefix_join, "CHUNK", 64)
+    for n in (1500, 3000):
+        data = []
+        for i in range(n):
+            w = list(base)
+            w[rng.randrange(60)] = f"y{i}"
+            data.append((i, " ".join(w)))
+        before = total.value
+        got = prefix_join.link_classes(spark.createDataFrame(data, "doc_id long, text string").repartition(8))
+        assert {r.component_id for r in got.collect()} == {0}
+        met.append(total.value - before)
+    assert met[0] < 4 * 1500 and met[1] < 2.5 * met[0]
+
+
 def test_prefix_tree_against_all_pairs():
     rng = random.Random(9)
     for _ in range(150):
@@ -297,6 +433,37 @@ def test_minhash(spark, none):
     assert not re.search("Python|Arrow|Pandas", plan)
 
 
+def test_fingerprint_by_hand(spark):
+    """The fingerprint itself: bins, densification and packing in plain Python."""
+    import xxhash
+
+    def hashed(words):
+        h = 42
+        for w in words:
+            h = xxhash.xxh64(w.encode(), seed=h).intdigest()
+        return h - (1 << 64) if h >> 63 else h
+
+    def by_hand(text):
+        w = re.findall(r"[^\x20\x09-\x0D]+", text.lower())
+        if not w:
+            return "-"
+        least = {}
+        for h in {hashed(w[k : k + 5]) for k in range(len(w) - 4)} if len(w) >= 5 else {hashed(w)}:
+            k = (h >> 57) + 64
+            least[k] = min(h, least.get(k, h))
+        full = [least[i] if i in least else next(least[k] for k in minhash.walks()[i] if k in least) for i in range(128)]
+        return "".join(f"{h & 255:02x}" for h in full)
+
+    rng = random.Random(4)
+    texts = [" ".join(rng.choice(WORDS) for _ in range(n)) for n in (1, 3, 5, 6, 20, 130, 400, 3000)] + ["", "  ", "One TWO three Four five Six"]
+    rows_ = spark.createDataFrame([(t,) for t in texts], "t string").select("t", minhash.fingerprint(F.col("t"))).collect()
+    assert [f for _, f in rows_] == [by_hand(t) for t, _ in rows_]
+    a, b = by_hand(texts[5]), by_hand(texts[6])
+    same = sum(a[k : k + 2] == b[k : k + 2] for k in range(0, 256, 2)) / 128
+    got = spark.createDataFrame([(a, b)], "a string, b string").select(minhash.likeness(F.col("a"), F.col("b"))).first()[0]
+    assert abs(got - max(0.0, (same - 1 / 256) / (1 - 1 / 256))) < 1e-12
+
+
 def test_next_lower(spark):
     for ids in ([7], [1, 2, 3], [k * k * k for k in range(9000)], [-5, 0, 2**62, -(2**62)]):
         got = dict(map(tuple, minhash.next_lower(spark.createDataFrame([(i,) for i in ids], "id long")).collect()))
@@ -319,12 +486,23 @@ def test_pfair_mix(spark, docs, extra, none):
         assert r.release <= r.slot < r.deadline
         blocks.setdefault(r.source, {})[r.block] = r.slot
     share = {r.source: r.share for r in got}
-    assert share == {"a": 50, "b": 30, "c": 15, None: 5}
+    period = got[0].period
+    assert period > 300 and all(abs(share[s] / period - w) <= 0.5 / period for s, w in (("a", 0.5), ("b", 0.3), ("c", 0.15), (None, 0.05)))
     for s, own in blocks.items():
         slots = sorted(own.values())
         assert list(own) == sorted(own) and slots == [own[k] for k in sorted(own)]
         for t in range(slots[-1] + 1):  # less than one block off the target at every time
-            assert abs(sum(x < t for x in slots) - t * share[s] / 100) < 1
+            assert abs(sum(x < t for x in slots) - t * share[s] / period) < 1
+    exact = spark.createDataFrame([("a", 0.7131), ("b", 0.2867), ("c", 0.0002), (None, 0.0)], "source string, weight double")
+    slots = {}
+    for r in pfair_mix.mix(df.union(df.selectExpr("doc_id + 5000", "source")), exact, block=1).collect():
+        slots.setdefault(r.source, []).append(r.slot)
+    ends = {s: max(x) for s, x in slots.items()}
+    for s, w in (("a", 0.7131), ("b", 0.2867)):  # the given weights, not the rounded shares
+        own = np.sort(slots[s])
+        for t in range(0, min(ends["a"], ends["b"]), 7):
+            assert abs(np.searchsorted(own, t) - t * w) < 1.5
+    assert len(slots["c"]) == 80 and min(slots[None]) > max(ends[s] for s in "abc")
     wide = pfair_mix.mix(extra)
     assert wide.count() == extra.count() and wide.columns.count("slot") == 1
     assert pfair_mix.mixed(docs).columns == docs.columns and pfair_mix.mixed(docs).count() == docs.count()
@@ -380,6 +558,24 @@ def test_copies_count_once_in_the_sample(spark):
     assert len(got) == len(set(got)) == 30 and {k for _, k in got} == {"en"}
 
 
+def test_no_language_is_lost_to_copies(spark):
+    """One English text 20,000 times beside 100 German ones, and tables of copies alone."""
+    german = [("der die und nicht einer %d" % k, "de") for k in range(100)]
+    for text in ("the of and was that", "this is it", "a word in the text"):
+        df = spark.range(20_000).select(F.lit(text).alias("text"), F.lit("en").alias("lang"))
+        got = crf_language.sample(df.unionByName(spark.createDataFrame(german, "text string, lang string")))
+        assert sum(k == "en" for _, k in got) == 1 and sum(k == "de" for _, k in got) == 100
+    many = spark.range(3000).selectExpr("concat('text number ', id) AS text", "concat('l', id % 3) AS lang")
+    got = crf_language.sample(many, per_label=50)
+    assert len(got) == 150 and all(sum(k == f"l{j}" for _, k in got) == 50 for j in range(3))
+
+
+def test_training_converges(spark):
+    table = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    lengths = crf_language.fit(table).gradients
+    assert len(lengths) == crf_language.ROUNDS and lengths[-1] < 0.1 * lengths[0]
+
+
 # Toxicity -----------------------------------------------------------------------------------------------------------------
 
 
@@ -426,7 +622,7 @@ def test_toxicity(spark, docs, none):
     held = [i for i in range(240) if out[i].held_out]
     assert held and all(out[i].held_out == (zlib.crc32(str(i).encode()) % 3 == 1) for i in range(240))
     assert sum(out[i].predicted == (i % 4 == 0) for i in held) / len(held) > 0.97
-    assert out[1000].n_fuzzy == 2 or out[1000].n_hits == 2
+    assert out[1000].n_fuzzy == 1 and out[1000].n_hits == 2  # a sign read as its letter is no edit
     assert out[1001].n_quoted == 1 and out[1001].score < out[1002].score and out[1003].score == out[1004].score < 0.5
     assert lexicon_automata.toxicity_report(none, lab).count() == 0
     assert lexicon_automata.toxicity_report(docs, lab.limit(0)).count() == docs.count()
@@ -479,7 +675,7 @@ def test_surrogates(docs, extra, none, spark):
     assert surrogates.Surrogates(b"other").apply(text)[0] != new
     df = spark.createDataFrame([(1, text), (2, "see a.b+c@mail7.example.com"), (3, None)], "doc_id long, text string")
     out = {r.doc_id: r for r in surrogates.surrogate_report(df).collect()}
-    assert out[3].text is None and out[2].entities[0].surrogate in out[1].text
+    assert out[3].text is None and out[2].entities[0].surrogate in out[1].text and out[1].collisions == 0
     assert surrogates.collisions(surrogates.entity_pairs(df)).count() == 0
     assert surrogates.replace_entities(extra).count() == extra.count() and surrogates.surrogate_report(none).count() == 0
     untouched = surrogates.replace_entities(docs).alias("n").join(docs.alias("o"), "doc_id").filter("n.text <> o.text AND n.text IS NOT NULL")
@@ -499,7 +695,14 @@ def test_surrogates_move_everything_apart(spark):
     images = [s.ip(x) for x in ips]
     assert len(set(images)) == len(ips) and all((int(x.split(".")[0]) in (0, *range(224, 256))) == (int(y.split(".")[0]) in (0, *range(224, 256))) for x, y in zip(ips, images, strict=True))
     pairs = spark.createDataFrame([("name", "o1", "x"), ("name", "o2", "x"), ("name", "o2", "x"), ("ip", "o3", "x"), ("name", "o4", "y")], "kind string, original string, surrogate string")
-    assert surrogates.colliding(pairs) == [("name", "o2")]
+    pairs = pairs.withColumn("image", F.col("surrogate"))
+    assert [tuple(r) for r in surrogates.colliding(pairs).collect()] == [("name", "o2", True)]
+    there = spark.createDataFrame([("ip", "p", "s1", "q"), ("ip", "q", "s2", "r"), ("name", "p", "s3", "q"), ("name", "q", "s4", "p")], pairs.schema)
+    assert [tuple(r) for r in surrogates.colliding(there).collect()] == [("ip", "p", False)]
+    s = surrogates.Surrogates(b"k")
+    assert s.phone("+491701234567", None).startswith("+49") and s.phone("+15551234567", None).startswith("+1")
+    assert [o for _, _, _, o, _ in s.apply("Mr 王伟 said Mr محمد علي came, Herr Łukasz Żółty")[1]] == ["王伟", "محمد علي", "Łukasz Żółty"]
+    assert all(a != b for a, b in zip("ŁukaszŻółty", s.name("ŁukaszŻółty", "m"), strict=True))
     again = surrogates.Surrogates(b"k", {("name", s.digest("Smith")): 1})
     assert again.replace("name", "Smith", "m") != s.replace("name", "Smith", "m") and again.replace("name", "Jones", "m") == s.replace("name", "Jones", "m")
 
@@ -533,8 +736,8 @@ def test_pipeline_stages(spark, docs, none, tmp_path):
             kept = {r.doc_id: r.text for r in nxt.collect()}
             assert after == before and LINE not in kept[9].lower() and LINE not in kept[11].lower() and LINE in kept[12]
         if name == "near_duplicates":
-            ids = {r.doc_id for r in nxt.collect()}
-            assert 6 not in ids and 5 in ids and not {31, 32, 33} & ids or 30 in ids
+            ids = {r.doc_id for r in nxt.collect() if r.doc_id is not None}
+            assert ids == {c for _, _, c in class_brute([tuple(r) for r in now.collect()]) if c is not None} and after < before
         if name in ("source_mix", "piece_encoding"):
             assert after == before
         assert nxt.columns == docs.columns + (["ids"] if name == "piece_encoding" else [])
@@ -558,3 +761,30 @@ def test_pipeline_keeps_the_mix_in_files(spark, tmp_path):
     for t in range(1, 1 + min(int(k**0.5 * total) for k in n.values())):  # until the first source ends
         for s in "abc":
             assert abs(sum(r.source == s for r in got[:t]) - t * n[s] ** 0.5 / total) < 2 * pfair_mix.BLOCK
+
+
+def test_pipeline_against_brute_force(spark, tmp_path):
+    """run() over whole files, against the stages' rules in plain Python; the model and the order of the mix are tested on their own."""
+    import corpus_pipeline as p
+
+    rng, i = random.Random(21), 0
+    english = "the of and was that this with from have they which would there been their more about other".split()
+    shared = [" ".join(rng.choices(english, k=9)) for _ in range(3)]
+    data = [(1000, None), (1001, ""), (1002, "12345 67890"), (1003, "99 88 77")]
+    for g in range(12):
+        base = rng.choices(english, k=60)
+        for _ in range(rng.choice((1, 1, 3))):
+            w = list(base)
+            for _ in range(rng.randint(0, 2)):
+                w[rng.randrange(60)] = rng.choice(english)
+            data.append((i := i + 1, " ".join(w[:30]) + "\n" + shared[g % 3] + "\n" + " ".join(w[30:])))
+    rows_ = [(i, t, "en" if i < 1000 else None, "ab"[i % 2], len(t or "")) for i, t in data]
+    spark.createDataFrame(rows_, SCHEMA).repartition(3).write.parquet(str(tmp_path / "documents.parquet"))
+    got = {r.doc_id: r for r in p.run(spark, str(tmp_path)).collect()}
+    left = [(i, t) for i, t in data if re.search("[a-z]", t or "")]
+    holders = {x: [i for i, t in left if x in t.split("\n")] for _, t in left for x in t.split("\n") if len(x) >= 20}
+    cut = [(i, "\n".join(x for x in t.split("\n") if len(holders.get(x, ())) < 3 or i == max(holders[x]))) for i, t in left]
+    heads = {c for _, _, c in class_brute(cut)}
+    lib, text = library(), dict(cut)
+    assert set(got) == heads and all(r.text == text[i] and r.n_chars == len(text[i]) and r.ids == lib.encode(text[i]) for i, r in got.items())
+    assert sorted(r.mix_order for r in got.values()) == sorted({r.mix_order for r in got.values()})
