@@ -10,11 +10,11 @@ from skyjoin.llm.common import checkpointed, prepare, table
 from skyjoin.llm.queries import vocabulary
 
 #: A document stays if its likeliest language has this share of its words.
-LEAST_SHARE = 0.3
+LEAST_SHARE = 0.5
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without a letter, or without a language of enough share, go. Learned from docs' own lang."""
+    """Documents without a letter, or in no language by more than half, go: numbers, keys and mixtures. Learned from docs' own lang."""
     prepare(spark)
     return crf_language.keep_confident(docs, least=LEAST_SHARE)
 
