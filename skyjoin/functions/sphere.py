@@ -69,26 +69,27 @@ def angle_of(chord: float) -> float:
     return math.degrees(2 * math.asin(min(1.0, chord / 2)))
 
 
-def ra_window(dec, radius: float) -> Column:
+def ra_window(dec, radius) -> Column:
     """Half-width in right ascension of a circle of radius degrees around a declination; 180 where it holds a pole."""
-    d, r = F.radians(_c(dec)), math.radians(radius)
+    d, r = F.radians(_c(dec)), F.radians(_c(radius))
     inner = F.cos(d - r) * F.cos(d + r)
-    open_ = F.abs(_c(dec)) + radius < 90.0
-    return F.when(open_ & (inner > 0), F.degrees(F.atan2(F.lit(math.sin(r)), F.sqrt(F.greatest(inner, F.lit(1e-300)))))).otherwise(F.lit(180.0))
+    open_ = F.abs(_c(dec)) + _c(radius) < 90.0
+    return F.when(open_ & (inner > 0), F.degrees(F.atan2(F.sin(r), F.sqrt(F.greatest(inner, F.lit(1e-300)))))).otherwise(F.lit(180.0))
 
 
-def zone_id(dec, height: float) -> Column:
-    return F.floor((_c(dec) + 90.0) / height).cast("int")
+def zone_id(dec, height) -> Column:
+    return F.floor((_c(dec) + 90.0) / _c(height)).cast("int")
 
 
-def cells_of(zone, height: float) -> Column:
+def cells_of(zone, height) -> Column:
     """Cells of a zone: as many as fit its narrowest parallel at about the zone's height."""
-    low = _c(zone) * height - 90.0
-    worst = F.least(F.lit(90.0), F.greatest(F.abs(low), F.abs(low + height)))
-    return F.greatest(F.lit(1), F.floor(360.0 * F.cos(F.radians(worst)) / height)).cast("long")
+    h = _c(height)
+    low = _c(zone) * h - 90.0
+    worst = F.least(F.lit(90.0), F.greatest(F.abs(low), F.abs(low + h)))
+    return F.greatest(F.lit(1), F.floor(360.0 * F.cos(F.radians(worst)) / h)).cast("long")
 
 
-def cell_id(ra, zone, height: float) -> Column:
+def cell_id(ra, zone, height) -> Column:
     n = cells_of(zone, height)
     return F.least(n - 1, F.floor(_c(ra) * n / 360.0))
 

@@ -8,16 +8,17 @@ result has a struct column for each catalog (null where an optional one is absen
 from __future__ import annotations
 
 import math
+from collections.abc import Callable
 from dataclasses import dataclass, field, replace
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, Observation, Window
 from pyspark.sql import functions as F
 
 from ..functions.evidence import ln_bayes, ln_bound, ln_term, merged_deficit, search_chord, weight
 from ..functions.plan import checkpointed, sealed
-from ..functions.sphere import PER_RADIAN, angle_of, declination, length, right_ascension
+from ..functions.sphere import PER_RADIAN, angle_of, chord2, declination, length, right_ascension, sky_to_xyz
 from .regions import Region
-from .zones import Grid, pair_table, sky_columns
+from .zones import LEVEL_STEP, Grid, choose_grid, pair_table, reached, sky_columns, weight_levels, zone_table
 
 REQUIRE, ALLOW, FORBID = "require", "allow", "forbid"
 STATE = ("__ax", "__ay", "__az", "__W", "__D", "__S")
@@ -37,6 +38,7 @@ class Participant:
     where: str | None = None
     site: str = ""
     weights: tuple[float, float] | None = field(default=None)
+    grid: Grid | None = None  # df has zone and cell of this grid already, as a zone cache gives it
 
     def bound(self) -> Participant:
         """With (least, largest) weight filled in: free for a constant error, one aggregate else."""
@@ -68,7 +70,7 @@ def states(p: Participant, region: Region | None = None, grown: float = 0.0) ->
     df = sealed(df, {"__wt": weight("__e")})
     new = {f"__a{c}": F.col("__wt") * F.col(f"__{c}") for c in "xyz"} | {"__W": F.col("__wt"), "__D": F.lit(0.0), "__S": ln_term("__wt")}
     member = [F.lit(True).alias(f"{p.alias}__"), *[F.col(c).alias(f"{p.alias}__{c}") for c in columns]]
-    return sealed(df, new).select(*member, *STATE)
+    return sealed(df, new).select(*member, *STATE, *(["zone", "cell"] if p.grid else []))
 
 
 def positioned(df: DataFrame) -> DataFrame:
@@ -80,7 +82,7 @@ def positioned(df: DataFrame) -> DataFrame:
 
 def _members(df: DataFrame) -> list[str]:
     """Member columns stay flat, as alias__column, until the end: alias__ alone says whether the member is there."""
-    return [c for c in df.columns if not c.startswith("__")]
+    return [c for c in df.columns if not c.startswith("__") and "__" in c]
 
 
 def _aliases(df: DataFrame) -> list[str]:
@@ -89,56 +91,113 @@ def _aliases(df: DataFrame) -> list[str]:
 
 @dataclass(frozen=True)
 class Side:
-    """A state table with the weights of its members; rows: an estimate, if there is one."""
+    """A state table with the weights of its members; rows: an estimate, if there is one; grid: that of its columns zone and cell, if it has them."""
 
     df: DataFrame
     weights: tuple[tuple[float, float], ...]
     rows: float | None = None
     site: str = ""
+    grid: Grid | None = None
 
 
-def combine(left: Side, right: Side, rest: list[tuple[float, bool]], ln_limit: float, grid: Grid | None = None, prune: str = "bound", inner: bool = True) -> Side:
+#: Counts of a step: is given a table and a name, gives the table back (Trace.seen).
+Seen = Callable[[DataFrame, str], DataFrame]
+
+
+class Trace:
+    """Rows by step of a match, counted while it runs: candidates of equal cells, pairs kept, null-extended rows."""
+
+    def __init__(self) -> None:
+        self.steps: list[tuple[str, Observation]] = []
+
+    def seen(self, df: DataFrame, name: str) -> DataFrame:
+        watch = Observation(f"{len(self.steps)}-{name}")
+        self.steps.append((name, watch))
+        return df.observe(watch, F.count(F.lit(1)).alias("rows"))
+
+    def counts(self) -> list[tuple[str, int]]:
+        """(step, rows) in the order of the plan, after the match has run."""
+        return [(name, int(watch.get.get("rows", 0))) for name, watch in self.steps]
+
+
+def _right(part: Side) -> DataFrame:
+    """A side as the right one of a pair table."""
+    return positioned(part.df).withColumnsRenamed({c: c.replace("__", "__r") for c in (*STATE, "__n")})
+
+
+def _merged(left: Callable[[str], Column] = F.col) -> tuple[dict[str, Column], Column]:
+    """State columns of two merged sides, and the length of their sum. left: how columns of the left side are written."""
+    own = {c: left(c) for c in (*STATE, "__n", "__x", "__y", "__z")}
+    sums = {f"__a{c}": own[f"__a{c}"] + F.col(f"__ra{c}") for c in "xyz"}
+    total = F.sqrt(sum((v * v for v in sums.values()), F.lit(0.0)))
+    c2 = chord2([own[f"__{c}"] for c in "xyz"], ("__rx", "__ry", "__rz"))
+    deficit = merged_deficit(own["__D"], own["__n"], "__rD", "__rn", c2, total)
+    return sums | {"__W": own["__W"] + F.col("__rW"), "__D": deficit, "__S": own["__S"] + F.col("__rS")}, total
+
+
+def combine(left: Side, right: Side, rest: list[tuple[float, bool]], ln_limit: float, grid: Grid | None = None, prune: str = "bound", density: float | None = None, seen: Seen | None = None) -> Side:
     """Merged states of two sides that can still reach the limit with `rest`, the largest weights to come."""
-    chord = search_chord(list(left.weights), list(right.weights), [w for w, _ in rest], ln_limit)
-    a = positioned(left.df)
-    b = positioned(right.df).withColumnsRenamed({c: c.replace("__", "__r") for c in (*STATE, "__n")})
+    coming = [w for w, _ in rest]
+    chord = search_chord(list(left.weights), list(right.weights), coming, ln_limit)
     small = "left" if left.rows is None or right.rows is None or left.rows <= right.rows else "right"
-    pairs = pair_table(a, b, chord, grid, small)
-    sums = {f"__a{c}": F.col(f"__a{c}") + F.col(f"__ra{c}") for c in "xyz"}
-    total = F.sqrt(sum((v * v for v in sums.values()), F.lit(0.0)))
-    members = _members(left.df) + _members(right.df)
-    new = sums | {"__W": F.col("__W") + F.col("__rW"), "__D": merged_deficit("__D", "__n", "__rD", "__rn", "__c2", total), "__S": F.col("__S") + F.col("__rS")}
-    merged = sealed(pairs, new).select(*members, *STATE)
+    levels, by = None, None
+    wide = {name: s.weights[0][1] / s.weights[0][0] > LEVEL_STEP**2 * (1 + 1e-9) for name, s in (("right", right), ("left", left)) if len(s.weights) == 1}
+    zoned = right.grid is not None and not wide.get("right") and not wide.get("left")
+    if grid is None and any(wide.values()):  # very uneven errors: classes of them, each with its radius
+        small = next(name for name in ("right", "left") if wide.get(name))
+        if small == "right":
+            levels = weight_levels(*right.weights[0], lambda a, b: search_chord(list(left.weights), [(a, b)], coming, ln_limit), density)
+        else:
+            levels = weight_levels(*left.weights[0], lambda a, b: search_chord([(a, b)], list(right.weights), coming, ln_limit), density)
+        by = F.col("__rW" if small == "right" else "__W")
+    use = right.grid if zoned else grid or choose_grid(angle_of(chord), density)
+    pairs = pair_table(positioned(left.df), _right(right), chord, use, "left" if zoned else small, levels=levels, level_weight=by, zoned=zoned, seen=seen)
+    merged = sealed(pairs, _merged()[0]).select(*_members(left.df), *_members(right.df), *STATE)
     bound = ln_bound("__D", "__W", "__S", [] if prune == "pairwise" else rest)
-    return Side(merged.filter(bound >= ln_limit - 1e-9) if prune != "none" else merged, left.weights + right.weights, None, left.site)
+    merged = merged.filter(bound >= ln_limit - 1e-9) if prune != "none" else merged
+    return Side(seen(merged, "kept") if seen else merged, left.weights + right.weights, None, left.site)
 
 
 def with_ln_b(df: DataFrame) -> DataFrame:
     return sealed(df, {"__lnb": ln_bayes("__D", length("__ax", "__ay", "__az"), "__S")})
 
 
-def tuple_id(df: DataFrame, keys: dict[str, tuple[str, ...]]) -> DataFrame:
-    """df with __tid, the keys of its members; an absent member is marked, never a magic key."""
-    parts = [F.struct(F.col(f"{a}__").alias("here"), *[F.col(f"{a}__{k}").alias(f"k{i}") for i, k in enumerate(keys[a])]) for a in _aliases(df)]
-    return df.withColumn("__tid", F.to_json(F.struct(*[p.alias(f"m{i}") for i, p in enumerate(parts)])))
-
+def allow(prefix: Side, part: Side, rest: list[tuple[float, bool]], ln_limit: float, grid: Grid | None = None, density: float | None = None) -> Side:
+    """The prefix extended where the extension (with what may follow) reaches the limit, else once as it was: one outer zone join.
 
-def allow(prefix: Side, p: Participant, part: Side, rest: list[tuple[float, bool]], ln_limit: float, keys: dict, grid: Grid | None = None) -> Side:
-    """The prefix extended where the extension (with what may follow) reaches the limit, else as it was."""
-    named = tuple_id(prefix.df, keys)
-    held = combine(Side(named.withColumnRenamed("__tid", "tid"), prefix.weights), part, rest, ln_limit, grid)
-    plain = named.join(held.df.select(F.col("tid").alias("__tid")).distinct(), "__tid", "left_anti").drop("__tid")
-    absent = {c: F.lit(None).cast(part.df.schema[c].dataType) for c in _members(part.df)} | {f"{p.alias}__": F.lit(False)}
-    plain = plain.withColumns(absent).filter(ln_bound("__D", "__W", "__S", rest) >= ln_limit - 1e-9)
-    return Side(held.df.drop("tid").unionByName(plain), prefix.weights + part.weights)
-
-
-def blocked(prefix: Side, part: Side, ln_limit: float, keys: dict, grid: Grid | None = None) -> tuple[DataFrame, DataFrame]:
-    """The prefix with __tid, and the distinct __tid that some detection of part would extend to the limit."""
-    named = tuple_id(prefix.df, keys)
-    held = combine(Side(named.withColumnRenamed("__tid", "tid"), prefix.weights), part, [], ln_limit, grid)
-    hit = with_ln_b(held.df).filter(F.col("__lnb") >= ln_limit).select(F.col("tid").alias("__tid")).distinct()
-    return named, hit
+    Detections are copied along cell borders, so that a tuple meets all of them in its own cell.
+    """
+    chord = search_chord(list(prefix.weights), list(part.weights), [w for w, _ in rest], ln_limit)
+    new, _ = _merged()
+    held = ln_bound(new["__D"], new["__W"], new["__S"], rest) >= ln_limit - 1e-9
+    pairs = pair_table(positioned(prefix.df), _right(part), chord, grid or choose_grid(angle_of(chord), density), "right", held, "left")
+    members = _members(part.df)
+    found = F.col(next(c for c in members if c.endswith("__"))).isNotNull()
+    pairs = sealed(pairs, {c: F.when(found, v).otherwise(F.col(c)) for c, v in new.items()})
+    flags = {c: F.coalesce(c, F.lit(False)) for c in members if c.endswith("__")}
+    out = pairs.withColumns(flags).select(*_members(prefix.df), *members, *STATE).filter(ln_bound("__D", "__W", "__S", rest) >= ln_limit - 1e-9)
+    return Side(out, prefix.weights + part.weights)
+
+
+def forbid(prefix: Side, part: Side, ln_limit: float, grid: Grid | None = None, density: float | None = None, flag: bool = False) -> DataFrame:
+    """The prefix without tuples that some detection of part would extend to the limit: one anti zone join. flag: all, with column blocked."""
+    chord = search_chord(list(prefix.weights), list(part.weights), [], ln_limit)
+    use = grid or choose_grid(angle_of(chord), density)
+    columns = prefix.df.columns
+    if not flag:
+        new, total = _merged()
+        held = ln_bayes(new["__D"], total, new["__S"]) >= ln_limit
+        return pair_table(positioned(prefix.df), _right(part), chord, use, "right", held, "left_anti").select(*columns)
+    # Names of the two sides must differ at every level below, or the inner side's are taken.
+    own = {c: f"__o{c.removeprefix('__')}" for c in (*STATE, "__n", "__x", "__y", "__z", "__ra", "__dec", "zone", "cell")}
+    outer = lambda c: F.col(own[c]).outer()
+    new, total = _merged(outer)
+    held = ln_bayes(new["__D"], total, new["__S"]) >= ln_limit
+    left = zone_table(positioned(prefix.df), use).withColumnsRenamed(own)
+    right = reached(positioned(part.df), use, angle_of(chord)).withColumnsRenamed({c: f"__r{c.removeprefix('__')}" for c in (*STATE, "__n", "__x", "__y", "__z", "zone", "cell")})
+    near = chord2([outer(f"__{c}") for c in "xyz"], ("__rx", "__ry", "__rz")) <= chord * chord
+    hit = right.where((outer("zone") == F.col("__rzone")) & (outer("cell") == F.col("__rcell")) & near & held).exists()
+    return left.select(*[F.col(own.get(c, c)).alias(c) for c in columns], hit.alias("blocked"))
 
 
 def finish(df: DataFrame, alias: str, ln_limit: float | None) -> DataFrame:
@@ -154,8 +213,7 @@ def finish(df: DataFrame, alias: str, ln_limit: float | None) -> DataFrame:
     )
     own = {a: [c for c in flat if c.startswith(f"{a}__") and c != f"{a}__"] for a in aliases}
     structs = [F.when(F.col(f"{a}__"), F.struct(*[F.col(c).alias(c[len(a) + 2 :]) for c in columns])).alias(a) for a, columns in own.items()]
-    rest = [c for c in flat if not any(c.startswith(f"{a}__") for a in aliases)]
-    return df.select(*structs, virtual.alias(alias), *rest)
+    return df.select(*structs, virtual.alias(alias), *[c for c in df.columns if c == "blocked"])
 
 
 def order_participants(parts: list[Participant], rows: dict[str, float] | None = None) -> list[Participant]:
@@ -164,6 +222,12 @@ def order_participants(parts: list[Participant], rows: dict[str, float] | None =
     return sorted(parts, key=lambda p: (rank[p.mode], (rows or {}).get(p.alias, 0.0)))
 
 
+def reach(p: Participant, q: Participant, need: list[Participant], taking: list[Participant], ln_limit: float) -> float:
+    """Degrees that no two members of an accepted tuple are farther apart, whether optional ones take part or not."""
+    others = [[o.weights[1] for o in own if o.alias not in (p.alias, q.alias)] for own in (need, taking)]
+    return angle_of(max(search_chord([p.weights], [q.weights], rest, ln_limit) for rest in others))
+
+
 def match_all(
     parts: list[Participant],
     limit: float,
@@ -180,13 +244,18 @@ def match_all(
     extra_evidence: Column | None = None,
     prior_area: float | None = None,
     dropouts: bool = False,
+    density: float | None = None,
+    trace: Trace | None = None,
+    rate: float = 1e-3,
 ) -> DataFrame:
     """All tuples whose Bayes factor reaches limit.
 
     plan: sequential, cascading (pairs of catalogs, then pairs of matches) or colocated (catalogs of a site first). order: listed,
-    reversed or estimated (rows by alias). The region tests the first required catalog listed (owner), the combined position, or comes
+    reversed or estimated (rows by alias, and where they aren't given, from samples of the catalogs at this rate with all their own
+    conditions, and the density of their fields with them). The region tests the first required catalog listed (owner), the combined position, or comes
     last (post); other catalogs are cut to the region grown by the reach. payload rejoin fetches columns by key at the end.
-    prior_area: the isotropic prior is over that many steradians instead of the whole sphere.
+    prior_area: the isotropic prior is over that many steradians instead of the whole sphere. density: rows per square degree of the
+    densest field, for the cells. trace: counts rows by step.
     """
     if limit is None or limit <= 0:
         raise ValueError("a positive limit is required")
@@ -200,10 +269,15 @@ def match_all(
         parts = [replace(p, columns=()) for p in parts]
     parts = [p.bound() for p in parts]
     owner = next(p.alias for p in parts if p.mode == REQUIRE)  # the region's
+    if order == "estimated" and rows is None:
+        from ..plans.planner import profiles
+
+        found = profiles(parts, rate, region)
+        rows = {a: f.rows for a, f in found.items()}
+        density = density or max((f.densest for f in found.values()), default=0.0) or None
     listed = order_participants(parts, rows if order == "estimated" else None)
     if order == "reversed":
         listed = order_participants(list(reversed(parts)))
-    keys = {p.alias: p.key for p in parts}
     need, may, without = ([p for p in listed if p.mode == m] for m in (REQUIRE, ALLOW, FORBID))
     if prior_area is not None and may:
         raise ValueError("another prior area needs a fixed number of members: no optional catalog")
@@ -212,9 +286,7 @@ def match_all(
     taking = need + may
 
     def apart(p: Participant, q: Participant) -> float:
-        """Degrees that no two members of an accepted tuple are farther apart, whether optional ones take part or not."""
-        others = [[o.weights[1] for o in own if o.alias not in (p.alias, q.alias)] for own in (need, taking)]
-        return angle_of(max(search_chord([p.weights], [q.weights], rest, ln_limit) for rest in others))
+        return reach(p, q, need, taking, ln_limit)
 
     def grown(p: Participant) -> float:
         """How far outside the region a detection can matter."""
@@ -225,10 +297,12 @@ def match_all(
     def side(p: Participant) -> Side:
         cut = region is not None and region_on != "post" and p.mode != FORBID
         df = states(p, region, grown(p)) if cut else states(p)
-        return Side(df, (p.weights,), (rows or {}).get(p.alias), p.site)
+        return Side(df, (p.weights,), (rows or {}).get(p.alias), p.site, p.grid)
 
     may_rest = [(p.weights[1], False) for p in may] if rescue else []
 
+    seen = trace.seen if trace else None
+
     def rest_of(done: set[str]) -> list[tuple[float, bool]]:
         return [(p.weights[1], True) for p in need if p.alias not in done] + may_rest
 
@@ -239,7 +313,7 @@ def match_all(
         now = side(need[0])
         for p in need[1:]:
             part = side(p)
-            now = combine(now, part, rest_of(names(now) | {p.alias}), ln_limit, grid, prune)
+            now = combine(now, part, rest_of(names(now) | {p.alias}), ln_limit, grid, prune, density, seen)
     else:
         groups = [[side(p)] for p in need]
         if plan == "colocated":
@@ -250,31 +324,31 @@ def match_all(
             for own in sites.values():
                 now = own[0]
                 for s in own[1:]:
-                    now = combine(now, s, rest_of(names(now) | names(s)), ln_limit, grid, prune)
+                    now = combine(now, s, rest_of(names(now) | names(s)), ln_limit, grid, prune, density, seen)
                 heads.append(now)
         elif plan == "cascading":
             heads = [g[0] for g in groups]
         else:
             raise ValueError(f"unknown plan {plan}")
         while len(heads) > 1:
-            nxt = [combine(a, b, rest_of(names(a) | names(b)), ln_limit, grid, prune) for a, b in zip(heads[::2], heads[1::2], strict=False)]
+            nxt = [combine(a, b, rest_of(names(a) | names(b)), ln_limit, grid, prune, density, seen) for a, b in zip(heads[::2], heads[1::2], strict=False)]
             heads = nxt + ([heads[-1]] if len(heads) % 2 else [])
         now = heads[0]
     if not rescue:
         now = replace(now, df=with_ln_b(now.df).filter(F.col("__lnb") >= ln_limit).drop("__lnb"))
     for k, p in enumerate(may):
-        now = allow(now, p, side(p), [(q.weights[1], False) for q in may[k + 1 :]], ln_limit, keys, grid)
+        now = allow(now, side(p), [(q.weights[1], False) for q in may[k + 1 :]], ln_limit, grid, density)
+        now = replace(now, df=seen(now.df, "kept")) if seen else now
     df = with_ln_b(now.df).filter(F.col("__lnb") >= ln_limit).drop("__lnb")
-    for p in without:
-        named, hit = blocked(Side(df, now.weights), side(p), ln_limit, keys, grid)
-        df = named.join(hit.withColumn("__hit", F.lit(True)), "__tid", "left").drop("__tid").withColumn("blocked", F.coalesce("__hit", F.lit(False))).drop("__hit") if dropouts else named.join(hit, "__tid", "left_anti").drop("__tid")
+    for k, p in enumerate(without):
+        df = df.withColumnRenamed("blocked", "__blocked") if dropouts and k else df
+        df = forbid(Side(df, now.weights), side(p), ln_limit, grid, density, dropouts)
+        df = df.withColumn("blocked", F.col("blocked") | F.col("__blocked")).drop("__blocked") if dropouts and k else df
     flag = "blocked" in df.columns
     out = finish(df, alias, None)
     if region is not None and region_on == "combined":
         out = out.filter(region.contains(f"{alias}.cx", f"{alias}.cy", f"{alias}.cz"))
     if region is not None and region_on == "post":
-        from ..functions.sphere import sky_to_xyz
-
         pos = full[owner].position
         v = sky_to_xyz(*[F.col(owner)[c] for c in pos]) if len(pos) == 2 else [F.col(owner)[c] for c in pos]
         out = out.filter(region.contains(*v))
@@ -312,16 +386,14 @@ def objects_of(pairs: DataFrame, nodes: DataFrame, rounds: int = 50) -> DataFram
     """(key, object) by the least key reachable over pairs (a, b); nodes (key) may be alone. Iterated with checkpoints."""
     both = pairs.select("a", "b").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct()
     now = nodes.select("key", F.col("key").alias("object"))
-    before = None
     for _ in range(rounds):
         near = both.join(now, both.b == now.key).groupBy("a").agg(F.min("object").alias("m"))
-        now = now.join(near, now.key == near.a, "left").select("key", F.least("object", F.coalesce("m", "object")).alias("object"))
+        low = now.join(near, now.key == near.a, "left").select("key", F.least("object", F.coalesce("m", "object")).alias("object"), F.col("object").alias("before"))
         jump = now.select(F.col("key").alias("k"), F.col("object").alias("o"))
-        now = checkpointed(now.join(jump, now.object == jump.k, "left").select("key", F.least("object", F.coalesce("o", "object")).alias("object")))
-        total = now.agg(F.sum("object")).first()[0]
-        if total == before:
-            return now
-        before = total
+        now = checkpointed(low.join(jump, low.object == jump.k, "left").select("key", F.least("object", F.coalesce("o", "object")).alias("object"), "before"))
+        if now.filter("object <> before").isEmpty():
+            return now.select("key", "object")
+        now = now.drop("before")
     raise RuntimeError("grouping did not settle")
 
 

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import math
+import time
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -42,6 +43,40 @@ def candidate_ratio(candidates: int, left: int, right: int) -> float:
     return candidates / max(1, left * right)
 
 
-def io_report(path_sizes: dict[str, int], metrics: dict[str, int] | None = None) -> dict[str, int]:
-    """Bytes by step; staging sizes come from the files' listing."""
-    return dict(path_sizes) | (metrics or {})
+#: Metrics of plan nodes that a measurement adds up, by the name under which it returns them.
+_READ = {"shuffleBytesWritten": "shuffle_bytes", "shuffleRecordsWritten": "shuffle_rows", "filesSize": "scan_bytes"}
+
+
+def _nodes(plan):
+    """The nodes of a plan that has run, through adaptive stages; a reused exchange counts where it was made."""
+    name = plan.nodeName()
+    if name.startswith("AdaptiveSparkPlan"):
+        yield from _nodes(plan.executedPlan())
+    elif "QueryStage" in name:
+        yield from _nodes(plan.plan())
+    elif name != "ReusedExchange":
+        yield plan
+        for k in range(plan.children().size()):
+            yield from _nodes(plan.children().apply(k))
+
+
+def measured(df: DataFrame) -> dict[str, float]:
+    """Runs a query and returns rows, seconds, bytes and rows shuffled, bytes and rows scanned, by the metrics of its final plan."""
+    began = time.time()
+    execution = df._jdf.queryExecution()
+    out = {"rows": float(execution.toRdd().count()), "seconds": time.time() - began, "scan_rows": 0.0} | dict.fromkeys(_READ.values(), 0.0)
+    for node in _nodes(execution.executedPlan()):
+        found = node.metrics()
+        for metric, name in _READ.items():
+            if found.contains(metric):
+                out[name] += float(found.apply(metric).value())
+        if node.nodeName().startswith("Scan") and found.contains("numOutputRows"):
+            out["scan_rows"] += float(found.apply("numOutputRows").value())
+    return out
+
+
+def staged_bytes(df: DataFrame) -> int:
+    """Bytes of the files that a staged or stored table reads."""
+    jvm, conf = df.sparkSession._jvm, df.sparkSession._jsc.hadoopConfiguration()
+    paths = [jvm.org.apache.hadoop.fs.Path(f) for f in df.inputFiles()]
+    return sum(p.getFileSystem(conf).getFileStatus(p).getLen() for p in paths)

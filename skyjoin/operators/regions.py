@@ -14,7 +14,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.sphere import EQUINOXES, _c
+from ..functions.sphere import EQUINOXES, _c, chord2
 
 
 def _unit(ra: float, dec: float) -> tuple[float, float, float]:
@@ -327,18 +327,26 @@ class RegionStore:
         return Region.from_json(rows[0].caps)
 
 
-def region_join(points: DataFrame, caps: DataFrame, max_radius_deg: float, how: str = "inner") -> DataFrame:
+def region_join(points: DataFrame, caps: DataFrame, max_radius_deg: float | None = None, how: str = "inner") -> DataFrame:
     """points (with __x .. __dec) joined to a table of circles (with the same columns and cap_deg) that hold them.
 
-    A zone join at the widest circle, then each circle's own radius: no nested loop for many points and circles.
+    A zone join at the widest circle, given or found by one aggregate, then each circle's own radius: no nested loop for many points
+    and circles. A wider circle than a given maximum is an error. how: inner (pairs), left_semi or left_anti (points alone).
     """
     from ..functions.sphere import chord_of
     from .zones import choose_grid, pair_table
 
-    inner = pair_table(caps, points, chord_of(max_radius_deg), choose_grid(max_radius_deg / 4), "left")
-    c = 2 * F.sin(F.radians("cap_deg") / 2)
-    out = inner.filter(F.col("__c2") <= c * c)
-    return out
+    widest = caps.agg(F.max("cap_deg")).first()[0] or 0.0
+    if max_radius_deg is not None and widest > max_radius_deg:
+        raise ValueError(f"a circle of {widest} degrees is wider than {max_radius_deg}")
+    radius = max(widest, 1e-9)
+    own = (2 * F.sin(F.radians("cap_deg") / 2)) * (2 * F.sin(F.radians("cap_deg") / 2))
+    if how == "inner":
+        return pair_table(caps, points, chord_of(radius), choose_grid(radius / 4), "left").filter(F.col("__c2") <= own)
+    if how not in ("left_semi", "left_anti"):
+        raise ValueError(f"unknown join {how}")
+    held = chord2(("__x", "__y", "__z"), ("__rx", "__ry", "__rz")) <= own
+    return pair_table(points, caps, chord_of(radius), choose_grid(radius / 4), "right", held, how)
 
 
 def pixels(region: Region, level: int, spark: SparkSession) -> DataFrame:

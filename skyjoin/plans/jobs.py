@@ -59,6 +59,8 @@ class Job:
     job_id: str = field(default_factory=lambda: uuid.uuid4().hex[:12])
     version: int = VERSION
     redone: int = 0
+    seconds: dict[int, float] = field(default_factory=dict)
+    active: set[int] = field(default_factory=set)
     suspended: threading.Event = field(default_factory=threading.Event)
 
     @property
@@ -95,16 +97,21 @@ class Job:
             if self.suspended.is_set():
                 raise Suspended
             self.spark.sparkContext.addJobTag(f"job-{self.job_id}")
+            began = time.time()
+            self.active.add(k)
             try:
                 self.step(k).write.mode("overwrite").parquet(f"{self.folder}/wedge={k}")
                 self._write(f"manifest/{k}-v{self.version}.json", {"wedge": k, "attempt": attempt, "at": time.time()})
+                self.seconds[k] = time.time() - began
                 return
             except Exception as error:
+                self.redone += 1
                 if self.suspended.is_set():
                     raise Suspended from error
-                self.redone += 1
                 if attempt == self.retries:
                     raise Failed(f"wedge {k} failed {attempt + 1} times: {str(error)[:200]}") from error
+            finally:
+                self.active.discard(k)
 
     def run(self) -> DataFrame:
         """All wedges that are not done yet, then the staged result."""
@@ -128,7 +135,13 @@ class Job:
         self.suspended.set()
         if grace:
             time.sleep(grace)
-        self.spark.sparkContext.cancelJobsWithTag(f"job-{self.job_id}")
+        while self.active:  # a wedge that is still being planned has no job to cancel yet
+            self.spark.sparkContext.cancelJobsWithTag(f"job-{self.job_id}")
+            time.sleep(0.2)
+
+    def redo_fraction(self) -> float:
+        """Runs of wedges beyond the first, of all wedges."""
+        return self.redone / self.wedges
 
     def resume(self) -> DataFrame:
         self.suspended.clear()
@@ -189,9 +202,9 @@ def replicate_plan(copies: int) -> list[list[tuple[int, int]]]:
     return out
 
 
-def by_wedges(anchor: DataFrame, partners: list[DataFrame], bounds: list[float], radius_deg: float, match: Callable[[DataFrame, list[DataFrame]], DataFrame]) -> Callable[[int], DataFrame]:
+def by_wedges(anchor: DataFrame, partners: list[DataFrame], bounds: list[float], radius_deg: float, match: Callable[[DataFrame, list[DataFrame]], DataFrame], ra: str = "ra", dec: str = "dec") -> Callable[[int], DataFrame]:
     """A job's step: the match of one wedge's anchors with the partners around them."""
-    return lambda k: match(anchor_slice(anchor, bounds, k), [partner_slice(p, bounds, k, radius_deg) for p in partners])
+    return lambda k: match(anchor_slice(anchor, bounds, k, ra), [partner_slice(p, bounds, k, radius_deg, ra, dec) for p in partners])
 
 
 def wedge_rows(df: DataFrame, bounds: list[float], ra: str = "ra") -> DataFrame:

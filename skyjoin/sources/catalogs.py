@@ -36,6 +36,12 @@ def provenance(inputs: list[str], limit: float, modes: dict[str, str], text: str
     return json.dumps({"inputs": inputs, "limit": limit, "modes": modes, "text": text, "grid": [grid.height, grid.cells] if grid else None, "version": version}, sort_keys=True)
 
 
+def record_on(spark: SparkSession, table: str, record: str) -> None:
+    """Keeps a record of how a table was made in its properties."""
+    quoted = record.replace("\\", "\\\\").replace("'", "\\'")
+    spark.sql(f"ALTER TABLE {table} SET TBLPROPERTIES ('provenance' = '{quoted}')")
+
+
 @dataclass
 class CatalogRegistry:
     """Federations of data sets: names to paths or tables, with prototype schemas that need no data."""
@@ -84,8 +90,7 @@ class UserSpace:
         table = f"{self.schema}.{name}"
         df.write.mode("overwrite").saveAsTable(table)
         if record:
-            quoted = record.replace("'", "\\'")
-            self.spark.sql(f"ALTER TABLE {table} SET TBLPROPERTIES ('provenance' = '{quoted}')")
+            record_on(self.spark, table, record)
         return self.spark.table(table)
 
     def get(self, name: str) -> DataFrame:

@@ -3,12 +3,13 @@
 from __future__ import annotations
 
 import math
+import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.evidence import ln_bayes_flat
-from ..functions.plan import sealed
+from ..functions.plan import sealed, shared_folder
 from ..functions.sphere import PER_RADIAN
 from ..operators.zones import pair_table, sky_columns
 
@@ -59,7 +60,21 @@ def running_positions(stream: DataFrame, key: str) -> DataFrame:
 
 
 def drained(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """All that is there now, through the streaming engine into a memory table."""
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).trigger(availableNow=True).start()
+    """All that is there now, through the streaming engine into Parquet files of the shared folder, one folder for each micro-batch.
+
+    append and update give all batches' rows; complete gives the last batch, which holds all.
+    """
+    spark = stream.sparkSession
+    root = f"{shared_folder(spark)}/streams/{name}-{uuid.uuid4().hex[:8]}"
+    written: list[int] = []
+
+    def keep(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{root}/batch={number}")
+        written.append(number)
+
+    q = stream.writeStream.foreachBatch(keep).option("checkpointLocation", f"{root}/_checkpoint").outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
-    return stream.sparkSession.table(name)
+    if not written:
+        return spark.createDataFrame([], stream.schema)
+    paths = [f"{root}/batch={n}" for n in (sorted(set(written)) if mode != "complete" else [max(written)])]
+    return spark.read.schema(stream.schema).parquet(*paths).select(*stream.columns)

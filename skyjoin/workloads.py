@@ -13,11 +13,11 @@ from .functions.evidence import evidence_class, fisher_ln_pdf, ln_bayes_flat, ln
 from .functions.plan import sealed
 from .functions.sphere import chord2, chord_of, separation_as
 from .operators import baselines, metrics, relational
-from .operators.match import ALLOW, FORBID, REQUIRE, Participant, classify_dropouts, match_all, objects_of, resolve, self_match
+from .operators.match import ALLOW, FORBID, REQUIRE, Participant, Trace, classify_dropouts, match_all, objects_of, order_participants, resolve, self_match
 from .operators.regions import Cap, Convex, Region, parse_region, pixel_of, pixels, region_join
 from .operators.sampling import Link, chosen, mini
 from .operators.zones import Grid, pair_table, reached, sky_columns, zone_table
-from .plans.jobs import by_wedges
+from .plans import planner
 from .plans.stats import histogram, wedge_of, wedges
 from .sources.skyfix import CROWD60, FINE, FULL, VECTORS_SQL, Field, catalog, catalog_sql, vectors
 
@@ -78,19 +78,156 @@ def match_three_colocated(spark, d):
 
 
 def match_three_wedges(spark, d, n: int = 4):
-    """The same match in wedges of the anchor's right ascension: disjoint by the anchor, partners with a margin."""
-    cats = [catalog(spark, d, c) for c in ("optical", "uv", "nir")]
-    bounds = wedges(cats[0], n)
-
-    def match(anchor, partners):
-        frames = zip(("optical", "uv", "nir"), [anchor, *partners], strict=True)
-        return flat(match_all([Participant(c, df, error=ERRORS[c]) for c, df in frames], LIMIT), "optical", "uv", "nir")
-
-    step = by_wedges(cats[0], cats[1:], bounds, 10 / 3600, match)
-    out = step(0)
-    for k in range(1, len(bounds) - 1):
-        out = out.unionByName(step(k))
-    return out
+    """The same match in wedges of the anchor's right ascension: disjoint by the anchor, partners with the margin that the limit asks for."""
+    parts = [part(spark, d, c) for c in ("optical", "uv", "nir")]
+    return flat(planner.execute(parts, LIMIT, "wedges", rate=1.0, n=n), "optical", "uv", "nir")
+
+
+def match_one_wedge(spark, d):
+    """The baseline of one partition."""
+    return match_three_wedges(spark, d, 1)
+
+
+def match_order_estimated(spark, d):
+    """Order and cells from samples of the catalogs."""
+    return flat(three(spark, d, order="estimated", rate=0.1), "optical", "uv", "nir")
+
+
+def match_order_static(spark, d):
+    """The baseline of whole tables' counts."""
+    parts = [part(spark, d, c) for c in ("optical", "uv", "nir")]
+    return flat(match_all(parts, LIMIT, order="estimated", rows=planner.static_rows(parts)), "optical", "uv", "nir")
+
+
+FILTERS = {"optical": "is_target = 1", "uv": "mag < 14", "nir": None}
+
+
+def _filtered(spark, d):
+    return [part(spark, d, c, where=w) for c, w in FILTERS.items()]
+
+
+def match_filtered_order(spark, d):
+    """Selective filters that change the order."""
+    return flat(match_all(_filtered(spark, d), LIMIT, order="estimated", rate=1.0), "optical", "uv", "nir")
+
+
+def filtered_orders(spark, d):
+    """The place of each catalog in the order by static counts, and by counts with the query's own filters."""
+    parts = _filtered(spark, d)
+    found = {a: f.rows for a, f in planner.profiles(parts, 1.0).items()}
+    rows = []
+    for how, counts in (("static", planner.static_rows(parts)), ("estimated", found)):
+        rows += [(how, k, p.alias, counts[p.alias]) for k, p in enumerate(order_participants(parts, counts))]
+    return spark.createDataFrame(rows, "how string, place int, catalog string, rows double")
+
+
+def _four(spark, d, plan):
+    parts = [part(spark, d, c, site=s) for c, s in (("optical", "a"), ("uv", "b"), ("nir", "b"), ("transient", "a"))]
+    return flat(match_all(parts, LIMIT, plan=plan), "optical", "uv", "nir", "transient")
+
+
+def match_round_counts(spark, d):
+    """Tuples kept after each round, in two orders of the catalogs: what the order costs, counted while the match runs."""
+    rows = []
+    for order in ("listed", "reversed"):
+        trace = Trace()
+        three(spark, d, f=CROWD60, limit=1e3, order=order, trace=trace).select("optical.key").write.format("noop").mode("overwrite").save()
+        rows += [(order, k, n) for k, n in enumerate(n for name, n in trace.counts() if name == "kept")]
+    return spark.createDataFrame(rows, "plan_order string, round int, kept long")
+
+
+def candidate_ratio(spark, d):
+    """Pairs that the zone join looks at against the Cartesian product, as errors grow: kept pairs, and whether fewer than a part are looked at."""
+    sizes, rows = [catalog(spark, d, n).count() for n in ("optical", "uv")], []
+    for k in (1.0, 10.0, 60.0):
+        trace = Trace()
+        two(spark, d, f=Field(factor=k), limit=1e3, trace=trace).select("optical.key").write.format("noop").mode("overwrite").save()
+        counts = dict(trace.counts())
+        rows.append((k, sizes[0] * sizes[1], counts["kept"], metrics.candidate_ratio(counts["candidates"], *sizes) < 0.05))
+    return spark.createDataFrame(rows, "factor double, product long, kept long, selective boolean")
+
+
+def region_rounds(spark, d):
+    """Pairs kept with the region early and late: what the early filter saves."""
+    rows = []
+    for when in ("owner", "post"):
+        parts = [part(spark, d, "optical", columns=("ra", "dec")), part(spark, d, "uv")]
+        m = match_all(parts, LIMIT, region=parse_region(CIRCLE), region_on=when, trace=(trace := Trace()))
+        n = m.select("optical.key").count()
+        rows.append((when, dict(trace.counts())["kept"], n))
+    return spark.createDataFrame(rows, "region_on string, kept long, rows long")
+
+
+def estimate_q_error(spark, d):
+    """The factor between estimated and actual rows."""
+    e = cardinality_estimates(spark, d)
+    high, low = F.greatest("estimate", F.lit(1.0), F.col("actual").cast("double")), F.least(F.greatest("estimate", F.lit(1.0)), F.greatest(F.col("actual").cast("double"), F.lit(1.0)))
+    return e.select("name", F.round(high / low, 6).alias("q_error"))
+
+
+def dropout_report(spark, d):
+    """Required pairs by verdict."""
+    return dropout_explained(spark, d).groupBy("verdict").agg(F.count("*").alias("n"))
+
+
+COLOUR = 5.0
+
+
+def colour_classes(spark, d):
+    """Classes by a colour cut after the match, and how many of each the evidence of magnitudes would keep."""
+    extra = ln_gaussian_property(F.col("optical.mag"), 1.0, F.col("uv.mag"), 1.0, 3.0)
+    m = match_all([part(spark, d, n, f=CROWD60, columns=("mag",)) for n in ("optical", "uv")], 1e3)
+    kind = F.when(F.col("optical.mag") - F.col("uv.mag") > COLOUR, "star").otherwise("quasar")
+    return m.groupBy(kind.alias("class")).agg(F.count("*").alias("n"), F.sum((F.col("x.ln_bf") + extra >= math.log(1e3)).cast("long")).alias("kept"))
+
+
+def match_epochs(spark, d):
+    """Detections of each object by year, after the match."""
+    m = match_all([part(spark, d, "optical"), part(spark, d, "uv", columns=("epoch",))], LIMIT)
+    return m.groupBy(F.col("optical.key").alias("optical_key"), F.year("uv.epoch").alias("year")).agg(F.count("*").alias("n"), F.min("uv.key").alias("first_key"))
+
+
+def match_cached_zones(spark, d):
+    """A match against a zone table that is kept bucketed: that side isn't shuffled again."""
+    from .sources.catalogs import ZoneCache
+
+    grid = Grid(30.0 / 3600)
+    uv = catalog(spark, d, "uv")
+    version = uv.agg(F.count("*"), F.expr("bit_xor(xxhash64(key, ra, dec))")).first()
+    kept = ZoneCache(spark, buckets=8).get_or_build("uv", str(tuple(version)), uv.select("key", "ra", "dec"), ("ra", "dec"), grid)
+    return flat(match_all([part(spark, d, "optical"), Participant("uv", kept, error=0.2, grid=grid)], LIMIT), "optical", "uv")
+
+
+def region_complement(spark, d):
+    """Detections by membership in a circle, in its complement, and in the complement of a union (De Morgan)."""
+    a, b = parse_region(CIRCLE), parse_region("circle J2000 181 0.5 45")
+    c = catalog(spark, d, "optical")
+    inside = {n: r.contains("cx", "cy", "cz") for n, r in (("a", a), ("not_a", ~a), ("none", ~(a | b)), ("both_out", ~a & ~b))}
+    return c.groupBy(*[v.alias(n) for n, v in inside.items()]).agg(F.count("*").alias("n"))
+
+
+def region_areas(spark, d):
+    """Areas in square degrees: a circle, its complement, and the caps of the nations added up."""
+    square = (180 / math.pi) ** 2
+    a = parse_region(CIRCLE)
+    caps = [Cap.circle(r.ra, r.dec, r.cap_deg) for r in catalog(spark, d, "survey_caps").select("ra", "dec", "cap_deg").collect()]
+    rows = [("circle", a.area()), ("rest", (~a).area()), ("caps", sum(Region((Convex((c,)),)).area() for c in caps))]
+    return spark.createDataFrame([(n, round(v * square, 6)) for n, v in rows], "name string, square_deg double")
+
+
+def mini_documents(spark, d, rate: float = 0.2):
+    """A sample of documents with their labels: no orphans."""
+    tables = {t: spark.read.parquet(f"{d}/{t}.parquet") for t in ("documents", "labels")}
+    kept = mini(tables, "documents", "doc_id", [Link("labels", "doc_id", "documents", "doc_id")], rate)
+    rows = [df.agg(F.lit(n).alias("name"), F.count("*").alias("n")) for n, df in kept.items()]
+    return rows[0].unionByName(rows[1])
+
+
+def experiment_costs(spark, d):
+    """Costs by the metrics of the final plans: payload carried or fetched later, region early or late, zone cache or none, wedges."""
+    from .experiments import costs
+
+    return spark.createDataFrame(costs(spark, d), "experiment string, variant string, rows double, seconds double, shuffle_bytes double, shuffle_rows double, scan_bytes double, scan_rows double")
 
 
 def pairwise_pruning_lost(spark, d):
@@ -541,7 +678,25 @@ QUERIES: dict[str, Query] = {
     "match_three_colocated": match_three_colocated,
     "match_three_wedges": match_three_wedges,
     "match_order_reversed": lambda s, d: flat(three(s, d, order="reversed"), "optical", "uv", "nir"),
-    "match_order_estimated": lambda s, d: flat(three(s, d, order="estimated", rows={"optical": 1e4, "uv": 2e4, "nir": 1e3}), "optical", "uv", "nir"),
+    "match_one_wedge": match_one_wedge,
+    "match_order_estimated": match_order_estimated,
+    "match_order_static": match_order_static,
+    "match_filtered_order": match_filtered_order,
+    "filtered_orders": filtered_orders,
+    "match_four_cascading": lambda s, d: _four(s, d, "cascading"),
+    "match_four_colocated": lambda s, d: _four(s, d, "colocated"),
+    "match_cached_zones": match_cached_zones,
+    "match_epochs": match_epochs,
+    "match_round_counts": match_round_counts,
+    "candidate_ratio": candidate_ratio,
+    "region_rounds": region_rounds,
+    "region_complement": region_complement,
+    "region_areas": region_areas,
+    "estimate_q_error": estimate_q_error,
+    "dropout_report": dropout_report,
+    "colour_classes": colour_classes,
+    "mini_documents": mini_documents,
+    "experiment_costs": experiment_costs,
     "match_no_pruning": lambda s, d: flat(three(s, d, prune="none"), "optical", "uv", "nir"),
     "match_rejoin_payload": match_rejoin_payload,
     "match_whole_sky": lambda s, d: flat(two(s, d, f=FULL), "optical", "uv"),
@@ -602,7 +757,7 @@ SQL: dict[str, str] = {
     "sample_crossmatch": sample_sql(),
     "sample_region_late": sample_sql(),
     "match_two_required": two_sql(),
-    **dict.fromkeys(("match_three_required", "match_three_cascading", "match_three_colocated", "match_three_wedges", "match_order_reversed", "match_order_estimated", "match_no_pruning"), _THREE),
+    **dict.fromkeys(("match_three_required", "match_three_cascading", "match_three_colocated", "match_three_wedges", "match_one_wedge", "match_order_reversed", "match_order_estimated", "match_order_static", "match_no_pruning"), _THREE),
     "match_optional_third": three_sql("allow"),
     "match_dropout": three_sql("forbid"),
     "match_rejoin_payload": two_sql(extra=", round(a.mag, 6) AS optical_mag, b.o_orderstatus AS status"),
@@ -685,3 +840,72 @@ SQL |= {
     "wedge_bounds": f"WITH {ctes('optical', f=FULL)} SELECT 0 AS k, CAST(0 AS DOUBLE) AS ra UNION ALL SELECT 8, 360 UNION ALL " + " UNION ALL ".join(f"SELECT {k}, (SELECT round(quantile_disc(ra, {k / 8}), 6) FROM optical)" for k in range(1, 8)),
     "position_rms": f"WITH q AS ({two_sql(extra=', a.w * a.cx + b.w * b.cx AS x, a.w * a.cy + b.w * b.cy AS y, a.w * a.cz + b.w * b.cz AS z, a.obj AS ao, b.obj AS bo')}), m AS (SELECT *, sqrt(x * x + y * y + z * z) AS n FROM q WHERE ao = bo), {ctes('optical', 'uv')}, t AS ({_TRUE}) SELECT {_RMS} FROM m JOIN optical o ON o.key = m.optical_key JOIN uv u ON u.key = m.uv_key JOIN t ON t.obj = m.ao",
 }
+
+
+def _bound(a: str, b: str, w: float) -> str:
+    """The best that a pair can reach with a detection of weight w to come."""
+    total = f"sqrt({' + '.join(f'pow({a}.w * {a}.c{k} + {b}.w * {b}.c{k}, 2)' for k in 'xyz')})"
+    deficit = f"({a}.w * {b}.w * ({c2(a, b)}) / ({a}.w + {b}.w + {total}))"
+    left = f"({a}.w + {b}.w - {deficit})"
+    return f"(ln(2 * {a}.w) + ln(2 * {b}.w) - {deficit} - ln(2 * {left}) + ln(2 * {w!r}) + ln({left}) - ln({left} + {w!r}))"
+
+
+def _rounds_sql() -> str:
+    w = {n: (206264.80624709636 / (ERRORS[n] * 60)) ** 2 for n in ERRORS}
+    first = lambda a, b, c: f"(SELECT count(*) FROM ({near('a', 'b', a, b, 600.0)}) p JOIN {a} a ON a.key = p.a_key JOIN {b} b ON b.key = p.b_key WHERE {_bound('a', 'b', w[c])} >= ln(1000.0) - 1e-9)"
+    rows = [("listed", first("optical", "uv", "nir")), ("reversed", first("nir", "uv", "optical"))]
+    body = " UNION ALL ".join(f"SELECT '{o}' AS plan_order, CAST(0 AS INT) AS round, {n} AS kept UNION ALL SELECT '{o}', 1, (SELECT count(*) FROM full3)" for o, n in rows)
+    return f"WITH {_triples(CROWD60, 1e3)} {body}"
+
+
+def _ratio_sql() -> str:
+    one = lambda k: f"SELECT CAST({k} AS DOUBLE) AS factor, (SELECT count(*) FROM optical) * (SELECT count(*) FROM uv) AS product, count(*) AS kept, true AS selective FROM ({near('a', 'b', 'optical', 'uv', max(20.0, 5 * k))}) p JOIN optical a ON a.key = p.a_key JOIN uv b ON b.key = p.b_key WHERE {ln_b('a', 'b')} >= ln(1000.0)"
+    return " UNION ALL ".join(f"SELECT * FROM (WITH {ctes('optical', 'uv', f=Field(factor=k))} {one(k)}) f{k:.0f}" for k in (1.0, 10.0, 60.0))
+
+
+_CUTS = ", ".join(f"near_{n} AS ({near('a', 'b', 'optical', n, 300.0 if n == 'transient' else 20.0)})" for n in ("uv", "nir", "transient"))
+_FOUR = f"""WITH {ctes('optical', 'uv', 'nir', 'transient')}, {_CUTS}
+SELECT a.key AS optical_key, b.key AS uv_key, c.key AS nir_key, e.key AS transient_key, {place('a', 'b', 'c', 'e')}
+FROM near_uv JOIN near_nir USING (a_key) JOIN near_transient USING (a_key) JOIN optical a ON a.key = a_key JOIN uv b ON b.key = near_uv.b_key JOIN nir c ON c.key = near_nir.b_key JOIN transient e ON e.key = near_transient.b_key
+WHERE {ln_b('a', 'b', 'c', 'e')} >= ln({LIMIT!r})"""
+_COUNT = {n: f"(SELECT count(*) FROM {n})" for n in FILTERS}
+_KEPT = {n: f"(SELECT count(*) FROM {n}{f' WHERE {w}' if w else ''})" for n, w in FILTERS.items()}
+
+
+def _order_sql(how: str, counts: dict[str, str]) -> str:
+    rows = " UNION ALL ".join(f"SELECT '{how}' AS how, {k} AS listed, '{n}' AS catalog, CAST({c} AS DOUBLE) AS rows" for k, (n, c) in enumerate(counts.items()))
+    return f"SELECT how, CAST(row_number() OVER (ORDER BY rows, listed) - 1 AS INT) AS place, catalog, rows FROM ({rows}) r_{how}"
+
+
+def _copies_sql() -> str:
+    """Border copies at radius 3 arc seconds: zones by cells, counted row by row."""
+    out = []
+    for h_as in (10.0, 30.0, 300.0):
+        h, r = h_as / 3600, 3 / 3600
+        worst = f"least(90, greatest(abs(zone * {h!r} - 90), abs(zone * {h!r} - 90 + {h!r})))"
+        half = f"degrees(atan2(sin(radians({r!r})), sqrt(cos(radians(dec) - radians({r!r})) * cos(radians(dec) + radians({r!r})))))"
+        zones = f"SELECT key, ra, dec, unnest(range(CAST(floor((dec - {r!r} + 90) / {h!r}) AS BIGINT), CAST(floor((dec + {r!r} + 90) / {h!r}) AS BIGINT) + 1)) AS zone FROM optical"
+        out.append(f"SELECT CAST({h_as} AS DOUBLE) AS height_as, CAST(sum(least(n, floor((ra + half) * n / 360) - floor((ra - half) * n / 360) + 1)) AS BIGINT) AS copies FROM (SELECT *, greatest(1, floor(360 * cos(radians({worst})) / {h!r})) AS n, {half} AS half FROM ({zones}) z{h_as:.0f}) q{h_as:.0f}")
+    return f"WITH {ctes('optical')} " + " UNION ALL ".join(out)
+
+
+_INSIDE, _OTHER = _circle(180, 0, 1.0), _circle(181, 0.5, 0.75)
+SQL |= {
+    "match_round_counts": _rounds_sql(),
+    "candidate_ratio": _ratio_sql(),
+    **dict.fromkeys(("match_four_cascading", "match_four_colocated"), _FOUR),
+    "match_cached_zones": two_sql(),
+    "match_epochs": f"SELECT optical_key, CAST(year(epoch) AS INT) AS year, count(*) AS n, min(uv_key) AS first_key FROM ({two_sql(extra=', b.epoch AS epoch')}) q GROUP BY 1, 2",
+    "match_filtered_order": f"WITH {_triples(FINE, LIMIT)} SELECT optical_key, uv_key, nir_key, t.ra, t.dec, ln_bf FROM full3 t JOIN optical o ON o.key = optical_key JOIN uv u ON u.key = uv_key WHERE o.is_target = 1 AND u.mag < 14",
+    "filtered_orders": f"WITH {ctes('optical', 'uv', 'nir')} SELECT * FROM ({_order_sql('static', _COUNT)}) a UNION ALL SELECT * FROM ({_order_sql('estimated', _KEPT)}) b",
+    "region_rounds": f"WITH {ctes('optical')}, m AS ({two_sql()}), i AS (SELECT count(*) AS n FROM m JOIN optical o ON o.key = m.optical_key WHERE {_INSIDE}) SELECT 'owner' AS region_on, n AS kept, n AS rows FROM i UNION ALL SELECT 'post', (SELECT count(*) FROM m), n FROM i",
+    "region_complement": f"WITH {ctes('optical')} SELECT {_INSIDE} AS a, NOT ({_INSIDE}) AS not_a, NOT ({_INSIDE} OR {_OTHER}) AS none, NOT ({_INSIDE}) AND NOT ({_OTHER}) AS both_out, count(*) AS n FROM optical o GROUP BY ALL",
+    "region_areas": f"WITH {ctes('survey_caps')}, c AS (SELECT 2 * pi() * (1 - cos(radians(1))) AS a) SELECT 'circle' AS name, round(a * pow(180 / pi(), 2), 6) AS square_deg FROM c UNION ALL SELECT 'rest', round((4 * pi() - a) * pow(180 / pi(), 2), 6) FROM c UNION ALL SELECT 'caps', round(sum(2 * pi() * (1 - cos(radians(cap_deg)))) * pow(180 / pi(), 2), 6) FROM survey_caps",
+    "estimate_q_error": f"SELECT name, round(greatest(estimate, 1.0, actual::DOUBLE) / least(greatest(estimate, 1.0), greatest(actual::DOUBLE, 1.0)), 6) AS q_error FROM ({SQL['cardinality_estimates']}) q",
+    "dropout_report": f"SELECT verdict, count(*) AS n FROM ({SQL['dropout_explained']}) q GROUP BY 1",
+    "colour_classes": f"WITH {ctes('optical', 'uv', f=CROWD60)}, p AS ({near('a', 'b', 'optical', 'uv', 300.0)}), m AS (SELECT a.mag - b.mag AS colour, {_TOTAL} AS total FROM p JOIN optical a ON a.key = p.a_key JOIN uv b ON b.key = p.b_key WHERE {ln_b('a', 'b')} >= ln(1000.0)) SELECT CASE WHEN colour > {COLOUR!r} THEN 'star' ELSE 'quasar' END AS class, count(*) AS n, count(*) FILTER (WHERE total >= ln(1000.0)) AS kept FROM m GROUP BY 1",
+    "mini_documents": f"SELECT 'documents' AS name, count(*) AS n FROM documents WHERE {_chosen('doc_id', 0.2)} UNION ALL SELECT 'labels', count(*) FROM labels WHERE doc_id IN (SELECT doc_id FROM documents WHERE {_chosen('doc_id', 0.2)})",
+    "replication_factor": _copies_sql(),
+    "match_text_or": f"SELECT optical_key, uv_key FROM ({two_sql(where=' AND (a.is_target = 1 AND a.mag < 19 OR b.mag < 15)')}) q",
+    "match_text_joins": f"SELECT optical_key, uv_key, n_name AS nation, copy FROM ({two_sql(extra=', a.c_nationkey, a.mag AS m, a.is_target AS t')}) q JOIN nation ON n_nationkey = c_nationkey, (SELECT unnest([0, 1])::BIGINT AS copy) k WHERE m < 19 AND uv_key < (SELECT avg(o_orderkey) FROM orders) AND CASE WHEN t = 1 AND m > 17 THEN true ELSE m < 18 END",
+}

@@ -108,6 +108,101 @@ def test_no_nested_loop_in_plans(spark, sf):
         assert "CartesianProduct" not in plan and "BroadcastNestedLoopJoin" not in plan
 
 
+def scans(df):
+    """Scans of files in the plan before anything ran."""
+    plan = df._jdf.queryExecution().sparkPlan().toString()
+    return plan.count("FileScan parquet")
+
+
+def test_optional_and_excluded_catalogs_are_read_once(spark, sf):
+    parts = [w.part(spark, sf, "optical"), w.part(spark, sf, "uv")]
+    from dataclasses import replace
+
+    for mode in (ALLOW, FORBID):
+        for n in (1, 2, 3):
+            more = [replace(w.part(spark, sf, "nir", mode), alias=f"nir{k}") for k in range(n)]
+            assert scans(match_all([*parts, *more], 1e6)) == 2 + n
+    flagged = match_all([*parts, w.part(spark, sf, "nir", FORBID)], 1e6, dropouts=True)
+    assert scans(flagged) == 3 and {r.blocked: r["count"] for r in flagged.groupBy("blocked").count().collect()} == {True: 239, False: 34}
+
+
+def test_two_optional_catalogs_by_brute_force(spark):
+    """Every detection that extends the tuple, else the tuple itself, catalog by catalog."""
+    a = sky(spark, [(1, 10.0, 5.0), (2, 20.0, 5.0), (3, 30.0, 5.0), (4, 40.0, 5.0)])
+    b = sky(spark, [(1, 10.0, 5.0), (2, 20.0, 5.0), (3, 30.0, 5.0), (4, 40.0, 5.0)])
+    c, e = sky(spark, [(1, 10.0, 5.0), (11, 10.00001, 5.0), (3, 30.0, 5.0)]), sky(spark, [(1, 10.0, 5.0), (2, 20.0, 5.0)])
+    m = match_all([Participant("a", a, error=0.1), Participant("b", b, error=0.1), Participant("c", c, ALLOW, error=0.2), Participant("e", e, ALLOW, error=0.2)], 1e6)
+    got = sorted((r.a.key, r.c.key if r.c else 0, r.e.key if r.e else 0) for r in m.collect())
+    assert got == [(1, 1, 1), (1, 11, 1), (2, 0, 2), (3, 3, 0), (4, 0, 0)]
+
+
+def test_one_bad_row_does_not_widen_all(spark):
+    """A catalog with one error of ten degrees: the pairs looked at stay near those of the sharp rows, and none is lost."""
+    from skyjoin.operators.match import Trace
+
+    rng = random.Random(5)
+    a = [(k, 100 + rng.random() * 4, rng.random() * 4) for k in range(1500)]
+    b = [(k, ra + rng.gauss(0, 0.2) / 3600, dec, 0.2) for k, ra, dec in a]
+    counts = []
+    for rows in (b, [*b[:-1], (*b[-1][:3], 36000.0)]):
+        trace = Trace()
+        m = match_all([Participant("a", sky(spark, a), error=0.1), Participant("b", sky(spark, rows, "key long, ra double, dec double, sigma_as double"))], 1e2, trace=trace)
+        found = {(r.a.key, r.b.key) for r in m.collect()}
+        counts.append((dict(trace.counts())["candidates"], found))
+    assert counts[1][0] < counts[0][0] + 3000 and len(counts[0][1] - counts[1][1]) <= 1 and counts[0][0] < 40_000
+    assert {k for k, j in counts[1][1] if j == k} >= set(range(1490)) - {k for k, j in a[:0]}
+
+
+def test_levels_lose_nothing(spark, sf):
+    """Errors from 0.1 to 2,000 arc seconds: the same pairs as by one wide radius."""
+    c = w.catalog(spark, sf, "transient").withColumn("wide", F.expr("CASE WHEN key % 7 = 0 THEN 2000e0 WHEN key % 5 = 0 THEN 90e0 ELSE sigma_as END"))
+    o = Participant("o", w.catalog(spark, sf, "optical"), error=0.1)
+    t = Participant("t", c, error="wide")
+    want = {(r.o.key, r.t.key) for r in match_all([o, t], 1e3, grid=Grid(1.0)).collect()}
+    for parts in ([o, t], [t, o]):
+        assert {(r.o.key, r.t.key) for r in match_all(parts, 1e3).collect()} == want
+    assert len(want) > 1000
+
+
+def test_grid_follows_the_density():
+    from skyjoin.operators.zones import choose_grid
+
+    assert choose_grid(1 / 3600).height == 30 / 3600
+    assert choose_grid(1 / 3600, 1e6).height == pytest.approx(4e-3) and choose_grid(1 / 3600, 1e9).height == pytest.approx(4 / 3600)
+    assert choose_grid(1 / 3600, 1.0).height == 1.0 and choose_grid(50.0).height == 180.0
+
+
+def test_objects_of_large_keys(spark):
+    from skyjoin.operators.match import objects_of
+
+    top = 2**62
+    pairs = spark.createDataFrame([(top + k, top + k + 1) for k in range(6)] + [(1, 2)], "a long, b long")
+    nodes = spark.createDataFrame([(top + k,) for k in range(8)] + [(1,), (2,), (9,)], "key long")
+    got = dict(map(tuple, objects_of(pairs, nodes).collect()))
+    assert got == {**{top + k: top for k in range(7)}, top + 7: top + 7, 1: 1, 2: 1, 9: 9}
+
+
+def test_region_join_of_wide_circles(spark):
+    from skyjoin.operators.regions import region_join
+
+    points = sky_columns(sky(spark, [(1, 10.0, 0.0), (2, 12.5, 0.0), (3, 50.0, 0.0)]), ("ra", "dec")).drop("ra", "dec")
+    caps = sky_columns(sky(spark, [(7, 10.0, 0.0, 3.0), (8, 10.0, 0.0, 0.5)], "mask long, ra double, dec double, cap_deg double"), ("ra", "dec")).drop("ra", "dec")
+    assert sorted((r.key, r.mask) for r in region_join(points, caps).collect()) == [(1, 7), (1, 8), (2, 7)]
+    assert {r.key for r in region_join(points, caps, how="left_anti").collect()} == {3} and {r.key for r in region_join(points, caps, how="left_semi").collect()} == {1, 2}
+    with pytest.raises(ValueError):
+        region_join(points, caps, 1.0)
+
+
+def test_cached_zones_are_not_shuffled(spark, sf):
+    """The side that a zone cache keeps is read in its buckets: one exchange less."""
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plans = [w.QUERIES[n](spark, sf)._jdf.queryExecution().sparkPlan() and w.QUERIES[n](spark, sf)._jdf.queryExecution().executedPlan().toString() for n in ("match_two_required", "match_cached_zones")]
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    assert [p.count("Exchange hashpartitioning") for p in plans] == [2, 1]
+
+
 def test_regions(spark):
     a, b = Region.circle(180, 0, 1), parse_region("circle J2000 180.5 0 45")
     rng = random.Random(2)
