@@ -37,7 +37,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed, chunks, power_of_two, returning, text_bytes
+from .common import checkpointed, chunks, power_of_two, released, returning, text_bytes
 from .components import components
 from .shingles import WIDTH, shingle_sets
 
@@ -389,29 +389,43 @@ def _join(percent: int):
     return run
 
 
+def _meet(percent: int):
+    """Step 6, first: the classes inside one cut, and which of the block's pivots are in each (a bit for each pivot)."""
+
+    def run(rows: pd.DataFrame) -> pd.DataFrame:
+        ids, pivot = rows["doc_id"].to_numpy(), rows["pivot"].to_numpy()
+        label = linked_classes([np.frombuffer(x, np.uint64) for x in rows["shingles"]], percent)
+        least = pd.Series(ids).groupby(label).transform("min")
+        mask = pd.Series(np.where(pivot >= 0, 1 << np.maximum(pivot, 0), 0)).groupby(label).transform(lambda x: np.bitwise_or.reduce(x.to_numpy()))
+        out = pd.DataFrame({"doc_id": ids, "class": least.to_numpy(), "label": rows["label"].to_numpy(), "mask": mask.to_numpy(), "guest": rows["guest"].to_numpy()})
+        return out.assign(shingles=rows["shingles"].where(~rows["guest"], None).to_numpy())
+
+    return run
+
+
 def _cut_blocks(big: DataFrame, percent: int) -> DataFrame:
     """Step 6 over big (doc_id, label, shingles, cuts): edges (a, b) that connect the classes of cut blocks."""
-    found = "doc_id long, label long"
     big = big.withColumn("cut", F.expr("cast(pmod(xxhash64(doc_id, 3), cuts) AS int)"))
-    picked = big.groupBy("label", F.expr(f"pmod(xxhash64(doc_id, 5), {PIVOTS})").alias("p")).agg(F.min(F.struct(F.xxhash64("doc_id", F.lit(11)), "doc_id"))["doc_id"].alias("doc_id")).select("doc_id")
-    pivots = big.join(picked, "doc_id").withColumn("cut", F.explode(F.expr("filter(sequence(0, cuts - 1), x -> x <> cut)")))
-    inside = big.unionByName(pivots).withColumn("still", F.lit(False)).groupBy("label", "cut").applyInPandas(_join(percent), found)
-    first = checkpointed(inside.filter("doc_id <> label").select(F.col("doc_id").alias("a"), F.col("label").alias("b")))
-    classes = components(first).withColumnsRenamed({"node": "doc_id", "label": "class"})
-    owned = checkpointed(big.join(classes, "doc_id", "left").withColumn("class", F.coalesce("class", "doc_id")))
-    counts = owned.groupBy("label", "class").agg(F.count("*").alias("n"), F.sum(F.octet_length("shingles")).alias("bytes"))
+    picked = big.groupBy("label", F.expr(f"cast(pmod(xxhash64(doc_id, 5), {PIVOTS}) AS int)").alias("p")).agg(F.min(F.struct(F.xxhash64("doc_id", F.lit(11)), "doc_id"))["doc_id"].alias("doc_id"))
+    marked = big.join(picked.select("doc_id", "p"), "doc_id", "left").select("doc_id", "label", "shingles", "cuts", "cut", F.coalesce("p", F.lit(-1)).alias("pivot"), F.lit(False).alias("guest"))
+    guests = marked.filter("pivot >= 0").withColumns({"cut": F.explode(F.expr("filter(sequence(0, cuts - 1), x -> x <> cut)")), "guest": F.lit(True)})
+    schema = "doc_id long, class long, label long, mask long, guest boolean, shingles binary"
+    inside = checkpointed(marked.unionByName(guests).groupBy("label", "cut").applyInPandas(_meet(percent), schema))
+    first = inside.filter("doc_id <> class").select(F.col("doc_id").alias("a"), F.col("class").alias("b"))
+    # The pivot whose class is the largest over all cuts: what holds it is connected.
+    own = inside.filter("NOT guest").withColumn("size", F.octet_length("shingles"))
+    has = [F.expr(f"shiftright(mask, {j}) & 1") for j in range(PIVOTS)]
+    best = F.array_max(F.array(*[F.struct(F.sum(h).alias("n"), F.lit(j).alias("j"), F.sum(h * F.col("size")).alias("bytes")) for j, h in enumerate(has)]))
+    counts = own.groupBy("label").agg(F.count("*").alias("n"), F.sum("size").alias("bytes"), best.alias("best"))
     cuts = lambda n, size: F.ceil(F.greatest(n / CHUNK, size / CUT_BYTES)).cast("int")
-    main = counts.groupBy("label").agg(
-        F.max(F.struct("n", "class"))["class"].alias("main"), cuts(F.max("n"), F.max(F.struct("n", "class", "bytes"))["bytes"]).alias("m"),
-        cuts(F.sum("n") - F.max("n"), F.sum("bytes") - F.max(F.struct("n", "class", "bytes"))["bytes"]).alias("r"),
-    ).filter("r > 0")
-    owned = owned.select("doc_id", "label", "class", "shingles").join(main, "label").withColumn("still", F.expr("class = main"))
+    main = counts.select("label", "best.j", cuts(F.col("best.n"), F.col("best.bytes")).alias("m"), cuts(F.col("n") - F.col("best.n"), F.col("bytes") - F.col("best.bytes")).alias("r")).filter("r > 0")
+    owned = own.join(main, "label").withColumn("still", F.expr("shiftright(mask, j) & 1 = 1"))
     owned = owned.withColumn("own", F.expr("cast(pmod(xxhash64(doc_id, 7), IF(still, m, r)) AS int)"))
-    # The rest's cut i meets the largest class's cut j as (i, j, true), the rest's cut k as (min, max, false).
+    # The rest's cut i meets the connected ones' cut j as (i, j, true), the rest's cut k as (min, max, false).
     meets = """IF(still, transform(sequence(0, r - 1), i -> named_struct('i', i, 'j', own, 'side', true)),
-      concat(transform(sequence(0, m - 1), j -> named_struct('i', own, 'j', j, 'side', true)), transform(sequence(0, r - 1), k -> named_struct('i', least(own, k), 'j', greatest(own, k), 'side', false))))"""
+      concat(IF(m > 0, transform(sequence(0, m - 1), j -> named_struct('i', own, 'j', j, 'side', true)), array()), transform(sequence(0, r - 1), k -> named_struct('i', least(own, k), 'j', greatest(own, k), 'side', false))))"""
     tasks = owned.select("doc_id", "label", "shingles", "still", F.explode(F.expr(meets)).alias("t")).select("doc_id", "label", "shingles", "still", "t.*")
-    across = tasks.groupBy("label", "i", "j", "side").applyInPandas(_join(percent), found)
+    across = tasks.groupBy("label", "i", "j", "side").applyInPandas(_join(percent), "doc_id long, label long")
     return first.unionByName(across.filter("doc_id <> label").select(F.col("doc_id").alias("a"), F.col("label").alias("b")))
 
 
@@ -427,6 +441,7 @@ def link_classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH) ->
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     first, bits = scanned(docs, width)
     sketch = spark.sparkContext.broadcast(_sketch(first, bits))
+    released()
     rows = first.filter("block IS NULL").select("doc_id", "n", "digest")
     total = rows.agg(F.sum(F.col("n") - F.ceil(F.col("n") * percent / 100) + 1)).first()[0] or 0
     named = docs.filter("doc_id IS NOT NULL")
@@ -443,6 +458,7 @@ def link_classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH) ->
     for w, b in taken.collect():  # at most 2**(bits - 6) rows
         words[w] = np.uint64(b & (2**64 - 1))
     bitmap = spark.sparkContext.broadcast(words.tobytes())
+    del words
     sets = named.select("doc_id", "text", slot.alias("slot")).mapInArrow(returning(_members(width, bitmap)), "doc_id long, shingles binary")
     sets = checkpointed(sets.join(blocks.withColumnRenamed("node", "doc_id"), "doc_id"))
     cuts = F.ceil(F.greatest(F.count("*") / CHUNK, F.sum(F.octet_length("shingles")) / CUT_BYTES)).cast("int")
