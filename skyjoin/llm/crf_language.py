@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import chunks, returning, texts
+from .common import chunks, released, returning, texts
 
 WORD = re.compile(r"[^\W\d_]+")
 UNKNOWN = "und"
@@ -258,7 +258,9 @@ class Labeller:
 
 def fit(docs: DataFrame, per_label: int = PER_LABEL) -> Model:
     """A model from labelled docs (text, lang)."""
-    return train(sample(docs, per_label))
+    model = train(sample(docs, per_label))
+    released()
+    return model
 
 
 def predict(docs: DataFrame, model: Model) -> DataFrame:

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import chunks, returning, texts
+from .common import chunks, released, returning, texts
 
 WORD = re.compile(r"[^\W_]+(?:[@$!*'][^\W_]+)*")
 #: The training sample's bounds; the least likelihood ratio and number of toxic texts of a term.
@@ -327,5 +327,6 @@ def score_texts(docs: DataFrame, model: Model) -> DataFrame:
 def toxicity_report(docs: DataFrame, labels: DataFrame) -> DataFrame:
     """What op1 returns: doc_id, held_out, score, predicted and counts of hits. Held-out labels are never read."""
     model = train(sample(docs, labels.filter(trainable()).select("doc_id", "toxic")))
+    released()
     scored = score_texts(docs, model)
     return scored.select("doc_id", (~trainable()).alias("held_out"), "score", F.when(F.col("score") >= THRESHOLD, 1).otherwise(0).alias("predicted"), "n_hits", "n_fuzzy", "n_quoted", "terms")

@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import SPACE, checkpointed, chunks, id_of, power_of_two, returning, salted_join, text_bytes, with_fields
+from .common import SPACE, checkpointed, chunks, id_of, power_of_two, released, returning, salted_join, text_bytes, with_fields
 
 MIN_CHARS, MIN_DOCS = 20, 3
 #: Bits for each document, and the exponents between which a filter's size stays.
@@ -175,6 +175,7 @@ def dedup_lines(docs: DataFrame, least_chars: int = MIN_CHARS, least_docs: int =
     spark = docs.sparkSession
     bits = bits or power_of_two(BITS_PER_DOC * docs.count(), LEAST_BITS, MOST_BITS)
     twice = spark.sparkContext.broadcast(twice_seen(docs, bits, least_chars))
+    released()
     suspects = checkpointed(docs.select(id_of().alias("id"), "text").mapInArrow(returning(_suspects(twice, bits, least_chars)), "id long, key binary"))
     # (key, id) first: even a key of a third of all documents is spread, then counted by partial sums.
     owners = suspects.distinct().groupBy("key").agg(F.count("*").alias("n"), F.max("id").alias("owner")).filter(F.col("n") >= least_docs).select("key", "owner")
