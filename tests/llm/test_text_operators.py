@@ -323,19 +323,22 @@ def test_near_copies_meet_in_proportion(spark, monkeypatch):
     """Twice the near copies: about twice the rows that enter the trees, not four times."""
     rng, met = random.Random(13), []
     base = [rng.choice(WORDS) for _ in range(60)]
-    join = prefix_join._join
     total = spark.sparkContext.accumulator(0)
 
-    def counting(percent):
-        run = join(percent)
+    def counting(make):
+        def made(percent):
+            run = make(percent)
 
-        def counted(rows):
-            total.add(len(rows))
-            return run(rows)
+            def counted(rows):
+                total.add(len(rows))
+                return run(rows)
 
-        return counted
+            return counted
 
-    monkeypatch.setattr(prefix_join, "_join", counting)
+        return made
+
+    for name in ("_join", "_meet"):
+        monkeypatch.setattr(prefix_join, name, counting(getattr(prefix_join, name)))
     monkeypatch.setattr(prefix_join, "CHUNK", 64)
     for n in (1500, 3000):
         data = []
