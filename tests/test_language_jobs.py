@@ -76,18 +76,18 @@ def test_time_out_cancels_a_running_wedge(spark, sf):
 
 
 def test_late_rows_are_left_out(spark, tmp_path):
-    """Rows that come after the watermark has passed their window."""
+    """Rows that come two micro-batches after the watermark has passed their window."""
     from skyjoin.streaming import alerts
 
     folder = tmp_path / "late"
-    for k, rows in enumerate(([(1, "2026-01-01 00:10:00", "a", 1.0)], [(2, "2026-01-01 09:00:00", "a", 1.0)], [(3, "2026-01-01 00:20:00", "a", 1.0), (4, "2026-01-01 08:30:00", "a", 1.0)], [(5, "2026-01-02 00:00:00", "a", 1.0)])):
+    for k, rows in enumerate(([(1, "2026-01-01 00:10:00", "a", 1.0)], [(2, "2026-01-01 09:00:00", "a", 1.0)], [(6, "2026-01-01 09:10:00", "a", 1.0)], [(3, "2026-01-01 00:20:00", "a", 1.0), (4, "2026-01-01 08:30:00", "a", 1.0)], [(5, "2026-01-02 00:00:00", "a", 1.0)])):
         df = spark.createDataFrame(rows, "event_id long, t string, event_type string, value double").selectExpr("event_id", "cast(t AS timestamp) AS ts", "event_type", "value")
         df.coalesce(1).write.mode("append").parquet(str(folder))
         time.sleep(1.1)
     stream = alerts.read_events(spark, f"{folder}/*.parquet")
     got = alerts.drained(alerts.windowed(stream, "ts", "event_type", "1 hour"), "late")
     rows = {str(r.window.start)[11:13]: r.n for r in got.collect()}
-    assert rows["00"] == 1 and rows["08"] == 1 and rows["09"] == 1
+    assert rows["00"] == 1 and rows["08"] == 1 and rows["09"] == 2
 
 
 def test_query_text_runs(spark, sf):
