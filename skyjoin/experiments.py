@@ -42,8 +42,14 @@ def variants(spark: SparkSession, d: str) -> dict[tuple[str, str], DataFrame]:
 
 
 def costs(spark: SparkSession, d: str) -> list[tuple]:
-    """A row for each variant: experiment, variant and the FIELDS of its run."""
-    return [(*k, *(float(m[f]) for f in FIELDS)) for k, df in variants(spark, d).items() for m in [measured(df)]]
+    """A row for each variant: experiment, variant and the FIELDS of its run, with joins that shuffle, as at sizes beyond a broadcast."""
+    name = "spark.sql.autoBroadcastJoinThreshold"
+    before = spark.conf.get(name)
+    spark.conf.set(name, "-1")
+    try:
+        return [(*k, *(float(m[f]) for f in FIELDS)) for k, df in variants(spark, d).items() for m in [measured(df)]]
+    finally:
+        spark.conf.set(name, before)
 
 
 def main() -> None:
