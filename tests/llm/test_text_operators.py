@@ -490,7 +490,7 @@ def test_pfair_mix(spark, docs, extra, none):
         blocks.setdefault(r.source, {})[r.block] = r.slot
     share = {r.source: r.share for r in got}
     period = got[0].period
-    assert period > 300 and all(abs(share[s] / period - w) <= 0.5 / period for s, w in (("a", 0.5), ("b", 0.3), ("c", 0.15), (None, 0.05)))
+    assert period > 300 and all(abs(share[s] / period - w) < 1 / period for s, w in (("a", 0.5), ("b", 0.3), ("c", 0.15), (None, 0.05)))
     for s, own in blocks.items():
         slots = sorted(own.values())
         assert list(own) == sorted(own) and slots == [own[k] for k in sorted(own)]
@@ -501,10 +501,10 @@ def test_pfair_mix(spark, docs, extra, none):
     for r in pfair_mix.mix(df.union(df.selectExpr("doc_id + 5000", "source")), exact, block=1).collect():
         slots.setdefault(r.source, []).append(r.slot)
     ends = {s: max(x) for s, x in slots.items()}
-    for s, w in (("a", 0.7131), ("b", 0.2867)):  # the given weights, not the rounded shares
+    for s, w in (("a", 0.7131), ("b", 0.2867)):  # the given weights: a block of lag, and less than one of rounding
         own = np.sort(slots[s])
         for t in range(0, min(ends["a"], ends["b"]), 7):
-            assert abs(np.searchsorted(own, t) - t * w) < 1.5
+            assert abs(np.searchsorted(own, t) - t * w) < 2
     assert len(slots["c"]) == 80 and min(slots[None]) > max(ends[s] for s in "abc")
     wide = pfair_mix.mix(extra)
     assert wide.count() == extra.count() and wide.columns.count("slot") == 1
