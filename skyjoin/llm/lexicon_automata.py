@@ -20,6 +20,7 @@ from __future__ import annotations
 
 import math
 import re
+import uuid
 from collections import Counter
 from dataclasses import dataclass, field
 
@@ -117,12 +118,14 @@ class TrieAutomaton:
         least: dict[int, int] = {}
         nodes, stem = self.states[state]
         for node, e in nodes:
-            if e + 1 <= self.most[node]:  # a letter too many
+            kids = self.next[node]
+            if e + 1 <= self.most[node]:  # a letter too many, or another one; no child allows more edits than its parent
                 least[node] = min(least.get(node, 99), e + 1)
-            for letter, k in self.next[node].items():
-                cost = e if letter == c else e + 1
-                if cost <= self.most[k]:
-                    least[k] = min(least.get(k, 99), cost)
+                for k in kids.values():
+                    if e + 1 <= self.most[k]:
+                        least[k] = min(least.get(k, 99), e + 1)
+            if (k := kids.get(c)) is not None and e <= self.most[k]:
+                least[k] = min(least.get(k, 99), e)
         return self._state(least, stem)
 
     def match(self, word: str) -> tuple[int, int] | None:
@@ -172,29 +175,29 @@ class Scorer:
 
     def hits(self, text: str) -> list[tuple[int, int, int, float, bool]]:
         """(place of the word, term, edits, weight in context, quoted) of each hit."""
-        words = WORD.findall(text.lower())
+        low = text.lower()
+        words = WORD.findall(low)
         known = self.known
         if len(known) > KEPT:
             known.clear()
-        found = []
+        wanted = set()
         for w in set(words):
             if w not in known:
                 known[w] = self.word(w)
             if known[w] is not None:
-                found.append(w)
-        if not found:
+                wanted.add(w)
+        if not wanted:
             return []
-        wanted = set(found)
         at = [i for i, w in enumerate(words) if w in wanted]
-        spans = None
         out = []
+        b = passed = 0
         for n, i in enumerate(at):
+            for w in words[passed : i + 1]:  # no word starts between the end of one and the start of the next
+                a = low.index(w, b)
+                b = a + len(w)
+            passed = i + 1
             edits, term = known[words[i]]
             near = words[max(0, i - WINDOW) : i + WINDOW + 1]
-            if spans is None:
-                low = text.lower()
-                spans = [(m.start(), m.end()) for m in WORD.finditer(low)]
-            a, b = spans[i]
             quoted = self.quoted(low, a, b)
             reported = not REPORTING.isdisjoint(near)
             aimed = not SECOND.isdisjoint(near) or (n and i - at[n - 1] <= WINDOW) or (n + 1 < len(at) and at[n + 1] - i <= WINDOW)
@@ -304,13 +307,25 @@ def sample(docs: DataFrame, labels: DataFrame, per_label: int = SAMPLE) -> list[
     return [(t, y) for y in (0, 1) for t in out[y]]
 
 
+#: The scorer of a worker, by the call that made its model: the next task of that call goes on with its states.
+_SCORERS: dict[str, Scorer] = {}
+
+
+def scorer_of(call: str, model: Model) -> Scorer:
+    """This worker's scorer for a call; that of an earlier call goes."""
+    if call not in _SCORERS:
+        _SCORERS.clear()
+        _SCORERS[call] = Scorer(model)
+    return _SCORERS[call]
+
+
 def score_texts(docs: DataFrame, model: Model) -> DataFrame:
     """doc_id, score, n_hits, n_fuzzy, n_quoted and the terms found, of docs (doc_id, text)."""
-    shipped = docs.sparkSession.sparkContext.broadcast(model)
+    shipped, call = docs.sparkSession.sparkContext.broadcast(model), uuid.uuid4().hex
     schema = "doc_id long, score double, n_hits int, n_fuzzy int, n_quoted int, terms array<string>"
 
     def run(batches):
-        scorer = Scorer(shipped.value)
+        scorer = scorer_of(call, shipped.value)
         for whole in batches:
             for batch in chunks(whole, 1):
                 rows = []
