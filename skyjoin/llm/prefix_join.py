@@ -469,7 +469,8 @@ def link_classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH) ->
         over = components(_cut_blocks(big, percent))
         # A cut block's document outside all classes has no row here, nor does it need one.
         labels = labels.unionByName(over.select(F.col("node").alias("doc_id"), "label"))
-    labels = labels.groupBy("doc_id").agg(F.min("label").alias("label"))
+    # Written here and in first_of_each_class: one plan from the sets to the texts keeps too many stages in the driver at once.
+    labels = checkpointed(labels.groupBy("doc_id").agg(F.min("label").alias("label")))
     kept = rows.filter("n > 0 AND doc_id IS NOT NULL")
     classes = kept.join(labels, "doc_id", "left").groupBy("digest").agg(F.min("doc_id").alias("least"), F.min("label").alias("label"))
     classes = classes.withColumn("label", F.coalesce("label", "least"))
@@ -480,7 +481,7 @@ def link_classes(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH) ->
 
 def first_of_each_class(docs: DataFrame, percent: int = PERCENT, width: int = WIDTH) -> DataFrame:
     """docs without all but one document of each class: the one whose id names the class."""
-    own = link_classes(docs, percent, width).filter("component_id = doc_id").select(F.col("doc_id").alias("__id")).distinct()
+    own = checkpointed(link_classes(docs, percent, width).filter("component_id = doc_id").select(F.col("doc_id").alias("__id")).distinct())
     return docs.filter("doc_id IS NULL").unionByName(docs.withColumn("__id", F.col("doc_id").cast("long")).join(own, "__id", "left_semi").drop("__id"))
 
 
