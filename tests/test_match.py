@@ -238,3 +238,17 @@ def test_sphere_cells_nest(spark):
     df = spark.createDataFrame([(float(k * 37 % 360), float(k * 11 % 180 - 90)) for k in range(200)], "ra double, dec double")
     for r in df.select(sphere_cell("ra", "dec", 5).alias("f"), sphere_cell("ra", "dec", 4).alias("c")).collect():
         assert r.f >> 2 == r.c
+
+
+def test_zones_have_the_cells_of_their_exact_edges(spark):
+    from decimal import Decimal
+
+    from skyjoin.functions.sphere import cells_of
+
+    def exact(zone: int) -> int:
+        low = zone * Decimal("0.05") - 90
+        worst = float(max(abs(low), abs(low + Decimal("0.05"))))
+        return max(1, math.floor(360 * math.cos(math.radians(worst)) / 0.05))
+
+    found = spark.range(3600).select(F.col("id").cast("int").alias("zone")).select("zone", cells_of("zone", 0.05).alias("n")).collect()
+    assert [(r.zone, r.n) for r in found if r.n != exact(r.zone)] == []  # zone 2999 ends at 60 degrees: 3600 cells
