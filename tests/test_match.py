@@ -252,3 +252,18 @@ def test_zones_have_the_cells_of_their_exact_edges(spark):
 
     found = spark.range(3600).select(F.col("id").cast("int").alias("zone")).select("zone", cells_of("zone", 0.05).alias("n")).collect()
     assert [(r.zone, r.n) for r in found if r.n != exact(r.zone)] == []  # zone 2999 ends at 60 degrees: 3600 cells
+
+
+def test_a_crowded_match_looks_at_few_candidates(spark):
+    from skyjoin.operators.match import Trace
+
+    rng = np.random.default_rng(5)
+    n = 3000
+    field = lambda: sky(spark, [(k, float(a), float(d)) for k, (a, d) in enumerate(rng.uniform(10.2, 10.7, (n, 2)))]).withColumn("sigma_as", F.lit(6.0))
+    a, b = Participant("a", field()), Participant("b", field(), error=12.0)
+    trace = Trace()
+    found = {tuple(r) for r in match_all([a, b], 1e3, trace=trace).select("a.key", "b.key").collect()}
+    counts = dict(trace.counts())
+    assert counts["candidates"] < 0.08 * n * n  # 0.2 with cells of ten radii
+    wide = {tuple(r) for r in match_all([a, b], 1e3, grid=Grid(0.5)).select("a.key", "b.key").collect()}
+    assert found == wide and len(found) > n
