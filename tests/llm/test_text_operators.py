@@ -3,6 +3,7 @@
 import hashlib
 import random
 import re
+import time
 import zlib
 
 import numpy as np
@@ -791,3 +792,25 @@ def test_pipeline_against_brute_force(spark, tmp_path):
     lib, text = library(), dict(cut)
     assert set(got) == heads and all(r.text == text[i] and r.n_chars == len(text[i]) and r.ids == lib.encode(text[i]) for i, r in got.items())
     assert sorted(r.mix_order for r in got.values()) == sorted({r.mix_order for r in got.values()})
+
+
+def test_sets_of_a_cut_block_are_sent_few_times(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    monkeypatch.setattr(prefix_join, "CHUNK", 64)
+    base = [f"w{k}" for k in range(1500)]
+    texts = []
+    for k in range(400):  # one large group of near copies
+        words = list(base)
+        for at in rng.integers(0, 1500, 5):
+            words[at] = f"x{k}-{at}"
+        texts.append(" ".join(words))
+
+    def written() -> int:
+        time.sleep(1)  # the listener follows the tasks
+        found = spark.sparkContext._jsc.sc().statusStore().executorList(True)
+        return sum(found.apply(k).totalShuffleWrite() for k in range(found.size()))
+
+    before = written()
+    got = prefix_join.link_classes(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(8)).collect()
+    assert {r.component_id for r in got} == {0}
+    assert (written() - before) / sum(8 * r.n_shingles for r in got) < 1.6
