@@ -267,3 +267,20 @@ def test_a_crowded_match_looks_at_few_candidates(spark):
     assert counts["candidates"] < 0.08 * n * n  # 0.2 with cells of ten radii
     wide = {tuple(r) for r in match_all([a, b], 1e3, grid=Grid(0.5)).select("a.key", "b.key").collect()}
     assert found == wide and len(found) > n
+
+
+def test_brute_pairs_need_no_cross_join(spark):
+    from skyjoin.operators.baselines import brute_pairs
+
+    rng = np.random.default_rng(8)
+    n = 300
+    draw = lambda s: [(k, float(a), float(d), s) for k, (a, d) in enumerate(zip(rng.uniform(9.9, 10.1, n), rng.uniform(-0.1, 0.1, n), strict=True))]
+    a, b = draw(6.0), draw(12.0)
+    out = brute_pairs(*[sky(spark, r, "key long, ra double, dec double, sigma_as double") for r in (a, b)], 1e3)
+    plan = out._jdf.queryExecution().optimizedPlan().toString()
+    assert "Join Cross" not in plan and "__rband" in plan
+    unit = lambda r: np.array([(math.cos(math.radians(d)) * math.cos(math.radians(x)), math.cos(math.radians(d)) * math.sin(math.radians(x)), math.sin(math.radians(d))) for _, x, d, _ in r])
+    v = (6.0**2 + 12.0**2) / 206264.80624709636**2
+    c2 = ((unit(a)[:, None] - unit(b)[None]) ** 2).sum(2)
+    expected = {(int(i), int(j)) for i, j in np.argwhere(math.log(2) - math.log(v) - c2 / (2 * v) >= math.log(1e3))}
+    assert {(r.a_key, r.b_key) for r in out.collect()} == expected and expected
