@@ -284,3 +284,9 @@ def test_brute_pairs_need_no_cross_join(spark):
     c2 = ((unit(a)[:, None] - unit(b)[None]) ** 2).sum(2)
     expected = {(int(i), int(j)) for i, j in np.argwhere(math.log(2) - math.log(v) - c2 / (2 * v) >= math.log(1e3))}
     assert {(r.a_key, r.b_key) for r in out.collect()} == expected and expected
+
+
+def test_table_functions_read_a_catalog(spark, sf):
+    out = w.QUERIES["table_functions"](spark, sf)
+    assert any(f.endswith("customer.parquet") for f in out.inputFiles())
+    assert sum(r.n for r in out.collect()) > 0
