@@ -290,3 +290,16 @@ def test_table_functions_read_a_catalog(spark, sf):
     out = w.QUERIES["table_functions"](spark, sf)
     assert any(f.endswith("customer.parquet") for f in out.inputFiles())
     assert sum(r.n for r in out.collect()) > 0
+
+
+def test_sharp_stream_rows_search_no_farther_than_they_reach():
+    from skyjoin.streaming.alerts import error_levels
+
+    chord, limit = chord_of(200 / 3600), 1e6
+    levels = error_levels(0.1, chord, limit)
+    assert levels[0].chord < chord / 10 and levels[-1].chord == chord and levels[-1].least == 0
+    for s in np.geomspace(0.01, 300, 400):
+        own = next(v for v in levels if 1 / s >= v.least)
+        for t in (0.0, 0.05, 0.1):
+            v = (s * s + t * t) / 206264.80624709636**2
+            assert own.chord >= min(chord, math.sqrt(max(0.0, 2 * v * (math.log(2 / limit) - math.log(v)))))
