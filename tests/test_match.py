@@ -303,3 +303,15 @@ def test_sharp_stream_rows_search_no_farther_than_they_reach():
         for t in (0.0, 0.05, 0.1):
             v = (s * s + t * t) / 206264.80624709636**2
             assert own.chord >= min(chord, math.sqrt(max(0.0, 2 * v * (math.log(2 / limit) - math.log(v)))))
+
+
+def test_rounded_is_round_to_the_bit(spark):
+    from skyjoin.functions.plan import rounded
+
+    spread = spark.range(20_000).select(((F.rand(1) - 0.5) * F.pow(F.lit(10.0), F.rand(2) * 14 - 7)).alias("v"))
+    ties = spark.range(4001).select(((F.col("id") - 2000) / 2000).alias("v"))
+    odd = spark.createDataFrame([(x,) for x in (math.nan, math.inf, -math.inf, None, 0.0, -0.0, -1e-9, 1e300, -1e300, 9.2e18, 1e15 + 0.5, -1e12 - 0.3, 1.0005, 2.6750000000000003)], "v double")
+    df = spread.unionByName(ties).unionByName(odd)
+    for places in (3, 6):
+        wrong = df.filter(~rounded("v", places).cast("string").eqNullSafe(F.round("v", places).cast("string")))
+        assert wrong.isEmpty()
