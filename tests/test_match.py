@@ -315,3 +315,23 @@ def test_rounded_is_round_to_the_bit(spark):
     for places in (3, 6):
         wrong = df.filter(~rounded("v", places).cast("string").eqNullSafe(F.round("v", places).cast("string")))
         assert wrong.isEmpty()
+
+
+def test_lost_tuples_come_from_their_weak_pairs(spark, sf):
+    keys = ["optical_key", "uv_key", "nir_key"]
+    full, cut = ({tuple(r) for r in w.flat(w.three(spark, sf, f=w.CROWD60, limit=1e3, prune=p), *[k[:-4] for k in keys]).select(*keys).collect()} for p in ("bound", "pairwise"))
+    lost = w.pairwise_pruning_lost(spark, sf)
+    assert scans(lost) == 3  # 6 with both matches worked out and compared
+    found = [tuple(r) for r in lost.select(*keys).collect()]
+    assert len(found) == len(set(found)) and set(found) == full - cut and found
+
+
+def test_a_key_of_two_rows_is_lost_only_if_all_its_pairs_are_weak(spark):
+    one = lambda *rows: sky(spark, list(rows))
+    a, b, c = one((1, 10.0, 0.0)), one((2, 10.0, 0.0008), (3, 10.0, 0.0008), (3, 10.0, 0.0)), one((4, 10.0, 0.0004))
+    parts = [Participant(n, df, error=0.5) for n, df in (("a", a), ("b", b), ("c", c))]
+    got = [tuple(r) for r in match_all(parts, 1e8, prune="lost").select("a.key", "b.key", "c.key").collect()]
+    full = {tuple(r) for r in match_all(parts, 1e8).select("a.key", "b.key", "c.key").collect()}
+    assert full == {(1, 2, 4), (1, 3, 4)} and got == [(1, 2, 4)]
+    with pytest.raises(ValueError, match="three required"):
+        match_all(parts[:2], 1e8, prune="lost")
