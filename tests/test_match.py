@@ -335,3 +335,14 @@ def test_a_key_of_two_rows_is_lost_only_if_all_its_pairs_are_weak(spark):
     assert full == {(1, 2, 4), (1, 3, 4)} and got == [(1, 2, 4)]
     with pytest.raises(ValueError, match="three required"):
         match_all(parts[:2], 1e8, prune="lost")
+
+
+def test_counts_of_kept_rows_leave_candidates_in_the_join(spark, sf):
+    from skyjoin.operators.match import Trace
+
+    every, kept = Trace(), Trace(("kept",))
+    for trace in (every, kept):
+        df = w.three(spark, sf, f=w.CROWD60, limit=1e3, trace=trace)
+        df.select("optical.key").write.format("noop").mode("overwrite").save()
+    assert df._jdf.queryExecution().analyzed().toString().count("CollectMetrics") == 2  # 4 with the candidates
+    assert kept.counts() == [c for c in every.counts() if c[0] == "kept"] and len(every.counts()) == 4
