@@ -352,3 +352,11 @@ def test_measured_sides_have_finer_levels():
     from skyjoin.operators.zones import CROWDED_STEP, weight_levels
 
     assert len(weight_levels(1.0, 1e4, lambda a, b: 1e-5)) < len(weight_levels(1.0, 1e4, lambda a, b: 1e-5, step=CROWDED_STEP)) == 5
+
+
+def test_large_measured_sides_are_not_broadcast(spark, sf, monkeypatch):
+    from skyjoin.operators import match
+
+    monkeypatch.setattr(match, "BROADCAST_ROWS", 10)
+    plan = w.accuracy_by_crowding(spark, sf)._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("SortMergeJoin") == 4 and "BroadcastExchange" not in plan
