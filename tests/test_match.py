@@ -354,3 +354,10 @@ def test_large_measured_sides_are_not_broadcast(spark, sf, monkeypatch):
     monkeypatch.setattr(match, "BROADCAST_ROWS", 10)
     plan = w.accuracy_by_crowding(spark, sf)._jdf.queryExecution().executedPlan().toString()
     assert plan.count("SortMergeJoin") == 4 and "BroadcastExchange" not in plan
+
+
+def test_all_factors_share_one_look_at_the_catalogs(spark, sf, monkeypatch):
+    looks, look = [], w.planner.profile
+    monkeypatch.setattr(w.planner, "profile", lambda p, *a: looks.append(p.alias) or look(p, *a))
+    w.accuracy_by_crowding(spark, sf)
+    assert looks == ["optical", "uv"]  # one of each for each factor before, and a count
