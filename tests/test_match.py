@@ -361,3 +361,17 @@ def test_all_factors_share_one_look_at_the_catalogs(spark, sf, monkeypatch):
     monkeypatch.setattr(w.planner, "profile", lambda p, *a: looks.append(p.alias) or look(p, *a))
     w.accuracy_by_crowding(spark, sf)
     assert looks == ["optical", "uv"]  # one of each for each factor before, and a count
+
+
+def test_large_static_side_of_a_stream_is_not_broadcast(spark, sf, monkeypatch):
+    from skyjoin.streaming import alerts
+
+    stream = spark.range(100).selectExpr("id AS event_id", "180.0D + id / 100 AS ra", "0.0D AS dec", "0.5D AS sigma_as")
+    static = stream.selectExpr("event_id AS key", "ra", "dec", "0.1D AS static_s")
+    found = []
+    for rows in (alerts.BROADCAST_ROWS, 10):
+        monkeypatch.setattr(alerts, "BROADCAST_ROWS", rows)
+        m = alerts.stream_match(stream, static, chord_of(200 / 3600), 1e6)
+        found.append((sorted(m.select("key", "event_id").collect()), m._jdf.queryExecution().executedPlan().toString()))
+    assert found[0][0] == found[1][0] == [(k, k) for k in range(100)]
+    assert "BroadcastHashJoin" in found[0][1] and "SortMergeJoin" in found[1][1] and "BroadcastExchange" not in found[1][1]
