@@ -375,3 +375,47 @@ def test_large_static_side_of_a_stream_is_not_broadcast(spark, sf, monkeypatch):
         found.append((sorted(m.select("key", "event_id").collect()), m._jdf.queryExecution().executedPlan().toString()))
     assert found[0][0] == found[1][0] == [(k, k) for k in range(100)]
     assert "BroadcastHashJoin" in found[0][1] and "SortMergeJoin" in found[1][1] and "BroadcastExchange" not in found[1][1]
+
+
+def test_pairs_with_uneven_errors_are_not_shuffled(spark, sf):
+    """No exchange above the join that pairs transients: what stands near the sharper member comes along instead."""
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plans = [w.QUERIES[n](spark, sf)._jdf.queryExecution().executedPlan().toString().splitlines() for n in ("match_four_cascading", "match_four_colocated")]
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    for lines in plans:
+        depth = [next((k for k, c in enumerate(line) if c.isalpha()), 0) for line in lines]
+        for k, line in enumerate(lines):
+            if "Exchange hashpartitioning" in line:
+                end = next((j for j in range(k + 1, len(lines)) if depth[j] <= depth[k]), len(lines))
+                below = "\n".join(lines[k:end])
+                assert not ("Join" in below and "events.parquet" in below)
+
+
+@pytest.mark.parametrize("plan,names", [("cascading", "abct"), ("colocated", "tabc")])
+def test_carried_states_find_the_same_tuples(spark, plan, names, monkeypatch):
+    """Equal rows, several states near a detection and either place of the uneven catalog: the same tuples, as often, as without carrying."""
+    from collections import Counter
+
+    from skyjoin.operators import match
+
+    rng = random.Random(11)
+    true = [(180 + rng.random() / 50, rng.random() / 50) for _ in range(60)]
+    noisy = lambda s: [(k % 55, ra + rng.gauss(0, s) / 3600, dec + rng.gauss(0, s) / 3600) for k, (ra, dec) in enumerate(true)]
+    cat = {n: Participant(n, sky(spark, noisy(s) + noisy(s)), error=s, site=site) for n, s, site in (("a", 0.1, "p"), ("b", 0.2, "q"))}
+    twice = noisy(0.5)
+    cat["c"] = Participant("c", sky(spark, twice + twice), error=0.5, site="q")
+    uneven = [(k, ra, dec, s) for s in (0.1, 1.0, 8.0, 30.0) for k, ra, dec in noisy(s)]
+    cat["t"] = Participant("t", sky(spark, uneven, "key long, ra double, dec double, sigma_as double"), site="p")
+    rows = {"a": 120.0, "b": 120.0, "c": 120.0, "t": 240.0}
+    called, carry = [], match.combine_carried
+    monkeypatch.setattr(match, "combine_carried", lambda *a: called.append(carry(*a) is not None) or carry(*a))
+    found = []
+    for most in (64.0, -1.0):
+        monkeypatch.setattr(match, "MOST_NEAR", most)
+        called.clear()
+        m = match_all([cat[n] for n in names], 1e6, plan=plan, rows=rows, density=1e5)
+        assert any(called) == (most > 0)
+        found.append(Counter(tuple(r) for r in m.select(*[F.col(n)["key"] for n in "abct"], F.round("x.ln_bf", 6)).collect()))
+    assert found[0] == found[1] and sum(found[0].values()) > 500 and max(found[0].values()) > 1
